@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, minhash, mixing, quality, substring
+from . import bpe, html, license, minhash, mixing, ppm, quality, substring, toxicity
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -22,6 +22,30 @@ def op2_minmax_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(documents(spark, sf_dir))
 
 
+def crc_mod(n: int) -> Column:
+    """crc32 of the id as text, modulo n."""
+    return F.crc32(F.col("doc_id").cast("string").cast("binary")) % n
+
+
+def op3_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = spark.read.parquet(f"{sf_dir}/pages.parquet")
+    return html.main_text(pages, html.fit(pages), keep=("url",))
+
+
+def op4_ppm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ppm.score_documents(documents(spark, sf_dir), crc_mod(7) == 2)
+
+
+def op7_fuzzy_notices(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license.scan(documents(spark, sf_dir)).drop("spans")
+
+
+def op8_lexicon_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    model = toxicity.fit(docs, labels, F.crc32(F.col("id").cast("string").cast("binary")) % 4 != 2)
+    return toxicity.score_documents(docs, model).select("doc_id", (crc_mod(4) == 2).alias("held_out"), "score", "predicted")
+
+
 def op5_pivotal_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken", "source", "copies")
 
@@ -48,8 +72,12 @@ def op10_anchor_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op2_minmax_near_duplicates": op2_minmax_near_duplicates,
+    "op3_main_text": op3_main_text,
+    "op4_ppm_scores": op4_ppm_scores,
     "op5_pivotal_mixing": op5_pivotal_mixing,
     "op6_quality_ledger": op6_quality_ledger,
+    "op7_fuzzy_notices": op7_fuzzy_notices,
+    "op8_lexicon_toxicity": op8_lexicon_toxicity,
     "op9_backtracking_bpe": op9_backtracking_bpe,
     "op10_anchor_substring_dedup": op10_anchor_substring_dedup,
 }
