@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, html, license, minhash, mixing, ppm, quality, substring, toxicity
+from . import bpe, chroma, html, license, minhash, mixing, ppm, quality, substring, toxicity
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -18,6 +18,13 @@ def vocabulary_path(name: str = "byte_bpe_50k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def op1_chroma_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Turns of conversations, rendered as tones (no table holds audio): those of every hundredth conversation in all."""
+    turns = spark.read.parquet(f"{sf_dir}/conversations.parquet")
+    found = chroma.search(turns, F.col("conv_id") * 100_000 + F.col("turn"), F.col("text"), F.col("conv_id") % 100 == 0, rendered=True)
+    return found.select(F.floor(F.col("id") / 100_000).alias("conv_id"), (F.col("id") % 100_000).alias("turn"), "n_prints", "class_id", "n_matches", "best_id", "best_offset", "best_errors")
+
+
 def op2_minmax_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(documents(spark, sf_dir))
 
@@ -71,6 +78,7 @@ def op10_anchor_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_chroma_search": op1_chroma_search,
     "op2_minmax_near_duplicates": op2_minmax_near_duplicates,
     "op3_main_text": op3_main_text,
     "op4_ppm_scores": op4_ppm_scores,
