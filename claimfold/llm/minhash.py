@@ -112,7 +112,7 @@ def _linked(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray, percent
     keep = shared[column]
     row, column = row[keep], (np.cumsum(shared) - 1)[column[keep]]
     n, both = int(shared.sum()), np.zeros((len(left), len(right)), dtype=np.float32)
-    step = max(64, min(n, (16 << 20) // max(1, len(sets))))
+    step = max(64, min(n, (4 << 20) // max(1, len(sets))))
     for lo in range(0, n, step):
         a, z = np.searchsorted(column, [lo, lo + step])
         m = np.zeros((len(sets), min(step, n - lo)), dtype=np.float32)
@@ -202,7 +202,7 @@ def near_duplicates(docs: DataFrame, id: str = "doc_id", text: str = "text", per
     blocked = groups.join(sizes, "component").withColumn("block", F.pmod(F.xxhash64("node", F.lit(7)), "blocks").cast("int"))
     one_text = docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text"))
     dealt = (
-        one_text.join(blocked.select(F.col("node").alias("id"), "component", "block", "blocks"), "id")
+        one_text.join(blocked.select(F.col("node").alias("id"), "component", "block", "blocks").hint("merge"), "id")
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
         .select(
             "id",
