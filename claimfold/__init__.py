@@ -1,0 +1 @@
+"""claimfold: resolve many conflicting records of one entity into one, on Spark."""
