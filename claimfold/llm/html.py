@@ -1,8 +1,8 @@
 """Main text of web pages by the maximum-scoring subsequence of tags and words.
 
 A page is a sequence of text runs and tags.  Words score positive, or negative
-inside links, and strongly negative inside parts that name themselves as menus,
-adverts, notices, comments and the like; tags score negative, each by the share
+inside links and inside parts that name themselves as menus, adverts, notices,
+comments and the like, which are left out of the text in any case; tags score negative, each by the share
 of its kind that stands outside the main text of labelled pages.  One linear
 scan finds the contiguous region of the highest sum.  Where an article or main
 element holds the region, all of that element is taken.
@@ -19,6 +19,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import thin
+
 #: Pages that weights are learnt from, at most: those of the smallest hashes.
 SAMPLE_PAGES = 2_000
 
@@ -43,11 +45,12 @@ ROLES = frozenset("navigation banner contentinfo complementary search form dialo
 
 @dataclass
 class Weights:
-    """Score of a word, of a word in a link, of a word in a named part, and of tags."""
+    """Score of a word, of a word in a link, of a word in a named part (down to that of a whole part), and of tags."""
 
     word: float = 1.0
     linked: float = -0.5
-    named: float = -8.0
+    named: float = -1.0
+    named_part: float = -8.0
     other_tag: float = -0.4
     tags: dict[str, float] = field(default_factory=dict)
 
@@ -135,12 +138,15 @@ def items(page: str) -> tuple[list[Item], list[tuple[int, int]]]:
 
 def region(parts: list[Item], w: Weights) -> tuple[int, int]:
     """Start and end of the items of the highest sum; an empty range where no sum is positive."""
-    best, best_at, total, start = 0.0, (0, 0), 0.0, 0
+    best, best_at, total, start, part = 0.0, (0, 0), 0.0, 0, 0.0
     for i, p in enumerate(parts):
-        if p.tag:
-            total += w.tags.get(p.tag.lstrip("/"), w.other_tag)
+        if p.named:  # an advert amid the text mustn't end it, however long
+            step = max(p.words * w.named, w.named_part - part)
+            total, part = total + step, part + step
+        elif p.tag:
+            total, part = total + w.tags.get(p.tag.lstrip("/"), w.other_tag), 0.0
         elif p.words:
-            total += p.words * (w.named if p.named else w.linked if p.linked else w.word)
+            total, part = total + p.words * (w.linked if p.linked else w.word), 0.0
         if total <= 0:
             total, start = 0.0, i + 1
         elif total > best:
@@ -205,7 +211,8 @@ def fit(pages: DataFrame, id: str = "page_id", html: str = "html", sample_pages:
     A tag costs between 0.02, if labelled pages have it inside only, and 1, if
     outside only; unknown tags keep the default.
     """
-    sample = pages.select(F.col(html).alias("html"), F.xxhash64(F.col(id)).alias("h")).where("html is not null").orderBy("h", F.xxhash64("html")).limit(sample_pages)
+    hashed = pages.select(F.col(html).alias("html"), F.xxhash64(F.col(id), F.col(html)).alias("h")).where("html is not null")
+    sample = thin(hashed, "h", hashed.count(), sample_pages).orderBy("h").limit(sample_pages)
     counts = sample.select("html").mapInArrow(_tag_counts("html"), "tag string, outside long, inside long").groupBy("tag").agg(F.sum("outside").alias("o"), F.sum("inside").alias("i")).orderBy(F.desc(F.col("o") + F.col("i")), "tag").limit(500)
     w = Weights()
     for tag, o, i in counts.collect():

@@ -1,59 +1,28 @@
-"""Shared-folder tables, batch counts and connected components for the operators.
-
-Intermediate results that several jobs read are written as Parquet into the
-folder that the session names in ``spark.checkpoint.dir``; every executor can
-reach it, so a lost executor costs nothing but its running tasks.
-"""
+"""Batch counts, bounded samples and connected components for the operators."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
-
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-_written: list[tuple[SparkSession, str]] = []
-
-
-def workspace(spark: SparkSession) -> str:
-    """The shared folder; a local one only where the session has none (tests)."""
-    have = spark.conf.get("spark.checkpoint.dir", None)
-    if not have:
-        if not spark.sparkContext.master.startswith("local"):
-            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-        have = "file://" + tempfile.mkdtemp(prefix="claimfold-")
-        spark.conf.set("spark.checkpoint.dir", have)
-    return have.rstrip("/")
-
-
-def settle(df: DataFrame, name: str) -> DataFrame:
-    """Write df into the shared folder and read it back: lineage ends there."""
-    spark = df.sparkSession
-    path = f"{workspace(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    _written.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
-
-
-@atexit.register
-def _sweep() -> None:
-    """Remove what this process has written, where the session still lives."""
-    for spark, path in _written:
-        try:
-            target = spark._jvm.org.apache.hadoop.fs.Path(path)
-            target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
-        except Exception:  # the gateway is gone at exit; nothing else to do
-            return
+from ..plans.workspace import settle
 
+__all__ = ["Forest", "components", "settle", "spread", "text_bytes_total", "thin"]
 
 def text_bytes_total(docs: DataFrame, text: str) -> int:
     return docs.agg(F.sum(F.octet_length(text))).first()[0] or 0
 
 
+def thin(rows: DataFrame, hash: str, total: int, wanted: int) -> DataFrame:
+    """About 1.3 times the wanted rows, those of the smallest hashes: what a final top-k then sorts is bounded."""
+    if total <= 2 * wanted + 1000:
+        return rows
+    share = (1.3 * wanted + 500) / total
+    return rows.where(F.col(hash) < F.lit(int(-(2**63) + share * 2**64)))
+
+
 def spread(docs: DataFrame) -> int:
     """Shuffle partitions of the session, the number of tasks that wide steps get."""
     return int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))

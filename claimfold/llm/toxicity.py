@@ -20,6 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .shared import thin
 from .words import chunks
 
 #: Labelled rows that are learnt from, at most: those of the smallest hashes.
@@ -264,7 +265,8 @@ def fit(docs: DataFrame, labels: DataFrame, train: Column, id: str = "doc_id", t
     these, three at least, and 20 times the share that clean texts have of it.
     """
     known = labels.select(F.col(id).alias("id"), F.col(label).cast("int").alias("toxic")).where("id is not null and toxic in (0, 1)").dropDuplicates(["id"])
-    known = known.where(train).orderBy(F.xxhash64("id"), "id").limit(sample_rows)
+    known = known.where(train).withColumn("h", F.xxhash64("id"))
+    known = thin(known, "h", known.count(), sample_rows).orderBy("h", "id").limit(sample_rows).drop("h")
     sample = docs.select(F.col(id).alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(F.broadcast(known), "id").dropDuplicates(["id"]).persist()
     try:
         size = {r["toxic"]: r["count"] for r in sample.groupBy("toxic").count().collect()}
