@@ -142,12 +142,12 @@ def fingerprint_column(df: DataFrame, id: Column, media: Column, query: Column,
     return df.select(id.cast("long").alias("id"), F.coalesce(query, F.lit(False)).alias("query"), media.alias("media")).mapInArrow(run, "id long, query boolean, n long, d1 long, d2 long, prints array<int>")
 
 
-def search(df: DataFrame, id: Column, media: Column, query: Column, rendered: bool = False, least_hits: int = 4, most_errors: float = 0.2) -> DataFrame:
+def search(df: DataFrame, id: Column, media: Column, query: Column, rendered: bool = False, least_hits: int = 3, most_errors: float = 0.2) -> DataFrame:
     """(id, n_prints, class_id, n_matches, best_id, best_offset, best_errors), a row for every recording.
 
     Recordings where `query` holds are searched in all.  class_id is the smallest
     id of equal fingerprints.  n_matches counts the query classes, other than the
-    recording's own, that share `least_hits` integers at one offset with it and
+    recording's own, that share `least_hits` pairs of integers at one offset with it and
     differ there in at most `most_errors` of the bits; best_* tell the one of the
     fewest errors.  Rows without an id or without sound match nothing.
     """
@@ -156,10 +156,11 @@ def search(df: DataFrame, id: Column, media: Column, query: Column, rendered: bo
         all_.where("n > 0 and id is not null").groupBy("n", "d1", "d2").agg(F.min("id").alias("rep"), F.count_distinct("id").alias("copies"), F.max("query").alias("query"), F.first("prints").alias("prints")),
         "chroma-classes",
     )
-    asked = classes.where("query").select(F.col("rep").alias("q"), F.posexplode("prints").alias("qp", "value"))
-    held = classes.select(F.col("rep").alias("r"), F.posexplode("prints").alias("rp", "value"))
-    # Many places of one value in one pair add to a histogram; equal neighbours (held tones) count once.
-    votes = asked.distinct().join(held.distinct(), "value").where("q <> r").groupBy("q", "r", (F.col("rp") - F.col("qp")).alias("offset")).count()
+    # Keys are two integers in a row: one alone is met by chance too often, and chance grows with queries times recordings.
+    pair = F.transform(F.slice("prints", F.lit(1), F.size("prints") - 1), lambda v, i: F.shiftleft(v.cast("long"), 32).bitwiseXOR(F.pmod(F.get("prints", i + 1).cast("long"), F.lit(1 << 32))))
+    asked = classes.where("query and n > 1").select(F.col("rep").alias("q"), F.posexplode(pair).alias("qp", "value"))
+    held = classes.where("n > 1").select(F.col("rep").alias("r"), F.posexplode(pair).alias("rp", "value"))
+    votes = asked.join(held, "value").where("q <> r").groupBy("q", "r", (F.col("rp") - F.col("qp")).alias("offset")).count()
     best = votes.where(F.col("count") >= least_hits).groupBy("q", "r").agg(F.max(F.struct("count", (-F.abs("offset")).alias("near"), "offset")).alias("b")).select("q", "r", F.col("b.offset").alias("offset"))
     pairs = best.join(classes.select(F.col("rep").alias("q"), F.col("prints").alias("qs")), "q").join(classes.select(F.col("rep").alias("r"), F.col("prints").alias("rs")), "r")
     first_q, first_r = F.greatest(-F.col("offset"), F.lit(0)), F.greatest(F.col("offset"), F.lit(0))
