@@ -1,4 +1,213 @@
 """Queries of whole methods and experiments."""
 
+from __future__ import annotations
+
+from dataclasses import replace
+
+from pyspark.sql import functions as F
+
+from ..operators import baselines, claims, infer, learn, resolver
+from ..plans import experiments
+from ..sources.replicas import SETS, replicas
+from ..sources.tables import table
+from ..streaming import votes
+from .batch import CELL, r6, rep_claims, seeds_of
+from .batch import SQL as _BATCH_SQL
+
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
+
+
+def query(f):
+    QUERIES[f.__name__] = f
+    return f
+
+
+def _settings(name: str, **changes) -> resolver.Settings:
+    return replace(resolver.Settings(tuple(SETS[name][2]), stages=2, embed_dim=8, max_slots=12), **changes)
+
+
+def _fit(spark, d, name="supplier", **changes):
+    return resolver.fit(replicas(spark, d, name), seeds_of(spark, d, name, 0.2), _settings(name, **changes))
+
+
+@query
+def static_features(spark, d):
+    cands, names = resolver._static(replicas(spark, d, "part_small"), _settings("part_small"))
+    named = F.transform("static", lambda x, i: F.struct(F.array(*map(F.lit, names))[i].alias("feature"), F.round(x, 6).alias("x")))
+    return cands.select(*CELL, "value", F.explode(named).alias("f")).select(*CELL, "value", "f.*")
+
+
+@query
+def full_features(spark, d):
+    wide = replicas(spark, d, "supplier")
+    s = _settings("supplier")
+    cands, names = resolver._static(wide, s)
+    featured, more = resolver._dynamic(wide, cands, claims.vote_labels(cands), s, 1)
+    named = F.transform("x", lambda x, i: F.struct(F.array(*map(F.lit, [*names, *more]))[i].alias("feature"), F.round(x, 6).alias("x")))
+    return featured.select(*CELL, "value", F.explode(named).alias("f")).select(*CELL, "value", "f.*")
+
+
+@query
+def iterative_bayes(spark, d):
+    return baselines.iterative_bayes(rep_claims(spark, d, "supplier"), max_iter=8)
+
+
+@query
+def interval_weighted_vote(spark, d):
+    return baselines.interval_weighted_vote(rep_claims(spark, d, "supplier"), iters=4)
+
+
+@query
+def claim_graph(spark, d):
+    return baselines.claim_graph_propagation(rep_claims(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2), 6)
+
+
+@query
+def discriminative_erm(spark, d):
+    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2), "erm", iters=6)
+
+
+@query
+def discriminative_em(spark, d):
+    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2), "em", iters=6)
+
+
+@query
+def rewrite_then_vote(spark, d):
+    return baselines.rewrite_then_vote(rep_claims(spark, d, "customer"), 100)[0]
+
+
+@query
+def naive_onehot_classifier(spark, d):
+    """The value's hashed words alone, without what the cell's other claims say."""
+    return resolver.top(_fit(spark, d, models=("format",), use_source=False, stages=1)[1]).select(*CELL, "value", r6("p").alias("p"))
+
+
+def _vectors(spark, d):
+    from pyspark.ml.functions import array_to_vector
+
+    return table(spark, d, "embeddings").select("vec_id", array_to_vector(F.col("embedding").cast("array<double>")).alias("features"), F.col("label").cast("double").alias("y"))
+
+
+def _predicted(spark, d, classifier):
+    v = _vectors(spark, d)
+    return learn.mllib(v, "features", "y", classifier, max_iter=15).transform(v).select("vec_id", F.col("prediction").cast("int").alias("prediction"))
+
+
+QUERIES["softmax_fit_lbfgs"] = lambda spark, d: _predicted(spark, d, "softmax")
+QUERIES["tree"] = lambda spark, d: _predicted(spark, d, "tree")
+QUERIES["one_vs_rest"] = lambda spark, d: _predicted(spark, d, "logreg_ovr")
+
+
+@query
+def softmax_fit_adam(spark, d):
+    """One model a group of labels, each in its own task: what fits a bounded sample needs no more."""
+    import numpy as np
+    import pandas as pd
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("vec_id").head(2000)
+        x, y = np.array(pdf["v"].tolist()), pdf["label"].to_numpy()
+        kinds, at = np.unique(y, return_inverse=True)
+        w = learn.adam_softmax(x, at, len(kinds), epochs=20)
+        p = learn.softmax_rows(np.hstack([x, np.ones((len(x), 1))]) @ w)
+        return pd.DataFrame({"vec_id": pdf["vec_id"], "prediction": kinds[p.argmax(axis=1)]})
+
+    e = table(spark, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), "label")
+    return e.groupBy((F.col("label") % 2).alias("g")).applyInPandas(run, "vec_id long, prediction int")
+
+
+@query
+def platt_fit(spark, d):
+    import pandas as pd
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"])
+        a, b = learn.platt_fit(pdf["x"].to_numpy(), pdf["y"].to_numpy(float))
+        return pd.DataFrame({"l_linestatus": [pdf["l_linestatus"].iloc[0]], "a": [round(a, 4)], "b": [round(b, 4)]})
+
+    li = table(spark, d, "lineitem").where("l_partkey < 100").select("l_linestatus", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", F.col("l_discount").alias("x"), (F.col("l_quantity") > 25).cast("int").alias("y"))
+    return li.groupBy("l_linestatus").applyInPandas(run, "l_linestatus string, a double, b double")
+
+
+def _answers(scored):
+    return resolver.resolve(scored).withColumn("p", r6("p"))
+
+
+@query
+def stagewise(spark, d):
+    return _answers(_fit(spark, d, dynamic_from="labels", calibrate=False)[1])
+
+
+@query
+def dynamic_twin(spark, d):
+    """The replay of the fitted stages on the same records: each stage's features from its predecessor's labels."""
+    fitted, _ = _fit(spark, d, dynamic_from="model", calibrate=False)
+    return _answers(resolver.resolve_new(fitted, replicas(spark, d, "supplier")))
+
+
+@query
+def resolve_source_aware(spark, d):
+    return _answers(_fit(spark, d, "part_small")[1])
+
+
+@query
+def resolve_source_free(spark, d):
+    return _answers(_fit(spark, d, "part_small", use_source=False)[1])
+
+
+@query
+def resolve_faithful(spark, d):
+    return _answers(_fit(spark, d, layout="cell", weak_weight=1.0, optimiser="adam", epochs=20, stages=1)[1])
+
+
+@query
+def resolve_with_rules(spark, d):
+    rules = ("not(t1.c_nationkey = t2.c_nationkey and t1.n_name != t2.n_name)", "not(t1.n_name = t2.n_name and t1.r_name != t2.r_name)")
+    return _answers(_fit(spark, d, "customer", rules=rules, stages=1)[1])
+
+
+@query
+def resolve_new(spark, d):
+    fitted, _ = _fit(spark, d, stages=1)
+    return _answers(resolver.resolve_new(fitted, replicas(spark, d, "supplier", salt=9)))
+
+
+@query
+def distributions(spark, d):
+    dist = infer.distributions(_fit(spark, d, stages=1)[1])
+    return dist.select(*CELL, F.explode("dist").alias("value", "p")).withColumn("p", r6("p"))
+
+
+@query
+def golden_records(spark, d):
+    return claims.golden(_answers(_fit(spark, d, stages=1)[1]), SETS["supplier"][2])
+
+
+QUERIES["stages_curve"] = lambda spark, d: experiments.stages_curve(spark, d, "supplier", 2, (0.2,))
+QUERIES["augmentation_sweep"] = lambda spark, d: experiments.augmentation_sweep(spark, d, "supplier", (0.0, 0.1, 0.5), (0.2,))
+QUERIES["label_size_sweep"] = lambda spark, d: experiments.label_size_sweep(spark, d, "supplier", (0.1, 0.3))
+QUERIES["ablation_single"] = lambda spark, d: experiments.ablation_single(spark, d, "supplier")
+QUERIES["ablation_group"] = lambda spark, d: experiments.ablation_group(spark, d, "supplier")
+QUERIES["weight_report"] = lambda spark, d: experiments.weight_report(spark, d, "supplier")
+QUERIES["end_to_end_table"] = lambda spark, d: experiments.end_to_end(spark, d, "supplier", runs=1, share=0.1)
+
+
+@query
+def trust_error(spark, d):
+    from ..operators import measure
+    from ..sources.replicas import truth
+
+    c = rep_claims(spark, d, "part_small")
+    return measure.trust_error(baselines.source_accuracy(c, seeds_of(spark, d, "part_small")), baselines.source_accuracy(c, truth(spark, d, "part_small"), 0.0)).withColumn("error", r6("error"))
+
+
+@query
+def stream_vote_twin(spark, d):
+    e = votes.read_stream(spark, f"{d}/events.parquet", table(spark, d, "events").schema)
+    out = votes.run_complete(votes.window_votes(e, "user_id", "event_type"), "votes")
+    return out.select("user_id", F.unix_seconds("start").alias("day"), "event_type", "n")
+
+
+SQL["stream_vote_twin"] = _BATCH_SQL["events_window_vote"]

@@ -23,7 +23,7 @@ def base_cte(name: str, prefix: str = "") -> str:
     key, tables, exprs = _BASE[name]
     spec = SETS[name][3]
     cols = ", ".join(f"{exprs[a]} AS {a}" for a in SETS[name][2])
-    return f"{prefix}base AS (SELECT CAST({key} AS BIGINT) AS k, {cols} FROM {tables} WHERE {key} < {spec.limit}), {prefix}size AS (SELECT count(*) AS n FROM {prefix}base)"
+    return f"{prefix}base AS MATERIALIZED (SELECT CAST({key} AS BIGINT) AS k, {cols} FROM {tables} WHERE {key} < {spec.limit}), {prefix}size AS (SELECT count(*) AS n FROM {prefix}base)"
 
 
 def rep_cte(name: str, prefix: str = "", salt: int | None = None) -> str:
@@ -43,8 +43,8 @@ def rep_cte(name: str, prefix: str = "", salt: int | None = None) -> str:
     union = " UNION ALL ".join(f"SELECT entity_id, source_id, '{a}' AS attr, {a} AS value FROM {p}rep WHERE {a} IS NOT NULL" for a in attrs)
     truths = " UNION ALL ".join(f"SELECT k AS entity_id, '{a}' AS attr, {a} AS value FROM {p}base" for a in attrs)
     return (
-        f"{base_cte(name, p)}, {p}raw AS (SELECT k, s, {roll_sql('k', 's', 50, salt)} >= {acc} AS bad, {mixes} FROM {p}base, (SELECT CAST(unnest(range({spec.n_sources})) AS BIGINT) AS s) q WHERE {roll_sql('k', 's', 97, salt)} < {spec.coverage}), "
-        f"{p}rep AS (SELECT r.k AS entity_id, CAST(r.s AS INTEGER) AS source_id, {', '.join(cols)} FROM {p}raw r CROSS JOIN {p}size z JOIN {p}base b ON b.k = r.k JOIN {p}base x ON x.k = (r.k + 1) % z.n JOIN {p}base y ON y.k = (r.k + 1 + r.s % 5) % z.n), "
+        f"{base_cte(name, p)}, {p}raw AS MATERIALIZED (SELECT k, s, (k + 1) % (SELECT n FROM {p}size) AS xk, (k + 1 + s % 5) % (SELECT n FROM {p}size) AS yk, {roll_sql('k', 's', 50, salt)} >= {acc} AS bad, {mixes} FROM {p}base, (SELECT CAST(unnest(range({spec.n_sources})) AS BIGINT) AS s) q WHERE {roll_sql('k', 's', 97, salt)} < {spec.coverage}), "
+        f"{p}rep AS MATERIALIZED (SELECT r.k AS entity_id, CAST(r.s AS INTEGER) AS source_id, {', '.join(cols)} FROM {p}raw r JOIN {p}base b ON b.k = r.k JOIN {p}base x ON x.k = r.xk JOIN {p}base y ON y.k = r.yk), "
         f"{p}claims AS ({union}), {p}truth AS ({truths})"
     )
 
