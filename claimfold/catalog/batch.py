@@ -582,7 +582,7 @@ _WEATHER = "SELECT user_id * 1000 + CAST(floor(epoch(ts)) AS BIGINT) // 129600 %
 def weather_wide(spark, d):
     """Events of a user within 36 hours are one entity; the source is by event id."""
     e = table(spark, d, "events")
-    w = F.expr("cast(floor(unix_seconds(ts)) as bigint) div 129600 % 1000")
+    w = F.expr("unix_seconds(cast(ts as timestamp)) div 129600 % 1000")
     return e.select((F.col("user_id") * 1000 + w).alias("entity_id"), (F.col("event_id") % 11).cast("int").alias("source_id"), "event_type", F.expr("cast(cast(floor(value) as bigint) div 10 as string)").alias("band"), F.hour("ts").cast("string").alias("hour"))
 
 
@@ -664,8 +664,8 @@ def asof_last_claim(spark, d):
 def interval_join(spark, d):
     e = table(spark, d, "events")
     width = 21600
-    a = e.where("event_type = 'view'").select("user_id", F.col("event_id").alias("view_id"), F.col("ts").alias("t1"), F.explode(F.array(F.expr(f"unix_seconds(ts) div {width}"), F.expr(f"unix_seconds(ts) div {width} + 1"))).alias("slot"))
-    b = e.where("event_type = 'purchase'").select("user_id", F.col("event_id").alias("purchase_id"), F.col("ts").alias("t2"), F.expr(f"unix_seconds(ts) div {width}").alias("slot"))
+    a = e.where("event_type = 'view'").select("user_id", F.col("event_id").alias("view_id"), F.col("ts").alias("t1"), F.explode(F.array(F.expr(f"unix_seconds(cast(ts as timestamp)) div {width}"), F.expr(f"unix_seconds(cast(ts as timestamp)) div {width} + 1"))).alias("slot"))
+    b = e.where("event_type = 'purchase'").select("user_id", F.col("event_id").alias("purchase_id"), F.col("ts").alias("t2"), F.expr(f"unix_seconds(cast(ts as timestamp)) div {width}").alias("slot"))
     return a.join(b, ["user_id", "slot"]).where("t2 >= t1 and t2 < t1 + interval 6 hours").select("view_id", "purchase_id")
 
 

@@ -103,7 +103,10 @@ class Fitted:
     def load(spark: SparkSession, path: str) -> Fitted:
         rows = sorted(spark.read.parquet(path).collect(), key=lambda r: r["stage"])
         s = {k: tuple(v) if isinstance(v, list) else v for k, v in json.loads(rows[0]["settings"]).items()}
-        return Fitted(Settings(**s), json.loads(rows[0]["sources"]), json.loads(rows[0]["names"]), [StageModel(**json.loads(r["model"])) for r in rows])
+        stages = [StageModel(**json.loads(r["model"])) for r in rows]
+        for m in stages:
+            m.platt = {a: tuple(ab) for a, ab in m.platt.items()}
+        return Fitted(Settings(**s), json.loads(rows[0]["sources"]), json.loads(rows[0]["names"]), stages)
 
 
 # -- features --------------------------------------------------------------------
@@ -273,7 +276,7 @@ def _train(featured: DataFrame, labels: DataFrame, s: Settings, sources: list[in
     rows = featured.where(F.col("slot") < s.max_slots).join(labels, list(CELL))
     rows = rows.withColumn("truth_slot", F.max(F.when(F.col("value") == F.col("truth"), F.col("slot")).otherwise(-1)).over(Window.partitionBy(*CELL)))
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         got = _candidate_fit(pdf, order, s.l2_grid, s.calibrate) if s.layout == "candidate" else _cell_fit(pdf, order, s)
         return pd.DataFrame({"attr": [key[0]], "model": [json.dumps(got)]})
 
