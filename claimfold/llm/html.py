@@ -50,7 +50,7 @@ class Weights:
     word: float = 1.0
     linked: float = -0.5
     named: float = -1.0
-    named_part: float = -8.0
+    named_part: float = -2.0
     other_tag: float = -0.4
     tags: dict[str, float] = field(default_factory=dict)
 
