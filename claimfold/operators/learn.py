@@ -58,12 +58,14 @@ def gradient_softmax(x: np.ndarray, y: np.ndarray, n_slots: int, weight: np.ndar
     return w
 
 
-def conditional_softmax(x: np.ndarray, y: np.ndarray, group: np.ndarray, weight: np.ndarray, l2: float, rounds: int = 25) -> np.ndarray:
+def conditional_softmax(x: np.ndarray, y: np.ndarray, group: np.ndarray, weight: np.ndarray, l2: float | np.ndarray, rounds: int = 25) -> np.ndarray:
     """Shared weights for candidates that compete within their group, by Newton's method.
 
     x: candidates by features; y: 1 for the truth; group: dense numbers, sorted;
-    weight: of each group.  Groups without a truth must be left out before.
+    weight: of each group; l2: one ridge, or one for each feature.  Groups without
+    a truth must be left out before.
     """
+    l2 = np.broadcast_to(np.asarray(l2, dtype=float), x.shape[1])
     starts = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
     size = np.diff(np.append(starts, len(group)))
     of = np.repeat(np.arange(len(starts)), size)
@@ -79,7 +81,7 @@ def conditional_softmax(x: np.ndarray, y: np.ndarray, group: np.ndarray, weight:
 
     def loss(v: np.ndarray) -> float:
         p = np.add.reduceat(probabilities(v) * y, starts)
-        return -(gw * np.log(np.maximum(p, 1e-12))).sum() / total + l2 * v @ v / 2
+        return -(gw * np.log(np.maximum(p, 1e-12))).sum() / total + (l2 * v) @ v / 2
 
     last = loss(w)
     for _ in range(rounds):
@@ -87,7 +89,7 @@ def conditional_softmax(x: np.ndarray, y: np.ndarray, group: np.ndarray, weight:
         g = ((p - y) * gw[of]) @ x / total + l2 * w
         mean = np.add.reduceat(x * p[:, None], starts, axis=0)
         h = (x * (p * gw[of])[:, None]).T @ x - (mean * gw[:, None]).T @ mean
-        h = h / total + l2 * np.eye(len(w))
+        h = h / total + np.diag(l2)
         step = np.linalg.solve(h, g)
         scale = 1.0
         while scale > 1e-4 and loss(w - scale * step) > last - 1e-4 * scale * (g @ step):

@@ -47,6 +47,8 @@ class Settings:
     weak_weight: float = 0.1
     dynamic_from: str = "model"
     l2_grid: tuple[float, ...] = (0.003, 0.01, 0.03, 0.1)
+    #: Times the ridge of other features that source weights have.
+    source_ridge: float = 30.0
     optimiser: str = "newton"
     epochs: int = 500
     calibrate: bool = True
@@ -205,7 +207,7 @@ def _source_block(sources: list[list[int]], order: dict[int, int]) -> np.ndarray
     return out
 
 
-def _candidate_fit(pdf: pd.DataFrame, order: dict[int, int], grid: tuple[float, ...], calibrate: bool) -> dict:
+def _candidate_fit(pdf: pd.DataFrame, order: dict[int, int], grid: tuple[float, ...], calibrate: bool, source_ridge: float = 1.0) -> dict:
     """Fit on training cells, choose l2 on validation cells."""
     pdf = pdf.sort_values(["entity_id", "slot"]).reset_index(drop=True)
     x = np.array(pdf["x"].tolist(), dtype=float)
@@ -222,8 +224,10 @@ def _candidate_fit(pdf: pd.DataFrame, order: dict[int, int], grid: tuple[float,
         w = np.zeros(x.shape[1])
         return {"w": w.tolist(), "mean": mean.tolist(), "scale": scale.tolist(), "l2": grid[0], "a": 1.0, "b": 0.0}
     best = None
+    # Sources are many and each is rarely right or wrong on a seed: their weights are held down more.
+    ridge = np.concatenate([np.ones(len(mean)), np.full(x.shape[1] - len(mean), source_ridge)])
     for l2 in grid if valid.any() else grid[len(grid) // 2 :][:1]:
-        w = conditional_softmax(x[train], y[train], group[train], weight[train], l2)
+        w = conditional_softmax(x[train], y[train], group[train], weight[train], l2 * ridge)
         if not valid.any():
             best = (0.0, l2, w)
             break
@@ -245,6 +249,9 @@ def _candidate_fit(pdf: pd.DataFrame, order: dict[int, int], grid: tuple[float,
             p = e / np.bincount(g, weights=e)[g]
             losses.append(-np.log(np.maximum(p[y[valid] > 0], 1e-12)).mean())
         a = float(choices[int(np.argmin(losses))])
+    if valid.any():  # with l2 chosen, the validation cells teach too
+        both = train | valid
+        w = conditional_softmax(x[both], y[both], group[both], weight[both], l2 * ridge)
     return {"w": w.tolist(), "mean": mean.tolist(), "scale": scale.tolist(), "l2": l2, "a": a, "b": b}
 
 
@@ -277,7 +284,7 @@ def _train(featured: DataFrame, labels: DataFrame, s: Settings, sources: list[in
     rows = rows.withColumn("truth_slot", F.max(F.when(F.col("value") == F.col("truth"), F.col("slot")).otherwise(-1)).over(Window.partitionBy(*CELL)))
 
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        got = _candidate_fit(pdf, order, s.l2_grid, s.calibrate) if s.layout == "candidate" else _cell_fit(pdf, order, s)
+        got = _candidate_fit(pdf, order, s.l2_grid, s.calibrate, s.source_ridge) if s.layout == "candidate" else _cell_fit(pdf, order, s)
         return pd.DataFrame({"attr": [key[0]], "model": [json.dumps(got)]})
 
     model = StageModel(stage, 0.0)
@@ -377,7 +384,9 @@ def fit(wide: DataFrame, seeds: DataFrame, s: Settings) -> tuple[Fitted, DataFra
     if s.use_source and "source" in s.models:
         sources = sorted(r[0] for r in wide.select("source_id").where("source_id is not null").distinct().limit(4096).collect())
     out = Fitted(s, sources, [], [])
-    labels = update_labels(seeds, cands.where("slot = 0").select(*CELL, "value"))
+    # With dynamic_from='model' no feature of a known entity has seen its truth, at no stage.
+    votes = cands.where("slot = 0").select(*CELL, "value")
+    labels = votes if s.dynamic_from == "model" else update_labels(seeds, votes).select(*CELL, "value")
     predicted = scored = None
     for stage in range(s.stages):
         featured, more = _dynamic(wide, cands, labels, s, stage)
@@ -388,8 +397,7 @@ def fit(wide: DataFrame, seeds: DataFrame, s: Settings) -> tuple[Fitted, DataFra
         scored = settle(_score(featured, model, s, sources), f"resolver-scored{stage}")
         predicted = top(scored)
         out.history.append(scored)
-        # With dynamic_from='model' the features of known entities use predictions too: the truth can't leak into them.
-        labels = predicted.select(*CELL, "value") if s.dynamic_from == "model" else update_labels(seeds, predicted.select(*CELL, "value"))
+        labels = predicted.select(*CELL, "value") if s.dynamic_from == "model" else update_labels(seeds, predicted.select(*CELL, "value")).select(*CELL, "value")
     return out, scored
 
 
