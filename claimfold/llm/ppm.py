@@ -1,5 +1,8 @@
 """Prediction by partial matching over bytes, with symbol exclusion, trained on the whole corpus.
 
+What is coded is the same as the unigram base codes: the words in lower case (A
+to Z), here byte by byte with a blank between, and the end.
+
 The context trie has the last ORDER bytes of every training place.  A byte is
 coded at the longest context seen; where it is new there, an escape is coded and
 the next shorter context tries, without the symbols that the longer one has seen.
@@ -29,7 +32,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .shared import settle, spread, text_bytes_total
-from .words import Words, chunks, mix64, text_bytes
+from .words import Words, chunks, mix64
 
 ORDER = 4
 #: Bytes that UTF-8 never has: before a text, and its end, which is coded like a byte.
@@ -74,7 +77,7 @@ class Trie:
         return out - math.log10(max(1, SYMBOLS - len(excluded)))
 
     def places(self, text: str | None):
-        data = bytes([PAD]) * self.order + (text or "").encode() + bytes([END])
+        data = bytes([PAD]) * self.order + b" ".join((text or "").encode().lower().split()) + bytes([END])
         for i in range(self.order, len(data)):
             yield data[i - self.order : i], data[i]
 
@@ -105,11 +108,27 @@ def adaptive_scores(docs: DataFrame, id: str = "doc_id", text: str = "text", ord
     return docs.select(id, text).mapInArrow(run, f"`{id}` {docs.schema[id].dataType.simpleString()}, n_bytes long, score double")
 
 
+def normal_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Lower-cased words joined by one blank, and END, of all texts in a row; and each text's start."""
+    w = Words(column, lower=True)
+    turn = np.zeros(len(w.bytes) + 1, dtype=np.int8)
+    turn[w.start] += 1
+    turn[w.end] -= 1
+    keep = np.cumsum(turn)[:-1].astype(bool)
+    keep[w.end] = True  # one blank after each word
+    close = w.doc_start[1:] - 1
+    close[w.count > 0] = w.end[w.first[1:][w.count > 0] - 1]
+    keep[close] = True
+    out = np.where(keep, w.bytes, 0)
+    out[w.end] = 0x20
+    out[close] = END
+    ends = np.cumsum(keep)[close]
+    return out[keep], np.concatenate([[0], ends])
+
+
 def _events(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Codes of all coded places: the last four bytes, latest first, then the byte; and each text's first place."""
-    raw, start = text_bytes(column)
-    raw = raw.copy()
-    raw[start[1:] - 1] = END
+    raw, start = normal_bytes(column)
     n = len(raw)
     at = np.arange(n) - np.repeat(start[:-1], np.diff(start))
     code = np.zeros(n, dtype=np.uint64)
