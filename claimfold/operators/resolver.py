@@ -17,6 +17,7 @@ more than `max_train`, and are a few numbers an attribute.
 from __future__ import annotations
 
 import json
+import math
 from dataclasses import asdict, dataclass, field, replace
 
 import numpy as np
@@ -29,6 +30,7 @@ from ..functions.noise import mix
 from ..plans.rules import parse_rule, rules_on, violations
 from ..plans.workspace import settle
 from . import augment as augmentation
+from .baselines import source_accuracy
 from .claims import CELL, seed_split
 from .features import BLOCKS, distance, format_ngrams, hash_embedding, mean_vector
 from .infer import update_labels
@@ -47,8 +49,8 @@ class Settings:
     weak_weight: float = 0.1
     dynamic_from: str = "model"
     l2_grid: tuple[float, ...] = (0.003, 0.01, 0.03, 0.1)
-    #: Times the ridge of other features that source weights have.
-    source_ridge: float = 30.0
+    #: Times the ridge of other features that source weights have: chosen on validation cells, like l2.
+    source_ridges: tuple[float, ...] = (1.0, 10.0, 100.0)
     optimiser: str = "newton"
     epochs: int = 500
     calibrate: bool = True
@@ -94,11 +96,12 @@ class Fitted:
     sources: list[int]
     names: list[str]
     stages: list[StageModel]
+    trust: list[float] = field(default_factory=list)
     history: list[DataFrame] = field(default_factory=list)
 
     def save(self, spark: SparkSession, path: str) -> None:
         """Models as one small Parquet row a stage, so that they can be read back anywhere."""
-        rows = [(json.dumps(asdict(self.settings)), json.dumps(self.sources), json.dumps(self.names), m.stage, json.dumps(asdict(m))) for m in self.stages]
+        rows = [(json.dumps(asdict(self.settings)), json.dumps([self.sources, self.trust]), json.dumps(self.names), m.stage, json.dumps(asdict(m))) for m in self.stages]
         spark.createDataFrame(rows, "settings string, sources string, names string, stage int, model string").coalesce(1).write.parquet(path)
 
     @staticmethod
@@ -108,7 +111,8 @@ class Fitted:
         stages = [StageModel(**json.loads(r["model"])) for r in rows]
         for m in stages:
             m.platt = {a: tuple(ab) for a, ab in m.platt.items()}
-        return Fitted(Settings(**s), json.loads(rows[0]["sources"]), json.loads(rows[0]["names"]), stages)
+        sources, trust = json.loads(rows[0]["sources"])
+        return Fitted(Settings(**s), sources, json.loads(rows[0]["names"]), stages, trust)
 
 
 # -- features --------------------------------------------------------------------
@@ -168,11 +172,19 @@ def _static(wide: DataFrame, s: Settings) -> tuple[DataFrame, list[str]]:
     return cand.select(*CELL, "value", "support", "slot", "n_slots", static.cast("array<double>").alias("static"), sources.alias("sources")), names
 
 
-def _dynamic(wide: DataFrame, cands: DataFrame, labels: DataFrame, s: Settings, stage: int) -> tuple[DataFrame, list[str]]:
-    """Candidates with `x`: static features, and those that depend on the labels (entity_id, attr, value)."""
+def _dynamic(wide: DataFrame, cands: DataFrame, labels: DataFrame, s: Settings, stage: int, sources: list[int] = (), trust: list[float] = ()) -> tuple[DataFrame, list[str]]:
+    """Candidates with `x`: static features, and those that depend on the labels (entity_id, attr, value).
+
+    trust has a log-odds for each source, by the known cells of all attributes
+    together: one number that few seeds can tell, beside the sources' own weights.
+    """
     names: list[str] = []
     parts = [F.col("static")]
     out = cands
+    if trust:
+        known, odds = F.array(*[F.lit(v) for v in sources]).cast("array<int>"), F.array(*[F.lit(float(v)) for v in trust])
+        parts.append(F.array(F.aggregate("sources", F.lit(0.0), lambda t, v: t + F.coalesce(F.get(odds, (F.array_position(known, v) - 1).cast("int")), F.lit(0.0)))))
+        names.append("trust")
     if "cooc" in s.models and len(s.attrs) > 1:
         # Labels nested by entity: the only join of a stage is on the entity.
         nested = labels.groupBy("entity_id").agg(F.map_from_entries(F.collect_list(F.struct("attr", "value"))).alias("_said"))
@@ -207,8 +219,8 @@ def _source_block(sources: list[list[int]], order: dict[int, int]) -> np.ndarray
     return out
 
 
-def _candidate_fit(pdf: pd.DataFrame, order: dict[int, int], grid: tuple[float, ...], calibrate: bool, source_ridge: float = 1.0) -> dict:
-    """Fit on training cells, choose l2 on validation cells."""
+def _candidate_fit(pdf: pd.DataFrame, order: dict[int, int], grid: tuple[float, ...], calibrate: bool, source_ridges: tuple[float, ...] = (1.0,)) -> dict:
+    """Fit on training cells, choose l2 and the sources' share of it on validation cells."""
     pdf = pdf.sort_values(["entity_id", "slot"]).reset_index(drop=True)
     x = np.array(pdf["x"].tolist(), dtype=float)
     mean, scale = x.mean(axis=0), x.std(axis=0)
@@ -220,14 +232,18 @@ def _candidate_fit(pdf: pd.DataFrame, order: dict[int, int], grid: tuple[float,
     valid = (pdf["part"] == "validation").to_numpy() & has
     train = (pdf["part"] != "validation").to_numpy() & has
     weight = pdf["weight"].to_numpy(float)
+    # Weak labels all say what the vote says: together they weigh `weak_weight` times the seeds, however many they are.
+    weak = (pdf["part"] == "weak").to_numpy()
+    if weak.any() and (train & ~weak).any():
+        weight[weak] *= len(np.unique(group[train & ~weak])) / len(np.unique(group[weak]))
     if not train.any():
         w = np.zeros(x.shape[1])
         return {"w": w.tolist(), "mean": mean.tolist(), "scale": scale.tolist(), "l2": grid[0], "a": 1.0, "b": 0.0}
     best = None
-    # Sources are many and each is rarely right or wrong on a seed: their weights are held down more.
-    ridge = np.concatenate([np.ones(len(mean)), np.full(x.shape[1] - len(mean), source_ridge)])
-    for l2 in grid if valid.any() else grid[len(grid) // 2 :][:1]:
-        w = conditional_softmax(x[train], y[train], group[train], weight[train], l2 * ridge)
+    # Sources are many and each is rarely right or wrong on a seed: their weights may be held down more.
+    ridges = [l2 * np.concatenate([np.ones(len(mean)), np.full(x.shape[1] - len(mean), r)]) for l2 in grid for r in source_ridges]
+    for l2 in ridges if valid.any() else ridges[len(ridges) // 2 :][:1]:
+        w = conditional_softmax(x[train], y[train], group[train], weight[train], l2)
         if not valid.any():
             best = (0.0, l2, w)
             break
@@ -251,8 +267,8 @@ def _candidate_fit(pdf: pd.DataFrame, order: dict[int, int], grid: tuple[float,
         a = float(choices[int(np.argmin(losses))])
     if valid.any():  # with l2 chosen, the validation cells teach too
         both = train | valid
-        w = conditional_softmax(x[both], y[both], group[both], weight[both], l2 * ridge)
-    return {"w": w.tolist(), "mean": mean.tolist(), "scale": scale.tolist(), "l2": l2, "a": a, "b": b}
+        w = conditional_softmax(x[both], y[both], group[both], weight[both], l2)
+    return {"w": w.tolist(), "mean": mean.tolist(), "scale": scale.tolist(), "l2": float(l2[0]), "a": a, "b": b}
 
 
 def _cell_fit(pdf: pd.DataFrame, order: dict[int, int], s: Settings) -> dict:
@@ -284,7 +300,7 @@ def _train(featured: DataFrame, labels: DataFrame, s: Settings, sources: list[in
     rows = rows.withColumn("truth_slot", F.max(F.when(F.col("value") == F.col("truth"), F.col("slot")).otherwise(-1)).over(Window.partitionBy(*CELL)))
 
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        got = _candidate_fit(pdf, order, s.l2_grid, s.calibrate, s.source_ridge) if s.layout == "candidate" else _cell_fit(pdf, order, s)
+        got = _candidate_fit(pdf, order, s.l2_grid, s.calibrate, s.source_ridges if sources else (1.0,)) if s.layout == "candidate" else _cell_fit(pdf, order, s)
         return pd.DataFrame({"attr": [key[0]], "model": [json.dumps(got)]})
 
     model = StageModel(stage, 0.0)
@@ -358,7 +374,7 @@ def _label_table(cands: DataFrame, seeds: DataFrame, predicted: DataFrame | None
         return known
     weak = (predicted if predicted is not None else cands.where("slot = 0")).select(*CELL, F.col("value").alias("truth")).join(seeds.select("entity_id").distinct(), "entity_id", "left_anti")
     some = weak.select("entity_id").distinct().orderBy(mix("entity_id", 5, 93, s.seed), "entity_id").limit(s.max_train)
-    return known.union(weak.join(F.broadcast(some), "entity_id").select(*CELL, "truth", F.lit("train"), F.lit(float(s.weak_weight))))
+    return known.union(weak.join(F.broadcast(some), "entity_id").select(*CELL, "truth", F.lit("weak"), F.lit(float(s.weak_weight))))
 
 
 def fit(wide: DataFrame, seeds: DataFrame, s: Settings) -> tuple[Fitted, DataFrame]:
@@ -383,13 +399,18 @@ def fit(wide: DataFrame, seeds: DataFrame, s: Settings) -> tuple[Fitted, DataFra
     sources: list[int] = []
     if s.use_source and "source" in s.models:
         sources = sorted(r[0] for r in wide.select("source_id").where("source_id is not null").distinct().limit(4096).collect())
-    out = Fitted(s, sources, [], [])
+    trust: list[float] = []
+    if sources:
+        said = wide.unpivot(["entity_id", "source_id"], list(s.attrs), "attr", "value").where("value is not null")
+        rates = {r["source_id"]: r["accuracy"] for r in source_accuracy(said, seeds).collect()}  # one row a source
+        trust = [math.log(rates.get(v, 0.5) / (1 - rates.get(v, 0.5))) for v in sources]
+    out = Fitted(s, sources, [], [], trust)
     # With dynamic_from='model' no feature of a known entity has seen its truth, at no stage.
     votes = cands.where("slot = 0").select(*CELL, "value")
     labels = votes if s.dynamic_from == "model" else update_labels(seeds, votes).select(*CELL, "value")
     predicted = scored = None
     for stage in range(s.stages):
-        featured, more = _dynamic(wide, cands, labels, s, stage)
+        featured, more = _dynamic(wide, cands, labels, s, stage, sources, trust)
         out.names = [*names, *more]
         featured = settle(featured, f"resolver-stage{stage}")
         model = _train(featured, _label_table(cands, seeds, predicted, s), s, sources, stage)
@@ -418,7 +439,7 @@ def resolve_new(fitted: Fitted, wide: DataFrame) -> DataFrame:
     labels = cands.where("slot = 0").select(*CELL, "value")
     scored = None
     for m in fitted.stages:
-        featured, _ = _dynamic(wide, cands, labels, s, m.stage)
+        featured, _ = _dynamic(wide, cands, labels, s, m.stage, fitted.sources, fitted.trust)
         scored = settle(_score(featured, m, s, fitted.sources), f"resolver-new{m.stage}")
         labels = top(scored).select(*CELL, "value")
     return scored

@@ -94,11 +94,11 @@ def supplier_base(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 #: name: (base, key, attributes, parameters).  The stand-ins for the five data sets, and a tiny one.
 SETS = {
-    "orders": (orders_base, "o_orderkey", ["o_orderstatus", "o_orderpriority", "o_orderdate", "o_totalprice", "o_custkey", "c_mktsegment"], Spec(37, 670, limit=2300)),
-    "part": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size", "p_retailprice", "colour", "noun", "brand_no", "size_band", "price_band"], Spec(55, 1000, trusted=0, limit=2066)),
-    "part_vote": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size", "p_retailprice", "colour", "noun", "brand_no"], Spec(55, 1000, salt=7, limit=1954)),
+    "orders": (orders_base, "o_orderkey", ["o_orderstatus", "o_orderpriority", "o_orderdate", "o_totalprice", "o_custkey", "c_mktsegment"], Spec(37, 670, high=600, low=0, limit=2300)),
+    "part": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size", "p_retailprice", "colour", "noun", "brand_no", "size_band", "price_band"], Spec(55, 1000, high=450, low=50, trusted=0, limit=2066)),
+    "part_vote": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size", "p_retailprice", "colour", "noun", "brand_no"], Spec(55, 1000, high=600, low=100, salt=7, limit=1954)),
     "part_small": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size"], Spec(11, 900, high=700, low=300, limit=600)),
-    "customer": (customer_base, "c_custkey", ["c_name", "c_mktsegment", "c_nationkey", "n_name", "r_name", "c_acctbal"], Spec(12, 580, high=750, low=450, limit=494)),
+    "customer": (customer_base, "c_custkey", ["c_name", "c_mktsegment", "c_nationkey", "n_name", "r_name", "c_acctbal"], Spec(12, 580, high=700, low=250, limit=494)),
     "supplier": (supplier_base, "s_suppkey", ["s_name", "s_nationkey", "s_acctbal"], Spec(11, 800, high=700, low=350, limit=100)),
 }
 
