@@ -33,7 +33,7 @@ PERMUTATIONS, ROWS, WIDTH = 90, 6, 5
 BANDS = 2 * PERMUTATIONS // ROWS
 SALTS = 32
 #: Documents of a block: a sixteenth of the group, within these bounds.
-BLOCK_LEAST, BLOCK_MOST = 256, 8192
+BLOCK_LEAST, BLOCK_MOST = 256, 4096
 
 _MULTIPLY = mix64(np.arange(1, PERMUTATIONS + 1, dtype=np.uint64)) | np.uint64(1)
 _ADD = mix64(np.arange(1001, PERMUTATIONS + 1001, dtype=np.uint64))

@@ -24,6 +24,7 @@ pair that every text has is one entry a batch.
 from __future__ import annotations
 
 import math
+import uuid
 from collections import defaultdict
 
 import numpy as np
@@ -38,7 +39,7 @@ ORDER = 4
 #: Bytes that UTF-8 never has: before a text, and its end, which is coded like a byte.
 PAD, END = 0xFF, 0xFE
 SYMBOLS = 255
-BATCH_BYTES, PLACES = 6 << 20, 23
+BATCH_BYTES, PLACES = 3 << 20, 23
 END_TOKEN = mix64(np.array([0x1D8AF066], dtype=np.uint64))[0]
 
 
@@ -110,6 +111,15 @@ def adaptive_scores(docs: DataFrame, id: str = "doc_id", text: str = "text", ord
 
 def normal_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Lower-cased words joined by one blank, and END, of all texts in a row; and each text's start."""
+    parts, sizes = [np.zeros(0, np.uint8)], [np.zeros(1, np.int64)]
+    for x, y in chunks(column):
+        raw, start = _normal_chunk(column.slice(x, y - x))
+        parts.append(raw)
+        sizes.append(np.diff(start))
+    return np.concatenate(parts), np.cumsum(np.concatenate(sizes))
+
+
+def _normal_chunk(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     w = Words(column, lower=True)
     turn = np.zeros(len(w.bytes) + 1, dtype=np.int8)
     turn[w.start] += 1
@@ -129,46 +139,54 @@ def normal_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 def _events(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Codes of all coded places: the last four bytes, latest first, then the byte; and each text's first place."""
     raw, start = normal_bytes(column)
-    n = len(raw)
-    at = np.arange(n) - np.repeat(start[:-1], np.diff(start))
-    code = np.zeros(n, dtype=np.uint64)
+    code, size = np.zeros(len(raw), dtype=np.uint64), np.diff(start)
     for k in range(1, ORDER + 1):
-        back = np.full(n, PAD, dtype=np.uint64)
-        back[k:] = raw[:-k] if k < n else raw[:0]
-        back[at < k] = PAD
-        code = code << np.uint64(8) | back
-    return code << np.uint64(8) | raw, start
+        back = np.empty_like(raw)
+        back[k:], back[:k] = raw[:-k], PAD
+        for j in range(k):  # what lies before a text's start
+            back[(start[:-1] + j)[size > j]] = PAD
+        code <<= np.uint64(8)
+        code |= back
+    code <<= np.uint64(8)
+    code |= raw
+    return code, start
 
 
 def _low_orders(batches):
     """Counts of (two last bytes, byte) of training texts."""
     for b in batches:
         text = b.column(0)
-        total = np.zeros(1 << 24, dtype=np.int64)
+        found = [np.zeros((2, 0), np.int64)]
         for x, y in chunks(text):
             code, _ = _events(text.slice(x, y - x))
-            total += np.bincount(((code >> np.uint64(24)) << np.uint64(8) | (code & np.uint64(255))).astype(np.int64), minlength=1 << 24)
-        keys = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(keys.astype(np.int32)), pa.array(total[keys])], names=["key", "n"])
+            keys, n = np.unique((code >> np.uint64(24)) << np.uint64(8) | (code & np.uint64(255)), return_counts=True)
+            found.append(np.stack([keys.astype(np.int64), n]))
+        keys, n = np.concatenate(found, axis=1)
+        keys, at = np.unique(keys, return_inverse=True)
+        yield pa.RecordBatch.from_arrays([pa.array(keys.astype(np.int32)), pa.array(np.bincount(at, weights=n, minlength=len(keys)).astype(np.int64))], names=["key", "n"])
 
 
 class Low:
     """Orders 0 to 2 with totals, kinds and, for exclusion, what the suffix has of the symbols seen."""
 
     def __init__(self, keys: np.ndarray, counts: np.ndarray):
-        n2 = np.zeros((256, 256, 256), dtype=np.float32 if counts.sum() < 1 << 24 else np.float64)
-        n2.reshape(-1)[keys] = counts
-        # key is (last, last but one, byte)
-        self.n2, self.n1 = n2, n2.sum(axis=1, dtype=np.float64)
+        # key is (last, last but one, byte); rows are the pairs seen, 65,536 at most, and one of zeros
+        pairs, at = np.unique(keys >> 8, return_inverse=True)
+        self.row = np.full(1 << 16, len(pairs), dtype=np.int64)
+        self.row[pairs] = np.arange(len(pairs))
+        self.n2, last = np.zeros((len(pairs) + 1, 256)), pairs >> 8
+        self.n2[at, keys & 255] = counts
+        self.n1 = np.zeros((256, 256))
+        np.add.at(self.n1, last, self.n2[:-1])
         self.n0 = self.n1.sum(axis=0)
-        self.t2, self.d2 = n2.sum(axis=2, dtype=np.float64), (n2 > 0).sum(axis=2)
+        self.t2, self.d2 = self.n2.sum(axis=1), (self.n2 > 0).sum(axis=1)
         self.t1, self.d1 = self.n1.sum(axis=1), (self.n1 > 0).sum(axis=1)
         self.t0, self.d0 = self.n0.sum(), int((self.n0 > 0).sum())
-        self.e2 = np.stack([((n2[c] > 0) * self.n1[c][None, :]).sum(axis=1) for c in range(256)])
+        self.e2 = np.append(((self.n2[:-1] > 0) * self.n1[last]).sum(axis=1), 0.0)
         self.e1 = ((self.n1 > 0) * self.n0[None, :]).sum(axis=1)
 
 
-_low: dict[int, Low] = {}
+_low: dict[str, Low] = {}
 
 
 def _code_lengths(code: np.ndarray, count: np.ndarray, low: Low, escape: str) -> np.ndarray:
@@ -193,16 +211,17 @@ def _code_lengths(code: np.ndarray, count: np.ndarray, low: Low, escape: str) ->
     at3, of3 = groups(u3 >> np.uint64(8))
     a, b, z = (u3 >> np.uint64(24)).astype(np.int64), (u3 >> np.uint64(16) & np.uint64(255)).astype(np.int64), (u3 & np.uint64(255)).astype(np.int64)
     # n2 is known for whole contexts; a symbol seen after three bytes has n3 > 0.
-    t3, d3, e3 = (np.add.reduceat(v, at3) for v in (n3s, (n3s > 0) * 1.0, (n3s > 0) * low.n2[a, b, z]))
+    t3, d3, e3 = (np.add.reduceat(v, at3) for v in (n3s, (n3s > 0) * 1.0, (n3s > 0) * low.n2[low.row[a << 8 | b], z]))
     back = np.empty(len(code), dtype=np.int64)
     back[order] = of3[of3s]
     t4, d4, e4 = (np.add.reduceat(v, at4)[of4] for v in (n4, (n4 > 0) * 1.0, (n4 > 0) * n3))
     t3, d3, e3 = t3[back], d3[back], e3[back]
+    row = low.row[c1 << 8 | c2]
     levels = [
         (n4, t4, d4),
         (n3, t3 - e4, d3 - d4),
-        (low.n2[c1, c2, s].astype(np.float64), low.t2[c1, c2] - e3, low.d2[c1, c2] - d3),
-        (low.n1[c1, s], low.t1[c1] - low.e2[c1, c2], low.d1[c1] - low.d2[c1, c2]),
+        (low.n2[row, s], low.t2[row] - e3, low.d2[row] - d3),
+        (low.n1[c1, s], low.t1[c1] - low.e2[row], low.d1[c1] - low.d2[row]),
         (low.n0[s], low.t0 - low.e1[c1], low.d0 - low.d1[c1]),
     ]
     out, open_ = np.zeros(len(code)), np.ones(len(code), dtype=bool)
@@ -231,8 +250,11 @@ class Batch:
         train = np.repeat(~held, np.diff(self.start))
         n = len(code)
         if n < 1 << PLACES:  # one sort of pair and place together
-            both = np.sort(code << np.uint64(PLACES) | np.arange(n, dtype=np.uint64))
-            self.place, code = (both & np.uint64((1 << PLACES) - 1)).astype(np.int64), both >> np.uint64(PLACES)
+            code <<= np.uint64(PLACES)
+            code |= np.arange(n, dtype=np.uint64)
+            code.sort()
+            self.place = (code & np.uint64((1 << PLACES) - 1)).astype(np.int32)
+            code >>= np.uint64(PLACES)
         else:
             self.place = np.argsort(code, kind="stable")
             code = code[self.place]
@@ -269,6 +291,8 @@ def _requests(buckets: int):
 
 
 def _answers(low, escape: str):
+    token = uuid.uuid4().hex
+
     def run(asked: pa.Table) -> pa.Table:
         kind = asked.column("kind")[0].as_py()
         homes = asked.column("b").to_pylist()
@@ -277,10 +301,10 @@ def _answers(low, escape: str):
         whole, at = np.unique(np.concatenate(keys), return_inverse=True)
         count = np.bincount(at, weights=np.concatenate(counts), minlength=len(whole))
         if kind == 0:
-            if id(low) not in _low:
+            if token not in _low:  # built once in each Python worker
                 _low.clear()
-                _low[id(low)] = Low(*low.value)
-            answer = _code_lengths(whole, count, _low[id(low)], escape)
+                _low[token] = Low(*low.value)
+            answer = _code_lengths(whole, count, _low[token], escape)
         else:
             answer = count.astype(np.float64)
         answer = answer[at]
