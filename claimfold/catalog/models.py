@@ -205,7 +205,7 @@ def trust_error(spark, d):
 
 @query
 def stream_vote_twin(spark, d):
-    e = votes.read_stream(spark, f"{d}/events.parquet", table(spark, d, "events").schema).withColumn("ts", F.col("ts").cast("timestamp"))
+    e = votes.read_stream(spark, f"{d}/event[s].parquet", table(spark, d, "events").schema).withColumn("ts", F.col("ts").cast("timestamp"))
     out = votes.run_complete(votes.window_votes(e, "user_id", "event_type"), "votes")
     return out.select("user_id", F.unix_seconds("start").alias("day"), "event_type", "n")
 
