@@ -39,13 +39,13 @@ def line_claims(spark: SparkSession, d: str) -> DataFrame:
     return claims.to_claims(df, "l_partkey", list(text.LINE_ATTRS), "_s").select("entity_id", "source_id", "attr", "value")
 
 
-def rep_claims(spark: SparkSession, d: str, name: str, salt: int | None = None) -> DataFrame:
-    wide = replicas(spark, d, name, salt)
+def rep_claims(spark: SparkSession, d: str, name: str, salt: int | None = None, whole: bool = False) -> DataFrame:
+    wide = replicas(spark, d, name, salt, whole=whole)
     return wide.unpivot(["entity_id", "source_id"], SETS[name][2], "attr", "value").where("value is not null")
 
 
-def seeds_of(spark: SparkSession, d: str, name: str, train: float = 0.1) -> DataFrame:
-    t = truth(spark, d, name)
+def seeds_of(spark: SparkSession, d: str, name: str, train: float = 0.1, whole: bool = False) -> DataFrame:
+    t = truth(spark, d, name, whole=whole)
     return t.join(claims.seed_split(t, train).where("part = 'train'").select("entity_id"), "entity_id").select(*CELL, "value")
 
 
@@ -67,6 +67,7 @@ def claims_wide_roundtrip(spark, d):
 
 for _name in ("orders", "part", "part_vote", "part_small", "customer", "supplier"):
     query(f"WITH {text.rep_cte(_name)} SELECT * FROM rep", f"replicas_{_name}")(lambda spark, d, n=_name: replicas(spark, d, n))
+    query(None, f"replicas_{_name}_whole")(lambda spark, d, n=_name: replicas(spark, d, n, whole=True))  # the SQL ends at the set's limit
 
 
 @query(f"WITH {text.rep_cte('part_small')} SELECT source_id, count(*) AS n, round(avg(CASE WHEN c.value = t.value THEN 1.0 ELSE 0.0 END), 6) AS accuracy FROM claims c JOIN truth t USING (entity_id, attr) GROUP BY source_id")
@@ -189,13 +190,13 @@ def hash_embedding(spark, d):
 
 @query()
 def word2vec_distance(spark, d):
-    c = claims.candidates(rep_claims(spark, d, "supplier"))
+    c = claims.candidates(rep_claims(spark, d, "supplier", whole=True))
     return features.word2vec_distance(c.where("attr = 's_name'"), 8).select(*CELL, "value", r6(F.col("embed")).alias("embed"))
 
 
 @query()
 def embed_distance_hashed(spark, d):
-    return features.embed_distance(claims.candidates(rep_claims(spark, d, "part_small")), 16).select(*CELL, "value", r6(F.col("embed")).alias("embed"))
+    return features.embed_distance(claims.candidates(rep_claims(spark, d, "part_small", whole=True)), 16).select(*CELL, "value", r6(F.col("embed")).alias("embed"))
 
 
 _A3 = ["l_returnflag", "l_linestatus", "l_linenumber"]
@@ -560,7 +561,7 @@ def edit_to_format(spark, d):
 
 @query()
 def augmented_entities(spark, d):
-    return augment.augment_entities(rep_claims(spark, d, "customer"), seeds_of(spark, d, "customer"), 0.5)[0]
+    return augment.augment_entities(rep_claims(spark, d, "customer", whole=True), seeds_of(spark, d, "customer", whole=True), 0.5)[0]
 
 
 # -- truth builders and other tables ---------------------------------------------------

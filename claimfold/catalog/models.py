@@ -28,19 +28,19 @@ def _settings(name: str, **changes) -> resolver.Settings:
 
 
 def _fit(spark, d, name="supplier", **changes):
-    return resolver.fit(replicas(spark, d, name), seeds_of(spark, d, name, 0.2), _settings(name, **changes))
+    return resolver.fit(replicas(spark, d, name, whole=True), seeds_of(spark, d, name, 0.2, whole=True), _settings(name, **changes))
 
 
 @query
 def static_features(spark, d):
-    cands, names = resolver._static(replicas(spark, d, "part_small"), _settings("part_small"))
+    cands, names = resolver._static(replicas(spark, d, "part_small", whole=True), _settings("part_small"))
     named = F.transform("static", lambda x, i: F.struct(F.array(*map(F.lit, names))[i].alias("feature"), F.round(x, 6).alias("x")))
     return cands.select(*CELL, "value", F.explode(named).alias("f")).select(*CELL, "value", "f.*")
 
 
 @query
 def full_features(spark, d):
-    wide = replicas(spark, d, "supplier")
+    wide = replicas(spark, d, "supplier", whole=True)
     s = _settings("supplier")
     cands, names = resolver._static(wide, s)
     featured, more = resolver._dynamic(wide, cands, claims.vote_labels(cands), s, 1)
@@ -50,32 +50,32 @@ def full_features(spark, d):
 
 @query
 def iterative_bayes(spark, d):
-    return baselines.iterative_bayes(rep_claims(spark, d, "supplier"), max_iter=8)
+    return baselines.iterative_bayes(rep_claims(spark, d, "supplier", whole=True), max_iter=8)
 
 
 @query
 def interval_weighted_vote(spark, d):
-    return baselines.interval_weighted_vote(rep_claims(spark, d, "supplier"), iters=4)
+    return baselines.interval_weighted_vote(rep_claims(spark, d, "supplier", whole=True), iters=4)
 
 
 @query
 def claim_graph(spark, d):
-    return baselines.claim_graph_propagation(rep_claims(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2), 6)
+    return baselines.claim_graph_propagation(rep_claims(spark, d, "supplier", whole=True), seeds_of(spark, d, "supplier", 0.2, whole=True), 6)
 
 
 @query
 def discriminative_erm(spark, d):
-    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2), "erm", iters=6)
+    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier", whole=True), seeds_of(spark, d, "supplier", 0.2, whole=True), "erm", iters=6)
 
 
 @query
 def discriminative_em(spark, d):
-    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2), "em", iters=6)
+    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier", whole=True), seeds_of(spark, d, "supplier", 0.2, whole=True), "em", iters=6)
 
 
 @query
 def rewrite_then_vote(spark, d):
-    return baselines.rewrite_then_vote(rep_claims(spark, d, "customer"), 100)[0]
+    return baselines.rewrite_then_vote(rep_claims(spark, d, "customer", whole=True), 100)[0]
 
 
 @query
@@ -144,7 +144,7 @@ def stagewise(spark, d):
 def dynamic_twin(spark, d):
     """The replay of the fitted stages on the same records: each stage's features from its predecessor's labels."""
     fitted, _ = _fit(spark, d, dynamic_from="model", calibrate=False)
-    return _answers(resolver.resolve_new(fitted, replicas(spark, d, "supplier")))
+    return _answers(resolver.resolve_new(fitted, replicas(spark, d, "supplier", whole=True)))
 
 
 @query
@@ -171,7 +171,7 @@ def resolve_with_rules(spark, d):
 @query
 def resolve_new(spark, d):
     fitted, _ = _fit(spark, d, stages=1)
-    return _answers(resolver.resolve_new(fitted, replicas(spark, d, "supplier", salt=9)))
+    return _answers(resolver.resolve_new(fitted, replicas(spark, d, "supplier", salt=9, whole=True)))
 
 
 @query
@@ -199,8 +199,8 @@ def trust_error(spark, d):
     from ..operators import measure
     from ..sources.replicas import truth
 
-    c = rep_claims(spark, d, "part_small")
-    return measure.trust_error(baselines.source_accuracy(c, seeds_of(spark, d, "part_small")), baselines.source_accuracy(c, truth(spark, d, "part_small"), 0.0)).withColumn("error", r6("error"))
+    c = rep_claims(spark, d, "part_small", whole=True)
+    return measure.trust_error(baselines.source_accuracy(c, seeds_of(spark, d, "part_small", whole=True)), baselines.source_accuracy(c, truth(spark, d, "part_small", whole=True), 0.0)).withColumn("error", r6("error"))
 
 
 @query

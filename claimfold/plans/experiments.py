@@ -21,9 +21,9 @@ class Workload:
     def __init__(self, spark: SparkSession, sf_dir: str, name: str, share: float = 0.05, seed: int = 0, limit: int | None = None, salt: int | None = None):
         self.spark, self.name, self.share, self.seed = spark, name, share, seed
         self.attrs = tuple(SETS[name][2])
-        self.wide = settle(replicas(spark, sf_dir, name, salt, limit), f"workload-{name}")
+        self.wide = settle(replicas(spark, sf_dir, name, salt, limit, whole=limit is None), f"workload-{name}")
         self.claims = self.wide.unpivot(["entity_id", "source_id"], list(self.attrs), "attr", "value").where("value is not null")
-        whole = settle(truth(spark, sf_dir, name, limit), f"truth-{name}")
+        whole = settle(truth(spark, sf_dir, name, limit, whole=limit is None), f"truth-{name}")
         parts = claims.seed_split(whole, share, 0.0, seed)
         self.seeds = settle(whole.join(parts.where("part = 'train'").select("entity_id"), "entity_id").select(*CELL, "value"), f"seeds-{name}")
         self.test = settle(whole.join(parts.where("part = 'test'").select("entity_id"), "entity_id").select(*CELL, "value"), f"test-{name}")

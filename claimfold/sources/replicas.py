@@ -8,7 +8,7 @@ votes can be fooled; others depend on the source, have another format, or miss.
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -103,17 +103,19 @@ SETS = {
 }
 
 
-def replicas(spark: SparkSession, sf_dir: str, name: str, salt: int | None = None, limit: int | None = None) -> DataFrame:
+def replicas(spark: SparkSession, sf_dir: str, name: str, salt: int | None = None, limit: int | None = None, whole: bool = False) -> DataFrame:
+    """The set over the keys below its limit, as the SQL has it, or below another; over the whole table with `whole`."""
     base, key, attrs, spec = SETS[name]
-    if salt is not None or limit is not None:
-        spec = Spec(**{**spec.__dict__, "salt": spec.salt if salt is None else salt, "limit": spec.limit if limit is None else limit})
+    most = None if whole else spec.limit if limit is None else limit
+    spec = replace(spec, salt=spec.salt if salt is None else salt, limit=most)
     return make_replicas(base(spark, sf_dir), key, attrs, spec)
 
 
-def truth(spark: SparkSession, sf_dir: str, name: str, limit: int | None = None) -> DataFrame:
+def truth(spark: SparkSession, sf_dir: str, name: str, limit: int | None = None, whole: bool = False) -> DataFrame:
     """(entity_id, attr, value) of the clean table."""
     base, key, attrs, spec = SETS[name]
     df = base(spark, sf_dir)
-    most = limit if limit is not None else spec.limit
-    wide = df.where(F.col(key) < most).select(F.col(key).cast("bigint").alias("entity_id"), *[canonical(df, a).alias(a) for a in attrs])
+    most = None if whole else spec.limit if limit is None else limit
+    rows = df if most is None else df.where(F.col(key) < most)
+    wide = rows.select(F.col(key).cast("bigint").alias("entity_id"), *[canonical(df, a).alias(a) for a in attrs])
     return wide.unpivot(["entity_id"], attrs, "attr", "value")
