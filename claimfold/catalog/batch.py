@@ -298,6 +298,12 @@ def violations_inversion(spark, d):
     return rules.violations(table(spark, d, "orders").where("o_orderkey < 4000"), rules.parse_rule(DC6), "o_orderkey")
 
 
+@query()
+def violations_inversion_whole(spark, d):
+    """Over all orders; a self-join in SQL would take too long."""
+    return rules.violations(table(spark, d, "orders"), rules.parse_rule(DC6), "o_orderkey")
+
+
 @query("WITH q AS (SELECT s_suppkey, s_nationkey, CAST(floor(s_acctbal) AS BIGINT) // 2000 AS band FROM supplier), t AS (SELECT a.s_suppkey AS x, b.s_suppkey AS y, c.s_suppkey AS z FROM q a JOIN q b ON a.s_nationkey = b.s_nationkey AND a.s_suppkey <> b.s_suppkey JOIN q c ON b.band = c.band AND c.s_suppkey <> a.s_suppkey AND c.s_suppkey <> b.s_suppkey WHERE a.s_nationkey > c.s_nationkey), m AS (SELECT DISTINCT id, s FROM (SELECT unnest([x, y, z]) AS id, list_sort([x, y, z]) AS s FROM t)) SELECT s_suppkey, count(s) AS n FROM q LEFT JOIN m ON id = s_suppkey GROUP BY s_suppkey")
 def violations_three_tuple(spark, d):
     df = table(spark, d, "supplier").select("s_suppkey", "s_nationkey", F.expr("cast(floor(s_acctbal) as bigint) div 2000").alias("band"))

@@ -101,34 +101,48 @@ QUERIES["one_vs_rest"] = lambda spark, d: _predicted(spark, d, "logreg_ovr")
 
 
 @query
-def softmax_fit_adam(spark, d):
-    """One model a group of labels, each in its own task: what fits a bounded sample needs no more."""
+def softmax_fit_adam(spark, d, most: int = 2000):
+    """One model a group of labels, fitted in its own task on at most `most` embeddings, by least hash; all are scored."""
     import numpy as np
     import pandas as pd
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("vec_id").head(2000)
+    def fit(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("vec_id")
         x, y = np.array(pdf["v"].tolist()), pdf["label"].to_numpy()
         kinds, at = np.unique(y, return_inverse=True)
         w = learn.adam_softmax(x, at, len(kinds), epochs=20)
-        p = learn.softmax_rows(np.hstack([x, np.ones((len(x), 1))]) @ w)
-        return pd.DataFrame({"vec_id": pdf["vec_id"], "prediction": kinds[p.argmax(axis=1)]})
+        return pd.DataFrame({"g": [pdf["g"].iloc[0]], "kinds": [kinds], "w": [w.ravel()]})
+
+    e = table(spark, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), "label", (F.col("label") % 2).alias("g"))
+    models = {}
+    for (g,) in e.select("g").distinct().collect():
+        sample = e.where(F.col("g") == g).orderBy(F.xxhash64("vec_id"), "vec_id").limit(most)
+        for r in sample.groupBy("g").applyInPandas(fit, "g int, kinds array<int>, w array<double>").collect():
+            models[g] = np.array(r["kinds"]), np.array(r["w"]).reshape(-1, len(r["kinds"]))
+
+    def score(parts):
+        for pdf in parts:
+            for g, rows in pdf.groupby("g"):
+                kinds, w = models[g]
+                x = np.array(rows["v"].tolist())
+                yield pd.DataFrame({"vec_id": rows["vec_id"], "prediction": kinds[(x @ w[:-1] + w[-1]).argmax(axis=1)]})
 
-    e = table(spark, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"), "label")
-    return e.groupBy((F.col("label") % 2).alias("g")).applyInPandas(run, "vec_id long, prediction int")
+    return e.select("vec_id", "v", "g").mapInPandas(score, "vec_id long, prediction int")
 
 
 @query
 def platt_fit(spark, d):
+    """Over all rows: rows of equal score and label are counted first, so a group brings its distinct scores alone."""
     import pandas as pd
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"])
-        a, b = learn.platt_fit(pdf["x"].to_numpy(), pdf["y"].to_numpy(float))
+        pdf = pdf.sort_values(["x", "y"])
+        a, b = learn.platt_fit(pdf["x"].to_numpy(), pdf["y"].to_numpy(float), weight=pdf["n"].to_numpy(float))
         return pd.DataFrame({"l_linestatus": [pdf["l_linestatus"].iloc[0]], "a": [round(a, 4)], "b": [round(b, 4)]})
 
-    li = table(spark, d, "lineitem").where("l_partkey < 100").select("l_linestatus", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", F.col("l_discount").alias("x"), (F.col("l_quantity") > 25).cast("int").alias("y"))
-    return li.groupBy("l_linestatus").applyInPandas(run, "l_linestatus string, a double, b double")
+    li = table(spark, d, "lineitem").select("l_linestatus", F.col("l_discount").alias("x"), (F.col("l_quantity") > 25).cast("int").alias("y"))
+    counted = li.groupBy("l_linestatus", "x", "y").agg(F.count(F.lit(1)).alias("n"))
+    return counted.groupBy("l_linestatus").applyInPandas(run, "l_linestatus string, a double, b double")
 
 
 def _answers(scored):

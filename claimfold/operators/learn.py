@@ -102,16 +102,17 @@ def conditional_softmax(x: np.ndarray, y: np.ndarray, group: np.ndarray, weight:
     return w
 
 
-def platt_fit(score: np.ndarray, y: np.ndarray, epochs: int = 50, rate: float = 0.5) -> tuple[float, float]:
-    """(a, b) of sigmoid(a * score + b), by Newton steps on log-loss; (1, 0) where one label is missing."""
+def platt_fit(score: np.ndarray, y: np.ndarray, epochs: int = 50, rate: float = 0.5, weight: np.ndarray | None = None) -> tuple[float, float]:
+    """(a, b) of sigmoid(a * score + b), by Newton steps on log-loss; (1, 0) where one label is missing; weight counts repeated rows."""
     if len(score) == 0 or y.min() == y.max():
         return 1.0, 0.0
+    mean = lambda v: np.average(v, weights=weight)
     a, b = 1.0, 0.0
     for _ in range(epochs):
         p = 1 / (1 + np.exp(-np.clip(a * score + b, -30, 30)))
         r, s = p - y, np.maximum(p * (1 - p), 1e-9)
-        g = np.array([(r * score).mean() + 1e-4 * (a - 1), r.mean()])
-        h = np.array([[(s * score * score).mean() + 1e-4, (s * score).mean()], [(s * score).mean(), s.mean() + 1e-9]])
+        g = np.array([mean(r * score) + 1e-4 * (a - 1), mean(r)])
+        h = np.array([[mean(s * score * score) + 1e-4, mean(s * score)], [mean(s * score), mean(s) + 1e-9]])
         step = np.linalg.solve(h, g)
         a, b = a - rate * step[0], b - rate * step[1]
     return float(a), float(b)

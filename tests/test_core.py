@@ -324,6 +324,35 @@ def test_queries_without_sql_see_whole_table(spark, query):
     assert ids > 1490  # of 1,500; the sets that SQL has end at 494
 
 
+def test_inversions_of_whole_table_equal_brute_force(spark):
+    from claimfold.catalog import QUERIES
+
+    d = "/root/testdata/sf0.01"
+    o = spark.read.parquet(f"{d}/orders.parquet").select("o_orderkey", F.unix_micros(F.col("o_orderdate").cast("timestamp")).alias("t")).toPandas()
+    k, t = o["o_orderkey"].to_numpy(), o["t"].to_numpy()
+    want = {int(a): int((((t > b) & (k < a)) | ((t < b) & (k > a))).sum()) for a, b in zip(k, t, strict=True)}
+    assert len(want) == 15000 and {r["o_orderkey"]: r["n"] for r in QUERIES["violations_inversion_whole"](spark, d).collect()} == want
+
+
+def test_platt_query_takes_all_rows(spark):
+    from claimfold.catalog import QUERIES
+
+    d = "/root/testdata/sf0.01"
+    li = spark.read.parquet(f"{d}/lineitem.parquet").select("l_linestatus", "l_discount", "l_quantity").toPandas()
+    for r in QUERIES["platt_fit"](spark, d).collect():
+        own = li[li["l_linestatus"] == r["l_linestatus"]]
+        a, b = learn.platt_fit(own["l_discount"].to_numpy(), (own["l_quantity"] > 25).to_numpy(float))
+        assert abs(r["a"] - a) < 2e-4 and abs(r["b"] - b) < 2e-4
+
+
+def test_adam_query_scores_every_embedding(spark):
+    from claimfold.catalog import models
+
+    d = "/root/testdata/sf0.001"
+    got = models.softmax_fit_adam(spark, d, most=100).join(spark.read.parquet(f"{d}/embeddings.parquet"), "vec_id")
+    assert got.count() == 500 and got.where("prediction % 2 = label % 2").count() == 500
+
+
 def test_stream_equals_batch(spark, tmp_path):
     from claimfold.streaming import votes
 
