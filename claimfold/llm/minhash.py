@@ -2,9 +2,10 @@
 
 A document's set holds the hashes of its distinct five-word shingles.  Under each
 of `PERMUTATIONS` hash functions both the smallest and the largest value are
-kept: one evaluation gives two signature values.  Bands of `ROWS` minima or of
-`ROWS` maxima bring candidates together.  A pair of similarity 0.85 misses all
-30 bands with a probability below 1e-6.
+kept: one evaluation gives two signature values.  Bands of some minima or of as
+many maxima bring candidates together; `band_rows` takes as many as let a pair at
+the threshold miss all bands with a probability below `MISSED`: 30 bands of 6 at
+0.85, 36 of 5 at 0.80.
 
 Stages, all of which move rows in proportion to the documents:
 
@@ -29,8 +30,8 @@ from pyspark.sql import functions as F
 from .shared import Forest, components, settle, spread
 from .words import Words, chunks, mix64, rolling, window_owner
 
-PERMUTATIONS, ROWS, WIDTH = 90, 6, 5
-BANDS = 2 * PERMUTATIONS // ROWS
+PERMUTATIONS, WIDTH = 90, 5
+MISSED = 1e-6
 SALTS = 32
 #: Documents of a block: a sixteenth of the group, within these bounds.
 BLOCK_LEAST, BLOCK_MOST = 256, 4096
@@ -39,6 +40,14 @@ _MULTIPLY = mix64(np.arange(1, PERMUTATIONS + 1, dtype=np.uint64)) | np.uint64(1
 _ADD = mix64(np.arange(1001, PERMUTATIONS + 1001, dtype=np.uint64))
 
 
+def band_rows(percent: int) -> int:
+    """Rows of a band: the most, of those that divide the minima evenly, that keep the miss below MISSED."""
+    for rows in range(PERMUTATIONS, 0, -1):
+        if PERMUTATIONS % rows == 0 and (1 - (percent / 100) ** rows) ** (2 * PERMUTATIONS // rows) < MISSED:
+            return rows
+    raise ValueError(f"no bands of {2 * PERMUTATIONS} values find pairs at {percent} percent")
+
+
 def shingle_sets(column: pa.Array, width: int = WIDTH) -> tuple[np.ndarray, np.ndarray]:
     """Distinct shingle hashes of all texts in a row, and where each text's set starts.
 
@@ -61,9 +70,9 @@ def shingle_sets(column: pa.Array, width: int = WIDTH) -> tuple[np.ndarray, np.n
     return keys, np.searchsorted(owner, np.arange(w.n_docs + 1))
 
 
-def sketch_column(column: pa.Array) -> dict[str, np.ndarray]:
-    """n, the digest (a, b) and the BANDS keys of each text's set (keys mean nothing where n is 0)."""
-    parts = []
+def sketch_column(column: pa.Array, rows: int) -> dict[str, np.ndarray]:
+    """n, the digest (a, b) and the keys of all bands of `rows` values of each text's set (keys mean nothing where n is 0)."""
+    parts, n_bands = [], 2 * PERMUTATIONS // rows
     for x, y in chunks(column):
         keys, start = shingle_sets(column.slice(x, y - x))
         n = np.diff(start)
@@ -78,21 +87,21 @@ def sketch_column(column: pa.Array) -> dict[str, np.ndarray]:
                 sig[full, PERMUTATIONS + k] = np.maximum.reduceat(v, at)
             digest[full, 0] = np.add.reduceat(keys, at)
             digest[full, 1] = np.add.reduceat(mix64(keys + np.uint64(0x1F83D9ABFB41BD6B)), at)
-        bands = np.zeros((len(n), BANDS), dtype=np.uint64)
-        for j in range(ROWS):
-            bands = mix64(bands * np.uint64(0x9E3779B97F4A7C15) + sig[:, j::ROWS])
-        bands += np.arange(1, BANDS + 1, dtype=np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)
+        bands = np.zeros((len(n), n_bands), dtype=np.uint64)
+        for j in range(rows):
+            bands = mix64(bands * np.uint64(0x9E3779B97F4A7C15) + sig[:, j::rows])
+        bands += np.arange(1, n_bands + 1, dtype=np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)
         parts.append((n, digest.view(np.int64), mix64(bands).view(np.int64)))
     if not parts:
-        return {"n": np.zeros(0, np.int64), "digest": np.zeros((0, 2), np.int64), "bands": np.zeros((0, BANDS), np.int64)}
+        return {"n": np.zeros(0, np.int64), "digest": np.zeros((0, 2), np.int64), "bands": np.zeros((0, n_bands), np.int64)}
     return {k: np.concatenate([p[i] for p in parts]) for i, k in enumerate(("n", "digest", "bands"))}
 
 
-def sketch(docs: DataFrame, id: str, text: str) -> DataFrame:
+def sketch(docs: DataFrame, id: str, text: str, rows: int) -> DataFrame:
     def run(batches):
         for b in batches:
-            got = sketch_column(b.column(1))
-            bands = pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * BANDS), pa.array(got["bands"].reshape(-1)))
+            got = sketch_column(b.column(1), rows)
+            bands = pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * (2 * PERMUTATIONS // rows)), pa.array(got["bands"].reshape(-1)))
             arrays = [b.column(0), pa.array(got["n"]), pa.array(got["digest"][:, 0]), pa.array(got["digest"][:, 1]), bands]
             yield pa.RecordBatch.from_arrays(arrays, names=["id", "n", "a", "b", "bands"])
 
@@ -182,7 +191,7 @@ def near_duplicates(docs: DataFrame, id: str = "doc_id", text: str = "text", per
     same component.  An empty table gives an empty result.
     """
     parts = spread(docs)
-    drawn = settle(sketch(docs, id, text), "minhash-sketch")
+    drawn = settle(sketch(docs, id, text, band_rows(percent)), "minhash-sketch")
     sets = drawn.where("n > 0 and id is not null")
     reps = settle(sets.groupBy("n", "a", "b").agg(F.min("id").alias("rep"), F.count_distinct("id").alias("copies"), F.first("bands").alias("bands")), "minhash-sets")
     # Copies learn their representative; a set that very many share is spread over SALTS.

@@ -16,11 +16,11 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays, the one of the smallest id; so does each row without an id.
+    """One document of each group of similarity 0.8 or more stays, the one of the smallest id; so does each row without an id.
 
     Of rows that repeat an id with the same text, one stays.
     """
-    gone = minhash.near_duplicates(docs).where(~F.col("kept")).select("doc_id").distinct()
+    gone = minhash.near_duplicates(docs, percent=80).where(~F.col("kept")).select("doc_id").distinct()
     again = F.lag(F.struct("text")).over(Window.partitionBy("doc_id").orderBy("text")).eqNullSafe(F.struct("text"))
     left = docs.join(gone, "doc_id", "left_anti").withColumn("_again", again & F.col("doc_id").isNotNull())
     return left.where(~F.col("_again")).select(*docs.columns)

@@ -41,3 +41,24 @@ def test_run_repeats(spark):
     rows = lambda: sorted(map(tuple, pipeline.run(spark, SF).collect()))
     first = rows()
     assert first and first == rows()
+
+
+def test_pairs_at_the_threshold_go(spark):
+    """A copy with one word changed and eight more at its end is of similarity 0.80 to 0.85."""
+    words = [f"w{i}" for i in range(96)]
+    near = [*words[:46], "other", *words[47:], *(f"x{i}" for i in range(8))]
+    a, b = ({tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in (words, near))
+    assert 0.80 <= len(a & b) / len(a | b) < 0.85
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join(near)), (3, "alone here")], "doc_id long, text string")
+    assert {r["doc_id"] for r in pipeline.near_duplicates(spark, docs, SF).collect()} == {1, 3}
+
+
+def test_bands_follow_the_threshold():
+    from claimfold.llm import minhash
+
+    assert minhash.band_rows(85) == 6 and minhash.band_rows(80) == 5
+    for percent in range(10, 100):
+        rows = minhash.band_rows(percent)
+        assert (1 - (percent / 100) ** rows) ** (2 * minhash.PERMUTATIONS // rows) < 1e-6
+    with pytest.raises(ValueError):
+        minhash.band_rows(5)
