@@ -81,7 +81,7 @@ def rewrite_then_vote(spark, d):
 @query
 def naive_onehot_classifier(spark, d):
     """The value's hashed words alone, without what the cell's other claims say."""
-    return resolver.top(_fit(spark, d, models=("format",), use_source=False, stages=1)[1]).select(*CELL, "value", r6("p").alias("p"))
+    return resolver.top(_fit(spark, d, models=("onehot",), use_source=False, stages=1)[1]).select(*CELL, "value", r6("p").alias("p"))
 
 
 def _vectors(spark, d):

@@ -11,6 +11,8 @@ from pyspark.sql.window import Window
 from .claims import CELL
 
 BLOCKS = ("format", "running", "embed", "cooc", "vote", "source", "rules", "neighbour")
+#: Asked for by name alone: the naive classifier has nothing else.
+EXTRA = ("onehot",)
 GROUPS = {"attribute": ("format", "running", "embed"), "record": ("cooc", "vote"), "database": ("source", "rules", "neighbour")}
 
 
@@ -43,6 +45,13 @@ def hash_embedding(value: Column, dim: int = 32) -> Column:
     return F.transform(raw, lambda x: F.when(norm > 0, x / norm).otherwise(0.0))
 
 
+def hash_words(value: Column, dim: int = 256) -> Column:
+    """Counts of a value's words, in lower case, hashed to `dim` places."""
+    words = F.filter(F.split(F.lower(value), r"[^\p{L}\p{Nd}]+"), lambda t: t != "")
+    places = F.transform(words, lambda t: F.pmod(F.xxhash64(t), F.lit(dim)))
+    return F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: F.size(F.filter(places, lambda p: p == i)).cast("double"))
+
+
 def distance(a: Column, b: Column, kind: str = "l2") -> Column:
     dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
     if kind == "l2":

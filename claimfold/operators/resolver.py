@@ -32,7 +32,7 @@ from ..plans.workspace import settle
 from . import augment as augmentation
 from .baselines import source_accuracy
 from .claims import CELL, seed_split
-from .features import BLOCKS, distance, format_ngrams, hash_embedding, mean_vector
+from .features import BLOCKS, EXTRA, distance, format_ngrams, hash_embedding, hash_words, mean_vector
 from .infer import update_labels
 from .learn import adam_softmax, conditional_softmax, gradient_softmax, platt_fit, softmax_rows
 
@@ -57,6 +57,7 @@ class Settings:
     fuse: str = "mean"
     augment: float = 0.0
     embed_dim: int = 16
+    onehot_dim: int = 256
     dist: str = "l2"
     max_slots: int = 16
     max_train: int = 5000
@@ -67,8 +68,8 @@ class Settings:
             raise ValueError("layout must be 'candidate' or 'cell'")
         if self.train_on not in ("all", "seed"):
             raise ValueError("train_on must be 'all' or 'seed'")
-        if set(self.models) - set(BLOCKS):
-            raise ValueError(f"models must be among {BLOCKS}")
+        if set(self.models) - set(BLOCKS + EXTRA):
+            raise ValueError(f"models must be among {BLOCKS + EXTRA}")
         if self.stages < 1:
             raise ValueError("one stage is needed at least")
 
@@ -167,6 +168,10 @@ def _static(wide: DataFrame, s: Settings) -> tuple[DataFrame, list[str]]:
         cand = cand.withColumn("_j", F.concat("_qm", "_m")).withColumn("_jm", mean_vector(F.col("_j"), 2 * s.embed_dim, cell))
         parts.append(distance(F.col("_j"), F.col("_jm"), s.dist))
         names.append("neighbour")
+    if "onehot" in s.models:
+        cand = cand.withColumn("_h", hash_words(F.col("value"), s.onehot_dim))
+        parts += [F.col("_h")[i] for i in range(s.onehot_dim)]
+        names += [f"onehot{i}" for i in range(s.onehot_dim)]
     static = F.array(*parts) if parts else F.array().cast("array<double>")
     sources = F.col("sources") if s.use_source and "source" in s.models else F.array().cast("array<int>")
     return cand.select(*CELL, "value", "support", "slot", "n_slots", static.cast("array<double>").alias("static"), sources.alias("sources")), names

@@ -245,6 +245,23 @@ def test_augmentation(work):
         augment.augment_entities(long_, seeds, -1)
 
 
+def test_onehot_tells_values_of_one_format_apart(spark):
+    wide = spark.createDataFrame([(e, s, "aaaa" if (s < 2) == (e % 2 == 0) else "bbbb") for e in range(60) for s in range(3)], "entity_id long, source_id int, name string")
+    seeds = spark.createDataFrame([(e, "name", "aaaa") for e in range(30)], "entity_id long, attr string, value string")
+    scored = resolver.fit(wide, seeds, resolver.Settings(("name",), models=("onehot",), use_source=False, stages=1, weak_weight=0.0))[1]
+    assert {r["value"] for r in resolver.top(scored).where("entity_id >= 30").collect()} == {"aaaa"}
+
+
+def test_naive_classifier_has_value_hashes_alone(spark, monkeypatch):
+    from claimfold.catalog import models
+
+    seen = []
+    monkeypatch.setattr(models.resolver, "fit", lambda wide, seeds, s: seen.append(s) or (None, None))
+    monkeypatch.setattr(models.resolver, "top", lambda scored: spark.createDataFrame([(1, "a", "v", 1.0)], "entity_id long, attr string, value string, p double"))
+    models.naive_onehot_classifier(spark, D)
+    assert seen[0].models == ("onehot",) and not seen[0].use_source
+
+
 def test_settings_are_checked():
     for bad in ({"layout": "x"}, {"train_on": "x"}, {"models": ("x",)}, {"stages": 0}):
         with pytest.raises(ValueError):
