@@ -615,6 +615,17 @@ def document_copies_vote(spark, d):
     return _vote_of(docs, "prefix", ["lang", "n_chars"])
 
 
+def _whole_text() -> Column:
+    """Digest of a document's whole text, in lower case with one blank between words."""
+    return F.sha2(F.trim(F.regexp_replace(F.lower("text"), r"\s+", " ")), 256)
+
+
+@query()
+def document_copies_whole_vote(spark, d):
+    """Copies are documents of one whole text; the SQL above goes by its first 60 characters."""
+    return _vote_of(table(spark, d, "documents").withColumn("digest", _whole_text()), "digest", ["lang", "n_chars"])
+
+
 @query(_vote_sql("SELECT regexp_replace(regexp_extract(url, '^[a-z]+://([^/]+)', 1), '^(www|m|blog)\\.', '') AS host, regexp_extract(url, '^([a-z]+)://', 1) AS scheme, regexp_extract(url, '^[a-z]+://[^/]+/([a-z]+)', 1) AS path FROM pages", "host", {"scheme": "scheme", "path": "path"}))
 def page_variants_vote(spark, d):
     p = table(spark, d, "pages").select(F.regexp_replace(F.regexp_extract("url", r"^[a-z]+://([^/]+)", 1), r"^(www|m|blog)\.", "").alias("host"), F.regexp_extract("url", r"^([a-z]+)://", 1).alias("scheme"), F.regexp_extract("url", r"^[a-z]+://[^/]+/([a-z]+)", 1).alias("path"))
@@ -639,6 +650,13 @@ def labels_partial_truth(spark, d):
     return j.groupBy(F.substring(F.lower("text"), 1, 60).alias("prefix")).agg(F.count(F.lit(1)).alias("n"), F.count("has").alias("labelled"), F.coalesce(F.sum("quality"), F.lit(0)).cast("long").alias("good"), F.coalesce(F.sum("toxic"), F.lit(0)).cast("long").alias("toxic"))
 
 
+@query()
+def labels_whole_truth(spark, d):
+    """The same by whole texts."""
+    j = table(spark, d, "documents").join(table(spark, d, "labels").withColumn("has", F.lit(1)), "doc_id", "left")
+    return j.groupBy(_whole_text().alias("digest")).agg(F.count(F.lit(1)).alias("n"), F.count("has").alias("labelled"), F.coalesce(F.sum("quality"), F.lit(0)).cast("long").alias("good"), F.coalesce(F.sum("toxic"), F.lit(0)).cast("long").alias("toxic"))
+
+
 # -- relational operators around claims ------------------------------------------------
 
 

@@ -370,6 +370,18 @@ def test_adam_query_scores_every_embedding(spark):
     assert got.count() == 500 and got.where("prediction % 2 = label % 2").count() == 500
 
 
+def test_documents_of_one_opening_stay_apart(spark, tmp_path):
+    from claimfold.catalog import QUERIES
+
+    opening = "all rights reserved by the owners of this text and of others "
+    rows = [(0, opening + "one", "en", "a", 64), (1, opening + "two", "de", "b", 64), (2, opening.upper() + " ONE", "en", "c", 65)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(0, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    votes = QUERIES["document_copies_whole_vote"](spark, str(tmp_path)).where("attr = 'lang'").collect()
+    assert sorted(r["value"] for r in votes) == ["de", "en"]
+    assert sorted((r["n"], r["labelled"], r["good"]) for r in QUERIES["labels_whole_truth"](spark, str(tmp_path)).collect()) == [(1, 0, 0), (2, 1, 1)]
+
+
 def test_stream_equals_batch(spark, tmp_path):
     from claimfold.streaming import votes
 
