@@ -5,11 +5,15 @@ characters beyond ASCII), joined by blanks.  A notice that may have k errors is
 cut into k + 1 pieces; by the pigeonhole principle a place with at most k errors
 holds one piece unchanged.  Exact search for the pieces gives candidate places,
 and the regex library's bounded-error matching verifies each and tells its span
-and its errors.  The base phrases are matched exactly, word by word.
+and its errors.  Words that tell one licence from another (names, versions,
+clauses) must stand as they are; any other word may have few errors by its
+length, and must not be a different word of CONFUSED.  The base phrases are
+matched exactly, word by word.
 """
 
 from __future__ import annotations
 
+import bisect
 from dataclasses import dataclass
 
 import numpy as np
@@ -22,31 +26,41 @@ from .words import Words, chunks
 #: Base phrases and labels.
 BASE = (("cc by", "cc-by"), ("general public license", "gpl"), ("all rights reserved", "reserved"))
 
-#: Notices in reduced form, and labels.
+#: Notices in reduced form, and labels.  Words with a "!" must match exactly.
 NOTICES = (
-    ("licensed under the apache license version 2 0", "apache-2.0"),
-    ("released under the mit license", "mit"),
-    ("licensed under the mit license", "mit"),
+    ("licensed under the apache! license version 2! 0!", "apache-2.0"),
+    ("licensed under the apache! license version 1! 1!", "apache-1.1"),
+    ("released under the mit! license", "mit"),
+    ("licensed under the mit! license", "mit"),
     ("permission is hereby granted free of charge to any person", "mit"),
-    ("redistribution and use in source and binary forms", "bsd"),
-    ("licensed under the gnu general public license version 3", "gpl-3.0"),
-    ("licensed under the gnu general public license version 2", "gpl-2.0"),
-    ("gnu lesser general public license", "lgpl"),
-    ("gnu affero general public license", "agpl"),
-    ("mozilla public license version 2 0", "mpl-2.0"),
-    ("licensed under cc by nc 4 0", "cc-by-nc"),
-    ("licensed under cc by sa 4 0", "cc-by-sa"),
-    ("licensed under cc by nd 4 0", "cc-by-nd"),
-    ("creative commons attribution 4 0 international license", "cc-by"),
-    ("creative commons attribution noncommercial", "cc-by-nc"),
-    ("creative commons attribution sharealike", "cc-by-sa"),
-    ("dedicated to the public domain", "public-domain"),
-    ("boost software license version 1 0", "bsl-1.0"),
-    ("eclipse public license version 2 0", "epl-2.0"),
+    ("released under the bsd! license", "bsd"),
+    ("licensed under the bsd! license", "bsd"),
+    ("redistribution and use in source! and binary! forms", "bsd"),
+    ("released under the isc! license", "isc"),
+    ("licensed under the isc! license", "isc"),
+    ("licensed under the gnu! general! public! license version 3!", "gpl-3.0"),
+    ("licensed under the gnu! general! public! license version 2!", "gpl-2.0"),
+    ("gnu! lesser! general! public! license", "lgpl"),
+    ("gnu! affero! general! public! license", "agpl"),
+    ("mozilla! public! license version 2! 0!", "mpl-2.0"),
+    ("licensed under cc! by! nc! 4! 0!", "cc-by-nc"),
+    ("licensed under cc! by! sa! 4! 0!", "cc-by-sa"),
+    ("licensed under cc! by! nd! 4! 0!", "cc-by-nd"),
+    ("licensed under cc! by! nc! sa! 4! 0!", "cc-by-nc-sa"),
+    ("licensed under cc! by! nc! nd! 4! 0!", "cc-by-nc-nd"),
+    ("creative commons! attribution 4! 0! international license", "cc-by"),
+    ("creative commons! attribution noncommercial", "cc-by-nc"),
+    ("creative commons! attribution sharealike", "cc-by-sa"),
+    ("dedicated to the public! domain", "public-domain"),
+    ("boost! software license version 1! 0!", "bsl-1.0"),
+    ("eclipse! public! license version 2! 0!", "epl-2.0"),
     ("this program is free software you can redistribute it", "gpl"),
     ("all rights reserved", "reserved"),
 )
 
+#: Words that are a few letters away from a notice's but mean something else.
+CONFUSED = frozenset("preserved deserved unreserved reversed observed lights nights fights sights unlicensed delicensed relicensed thunder wonder releases licensee licensor conversion aversion".split())
+
 #: Bytes that separate words, once A-Z are lower-cased.
 SEPARATORS = np.zeros(256, dtype=bool)
 SEPARATORS[[*range(0x30), *range(0x3A, 0x61), *range(0x7B, 0x80)]] = True
@@ -61,14 +75,22 @@ class Notice:
     pattern: regex.Pattern
 
 
+def word_errors(word: str) -> int:
+    """Errors that a word may have: none if marked with "!" or short, one from four letters, two from seven and for "the"."""
+    return 0 if word.endswith("!") else 2 if word == "the" or len(word) >= 7 else 1 if len(word) >= 4 else 0
+
+
 def compile_notices(notices=NOTICES, per_error: int = 9, most: int = 4) -> list[Notice]:
-    """One error is allowed for every `per_error` characters, `most` at most."""
+    """One error is allowed for every `per_error` characters of a notice, `most` at most, and each word has its own bound."""
     out = []
-    for words, label in notices:
-        k = min(most, len(words) // per_error)
+    for marked, label in notices:
+        loose = [(w.rstrip("!"), word_errors(w)) for w in marked.split()]
+        words = " ".join(w for w, _ in loose)
+        k = min(most, len(words) // per_error, sum(e for _, e in loose))
         cuts = [round(i * len(words) / (k + 1)) for i in range(k + 2)]
         seeds = tuple((a, words[a:b].encode()) for a, b in zip(cuts[:-1], cuts[1:], strict=True))
-        out.append(Notice(words, label, k, seeds, regex.compile(rf"(?b)(?<=[ ])(?:{regex.escape(words, special_only=True)}){{e<={k}}}(?=[ ])")))
+        parts = " ".join(f"((?:{regex.escape(w)}){{e<={min(e, k)}:[^ ]}})" if e else f"({regex.escape(w)})" for w, e in loose)
+        out.append(Notice(words, label, k, seeds, regex.compile(rf"(?b)(?<=[ ]){parts}(?=[ ])")))
     return out
 
 
@@ -94,8 +116,9 @@ def find_notices(column: pa.Array, notices: list[Notice]) -> tuple[Words, list[t
     w = Words(column, lower=True, separators=SEPARATORS)
     data, place = reduce_words(w)
     first_place = np.append(place, len(data))[np.minimum(w.first, len(place))] if len(place) else np.zeros(w.n_docs + 1, np.int64)
-    found = []
+    found = set()
     for notice in notices:
+        meant = set(notice.words.split())
         tried = set()
         for offset, seed in notice.seeds:
             at = data.find(seed)
@@ -107,21 +130,32 @@ def find_notices(column: pa.Array, notices: list[Notice]) -> tuple[Words, list[t
                     doc = int(np.searchsorted(w.first, word, side="right")) - 1
                     lo = max(int(first_place[doc]) - 1, start - notice.errors - 9)
                     hi = min(int(place[w.first[doc + 1] - 1] + (w.end - w.start)[w.first[doc + 1] - 1] + 1), start + len(notice.words) + notice.errors + 9)
-                    part = data[lo:hi]
-                    text = part.decode("utf-8", errors="surrogateescape")
+                    text = data[max(lo, 0) : hi].decode("utf-8", errors="surrogateescape")
                     m = notice.pattern.search(text)
-                    if m:
-                        a = lo + len(text[: m.start()].encode("utf-8", errors="surrogateescape"))
-                        b = lo + len(text[: m.end()].encode("utf-8", errors="surrogateescape"))
+                    if m and sum(m.fuzzy_counts) <= notice.errors and not any(g in CONFUSED and g not in meant for g in m.groups()):
+                        a = max(lo, 0) + len(text[: m.start()].encode("utf-8", errors="surrogateescape"))
+                        b = max(lo, 0) + len(text[: m.end()].encode("utf-8", errors="surrogateescape"))
                         i, j = int(np.searchsorted(place, a, side="right")) - 1, int(np.searchsorted(place, b - 1, side="right")) - 1
-                        found.append((doc, max(i, int(w.first[doc])), j, notice.label, sum(m.fuzzy_counts), len(notice.words)))
+                        found.add((doc, max(i, int(w.first[doc])), j, notice.label, sum(m.fuzzy_counts), len(notice.words)))
                 at = data.find(seed, at + 1)
-    # Of places that overlap, those of the fewest errors stay.
-    kept: dict[int, list] = {}
-    for doc, i, j, label, errors, size in sorted(set(found), key=lambda f: (f[0], f[4], f[1], f[3])):
-        if all(j < a or i > z or errors == e for a, z, _, e, _ in kept.setdefault(doc, [])):
-            kept[doc].append((i, j, label, errors, size))
-    return w, [(d, *f) for d, fs in kept.items() for f in fs]
+    return w, best_places(found)
+
+
+def best_places(found) -> list[tuple[int, int, int, str, int, int]]:
+    """Of places that overlap, the one of the fewest errors; of those the longest, the first, the first by label.
+
+    What is kept lies apart, so a sorted list of starts tells whether a place is free: n log n for n places.
+    """
+    starts: list[int] = []
+    kept: dict[int, tuple] = {}
+    for place in sorted(found, key=lambda f: (f[4], -f[5], f[1], f[3])):
+        _, i, j, *_ = place
+        at = bisect.bisect_right(starts, j)
+        if at and kept[starts[at - 1]][2] >= i:
+            continue
+        bisect.insort(starts, i)
+        kept[i] = place
+    return [kept[i] for i in starts]
 
 
 def base_places(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -152,7 +186,10 @@ def scan(docs: DataFrame, id: str = "doc_id", text: str = "text", notices=NOTICE
 
     score is 1 for an exact notice or base phrase, less the share of wrong
     characters for the best fuzzy one, 0 without any.  spans are word positions
-    within the text, from 0.  A null or empty text has no words and no labels.
+    within the text, from 0; of places that overlap one is told (`best_places`).
+    A null or empty text has no words, no labels and a score of 0; so has one that
+    holds no notice, however long.  Repeated rows come back as often, each alike;
+    an empty table gives no rows; other columns of docs are not read.
     """
 
     def run(batches):
