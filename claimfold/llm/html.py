@@ -6,6 +6,11 @@ comments and the like, which are left out of the text in any case; tags score ne
 of its kind that stands outside the main text of labelled pages.  One linear
 scan finds the contiguous region of the highest sum.  Where an article or main
 element holds the region, all of that element is taken.
+
+A part names itself by a whole class, id or role ("ad", "site-footer"), never by
+one word of a longer name ("search-results-analysis"), and a heading never does.
+Names that articles use too ("related", "discussion") only lower the score of a
+part's words, unless half of its words are links; a section may bear them freely.
 """
 
 from __future__ import annotations
@@ -28,7 +33,7 @@ _TAG = re.compile(
     r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|svg|iframe|textarea|select|object|canvas|title)\b(?:[^<>\"']|\"[^\"]*\"|'[^']*')*>.*?(?:</\1\s*>|\Z)|<(/?)([a-zA-Z][\w:-]*)((?:[^<>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*>|<(/?)([a-zA-Z][\w:-]*)([^>]*)>",
     re.S | re.I,
 )
-_NAMES = re.compile(r"""\b(?:class|id|role|aria-label|data-role|data-component)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
+_NAMES = re.compile(r"""\b(class|id|role|aria-label|data-role|data-component)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
 _HIDDEN = re.compile(r"""(?:^|\s)hidden(?:\s|=|$)|aria-hidden\s*=\s*["']?true|display\s*:\s*none|visibility\s*:\s*hidden""", re.I)
 _CAMEL = re.compile(r"([a-z0-9])([A-Z])")
 
@@ -36,37 +41,62 @@ _CAMEL = re.compile(r"([a-z0-9])([A-Z])")
 BLOCKS = frozenset("address article aside blockquote body br caption center dd details dialog dir div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol optgroup option p pre section summary table tbody tfoot thead title tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 OUTSIDE = frozenset("nav footer aside form menu dialog head button header".split())
-KEEP_NAMES = frozenset("html body article main".split())
-NAMES = frozenset(
-    "ad ads adv advert adverts advertisement advertising adsense banner sponsor sponsored promo promoted promotion sidebar side rail aside nav navbar navigation menu menubar breadcrumb breadcrumbs crumbs pagination pager toc footer foot footnav header masthead topbar toolbar comment comments commentlist respond reply replies discussion disqus cookie cookies consent gdpr notice notices notification alert popup modal overlay lightbox share sharing social follow subscribe subscription newsletter signup login search searchbox related recommended recommendations trending popular widget widgets copyright legal disclaimer tags taglist byline meta skip skiplink complementary contentinfo".split()
+#: Elements that no name takes away.
+UNNAMED = frozenset("html body article main h1 h2 h3 h4 h5 h6 hgroup blockquote pre code table thead tbody tfoot tr td th caption figure figcaption b i em strong u s sub sup br hr img dl dt dd".split())
+CLEAR = frozenset(
+    "ad ads adv advert adverts advertisement advertisements advertising adsense banner sponsor sponsored promo sidebar sidebars nav navbar navigation menu menubar breadcrumb breadcrumbs crumbs pagination pager footer footnav masthead topbar toolbar comment comments commentlist respond disqus cookie cookies consent gdpr notice notices notification popup modal overlay lightbox share sharing social subscribe subscription newsletter signup searchbox widget widgets skiplink copyright".split()
 )
+UNSURE = frozenset("aside side rail toc foot header replies reply discussion alert follow login search related recommended recommendations trending popular promoted promotion legal disclaimer tags taglist byline meta skip complementary contentinfo".split())
+#: Words that may stand beside a name within one class, and classes that mark content.
+BESIDE = frozenset("site page main top bottom left right area section box wrapper wrap container block list posts post articles article links link item items inner outer column col bar row group panel region zone unit primary secondary global mobile desktop content form body text thread buttons policy message reader user users".split())
+CONTENT = frozenset("entry content article story post text body prose hentry".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert menu menubar toolbar".split())
 
 
 @dataclass
 class Weights:
-    """Score of a word, of a word in a link, of a word in a named part (down to that of a whole part), and of tags."""
+    """Score of a word, of a word in a link, of one under an unsure name, of one in a named part (down to that of a whole part), and of tags."""
 
     word: float = 1.0
     linked: float = -0.5
+    unsure: float = -0.3
     named: float = -1.0
     named_part: float = -2.0
     other_tag: float = -0.4
     tags: dict[str, float] = field(default_factory=dict)
 
 
-def _named(tag: str, attributes: str, in_main: bool) -> bool:
+def _kind(name: str) -> str:
+    """What one class says: clear, unsure, content or nothing.  All its words must be names or words beside them."""
+    words = [x for x in re.split(r"[^a-z0-9]+", _CAMEL.sub(r"\1 \2", name).lower()) if x and not x.isdigit()]
+    if all(x in CLEAR or x in UNSURE or x in BESIDE for x in words):
+        if CLEAR.intersection(words):
+            return "clear"
+        if UNSURE.intersection(words):
+            return "unsure"
+    return "content" if words and CONTENT.issuperset(words) else ""
+
+
+def _named(tag: str, attributes: str, in_main: bool) -> str:
+    """Whether an element is left out ("clear"), doubted ("unsure") or neither."""
     if tag in OUTSIDE:
-        return not (tag == "header" and in_main)
-    if not attributes or tag in KEEP_NAMES:
-        return False
-    if _HIDDEN.search(attributes):
-        return True
-    for a, b, c in _NAMES.findall(attributes):
-        words = re.split(r"[^a-z0-9]+", _CAMEL.sub(r"\1 \2", a or b or c).lower())
-        if NAMES.intersection(words):
-            return True
-    return False
+        return "" if tag == "header" and in_main else "clear"
+    if not attributes:
+        return ""
+    if _HIDDEN.search(attributes) and tag not in ("html", "body"):
+        return "clear"
+    if tag in UNNAMED:
+        return ""
+    kinds = set()
+    for key, a, b, c in _NAMES.findall(attributes):
+        value = a or b or c
+        if key.lower() == "role":
+            kinds |= {"clear" for r in value.lower().split() if r in ROLES}
+        else:
+            kinds |= {_kind(n) for n in (["-".join(value.split())] if key.lower() == "aria-label" else value.split())}
+    if "clear" in kinds:
+        return "clear"
+    return "unsure" if "unsure" in kinds and "content" not in kinds and tag != "section" else ""
 
 
 @dataclass
@@ -78,6 +108,7 @@ class Item:
     words: int = 0
     linked: bool = False
     named: bool = False
+    unsure: bool = False
 
 
 def items(page: str) -> tuple[list[Item], list[tuple[int, int]]]:
@@ -86,6 +117,8 @@ def items(page: str) -> tuple[list[Item], list[tuple[int, int]]]:
     at, link, skip, depth, main = 0, 0, "", 0, []
     ranges: list[tuple[int, int]] = []
     skip_from = 0
+    doubted: list[tuple[str, int, int]] = []  # open parts of unsure names: tag, depth of that tag, first item
+    parts: list[tuple[int, int]] = []
 
     def text(run: str) -> None:
         if run:
@@ -111,10 +144,21 @@ def items(page: str) -> tuple[list[Item], list[tuple[int, int]]]:
             else:
                 out.append(Item(tag=("/" if closing else "") + tag, named=True))
                 continue
-        if not closing and tag not in VOID and _named(tag, attributes, bool(main)) and not attributes.rstrip().endswith("/"):
-            skip, depth, skip_from = tag, 1, len(out)
-            out.append(Item(tag=tag, named=True))
-            continue
+        if tag not in VOID and not attributes.rstrip().endswith("/"):
+            kind = "" if closing else _named(tag, attributes, bool(main))
+            if kind == "clear":
+                skip, depth, skip_from = tag, 1, len(out)
+                out.append(Item(tag=tag, named=True))
+                continue
+            if kind == "unsure":
+                doubted.append((tag, 1, len(out)))
+            elif doubted and doubted[-1][0] == tag:
+                name, open_, first = doubted.pop()
+                open_ += -1 if closing else 1
+                if open_:
+                    doubted.append((name, open_, first))
+                else:
+                    parts.append((first, len(out) + 1))
         if tag == "a":
             link = 0 if closing else 1
         if tag in ("article", "main"):
@@ -125,6 +169,12 @@ def items(page: str) -> tuple[list[Item], list[tuple[int, int]]]:
         out.append(Item(tag=("/" if closing else "") + tag))
     text(page[at:])
     ranges += [(a, len(out)) for a in main]
+    for first, end in parts:  # a part that is never closed says nothing
+        own = [p for p in out[first:end] if not p.named]
+        words = sum(p.words for p in own)
+        drop = sum(p.words for p in own if p.linked) * 2 >= words
+        for p in own:
+            p.named, p.unsure = drop, not drop
     if skip and skip not in ("head", "footer", "nav") and not any(a <= skip_from < b for a, b in ranges):
         # An element that names itself so but is never closed: only its first run goes.
         seen = False
@@ -146,7 +196,7 @@ def region(parts: list[Item], w: Weights) -> tuple[int, int]:
         elif p.tag:
             total, part = total + w.tags.get(p.tag.lstrip("/"), w.other_tag), 0.0
         elif p.words:
-            total, part = total + p.words * (w.linked if p.linked else w.word), 0.0
+            total, part = total + p.words * (w.linked if p.linked else w.unsure if p.unsure else w.word), 0.0
         if total <= 0:
             total, start = 0.0, i + 1
         elif total > best:
@@ -213,16 +263,24 @@ def fit(pages: DataFrame, id: str = "page_id", html: str = "html", sample_pages:
     """
     hashed = pages.select(F.col(html).alias("html"), F.xxhash64(F.col(id), F.col(html)).alias("h")).where("html is not null")
     sample = thin(hashed, "h", hashed.count(), sample_pages).orderBy("h").limit(sample_pages)
-    counts = sample.select("html").mapInArrow(_tag_counts("html"), "tag string, outside long, inside long").groupBy("tag").agg(F.sum("outside").alias("o"), F.sum("inside").alias("i")).orderBy(F.desc(F.col("o") + F.col("i")), "tag").limit(500)
+    counts = sample.select("html").mapInArrow(_tag_counts("html"), "tag string, outside long, inside long").groupBy("tag").agg(F.sum("outside").alias("o"), F.sum("inside").alias("i"))
     w = Weights()
-    for tag, o, i in counts.collect():
+    for tag, o, i in counts.orderBy("tag").collect():  # the tag names of the sample
         share = (o + 0.5) / (o + i + 1)
         w.tags[tag] = -(0.02 + 0.98 * share * math.tanh((o + i) / 5))
     return w
 
 
 def main_text(pages: DataFrame, weights: Weights, id: str = "page_id", html: str = "html", keep: tuple[str, ...] = ()) -> DataFrame:
-    """(id, columns of `keep`, text, n_chars) for every row."""
+    """(id, columns of `keep`, text, n_chars) for every row.
+
+    A null or empty page, and one where nothing scores, has an empty text and 0
+    characters.  Of regions of one sum the first is taken.  Repeated rows come
+    back as often; an empty table gives no rows; a page goes through one scan
+    whatever its length.  Columns of `keep` named text or n_chars are refused.
+    """
+    if {"text", "n_chars"} & {id, *keep}:
+        raise ValueError("text and n_chars are names of results")
     names = [id, *keep]
     schema = ", ".join(f"`{c}` {pages.schema[c].dataType.simpleString()}" for c in names) + ", text string, n_chars long"
 
