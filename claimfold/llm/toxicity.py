@@ -12,6 +12,7 @@ counts of hits gives the score.
 
 from __future__ import annotations
 
+import math
 import zlib
 from dataclasses import dataclass, field
 
@@ -25,8 +26,6 @@ from .words import chunks
 
 #: Labelled rows that are learnt from, at most: those of the smallest hashes.
 SAMPLE_ROWS = 20_000
-#: Terms of the lexicon, at most.
-TERMS = 2_000
 FUZZY_LENGTH, STEM_LENGTH, WINDOW = 5, 4, 40
 QUOTES = "\"'“”„«»‘’‹›`"
 FEATURES = ("any", "exact", "stem", "misspelled", "quoted")
@@ -178,13 +177,13 @@ def hits(texts: list[str | None], lexicon: Lexicon) -> list[tuple[int, str, int,
 
 
 def features(texts: list[str | None], lexicon: Lexicon) -> np.ndarray:
-    """FEATURES of each text: whether it has a hit, and bounded counts of distinct spellings."""
+    """FEATURES of each text: whether it has a hit, and logarithms of one more than the counts of distinct spellings."""
     seen: list[list[set]] = [[set(), set(), set(), set()] for _ in texts]
     for doc, word, kind, quoted in hits(texts, lexicon):
         seen[doc][3 if quoted else kind - 1].add(word)
     x = np.zeros((len(texts), len(FEATURES)))
     for i, sets in enumerate(seen):
-        n = [min(3, len(s)) for s in sets]
+        n = [math.log2(1 + len(s)) for s in sets]
         x[i] = [float(any(n[:3])), *n]
     return x
 
@@ -229,10 +228,12 @@ def _word_tallies(batches):
             joined, _, start, end, owner = spans(texts)
             prints = [zlib.crc32(t.encode()) for t in texts]
             words = [joined[s:e] for s, e in zip(start.tolist(), end.tolist(), strict=True)]
-            once = set()
-            for i, (o, word) in enumerate(zip(owner.tolist(), words, strict=True)):
+            once, owners = set(), owner.tolist()
+            for i, (o, word) in enumerate(zip(owners, words, strict=True)):
                 if label[x + o]:
-                    around = zlib.crc32(f"{words[i - 1] if i else ''} {words[i + 1] if i + 1 < len(words) else ''}".encode(errors="replace"))
+                    before = words[i - 1] if i and owners[i - 1] == o else ""
+                    after = words[i + 1] if i + 1 < len(words) and owners[i + 1] == o else ""
+                    around = zlib.crc32(f"{before} {after}".encode(errors="replace"))
                     toxic.add((word, False, around, prints[o]))
                     toxic |= {(word[:k], True, around, prints[o]) for k in range(STEM_LENGTH, min(len(word), STEM_LENGTH + 5))}
                 else:
@@ -262,12 +263,17 @@ def fit(docs: DataFrame, labels: DataFrame, train: Column, id: str = "doc_id", t
     """Learn from at most `sample_rows` labelled rows for which `train` holds; None without both labels.
 
     A term needs as many different toxic texts, and contexts in them, as 1 % of
-    these, three at least, and 20 times the share that clean texts have of it.
+    these, three at least, and 20 times the share that clean texts have of it; so
+    the sample bounds the lexicon.  Of labels that repeat an id, 1 wins; of
+    documents that do, the text that sorts first.  Ids and labels that are null,
+    and other labels, teach nothing; a null text counts as empty.
     """
-    known = labels.select(F.col(id).alias("id"), F.col(label).cast("int").alias("toxic")).where("id is not null and toxic in (0, 1)").dropDuplicates(["id"])
+    known = labels.select(F.col(id).alias("id"), F.col(label).cast("int").alias("toxic")).where("id is not null and toxic in (0, 1)")
+    known = known.groupBy("id").agg(F.max("toxic").alias("toxic"))
     known = known.where(train).withColumn("h", F.xxhash64("id"))
     known = thin(known, "h", known.count(), sample_rows).orderBy("h", "id").limit(sample_rows).drop("h")
-    sample = docs.select(F.col(id).alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(F.broadcast(known), "id").dropDuplicates(["id"]).persist()
+    sample = docs.select(F.col(id).alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(F.broadcast(known), "id")
+    sample = sample.groupBy("id").agg(F.min("text").alias("text"), F.first("toxic").alias("toxic")).persist()
     try:
         size = {r["toxic"]: r["count"] for r in sample.groupBy("toxic").count().collect()}
         n, t = size.get(0, 0), size.get(1, 0)
@@ -276,7 +282,7 @@ def fit(docs: DataFrame, labels: DataFrame, train: Column, id: str = "doc_id", t
         least = max(3, -(-t // 100))
         tallies = sample.select("text", "toxic").mapInArrow(_word_tallies, "word string, stem boolean, clean long, context long, print long").groupBy("word", "stem").agg(F.sum("clean").alias("clean"), F.least(F.count_distinct("context"), F.count_distinct("print")).alias("toxic"))
         ratio = ((F.col("toxic") + 0.5) / (t + 1)) / ((F.col("clean") + 0.5) / (n + 1))
-        chosen = tallies.where((F.col("toxic") >= least) & (ratio >= 20) & (F.length("word") >= 3)).orderBy(F.desc("toxic"), "word", "stem").limit(TERMS)
+        chosen = tallies.where((F.col("toxic") >= least) & (ratio >= 20) & (F.length("word") >= 3)).orderBy("word", "stem")
         terms, stems = choose_terms([tuple(r) for r in chosen.select("word", "stem", "clean", "toxic").collect()])
         lexicon = Lexicon(terms, stems)
 
@@ -305,7 +311,12 @@ def fit(docs: DataFrame, labels: DataFrame, train: Column, id: str = "doc_id", t
 
 
 def score_documents(docs: DataFrame, model: Model | None, id: str = "doc_id", text: str = "text", threshold: float = 0.3) -> DataFrame:
-    """(id, score, predicted) for every row; without a model every score is 0.  Null texts count as empty."""
+    """(id, score, predicted) for every row; without a model every score is 0.
+
+    A null text counts as empty; texts without a hit, empty ones too, have one
+    score.  Rows are scored each alone and whole, so repeated rows come back as
+    often and alike; an empty table gives no rows; other columns are not read.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):

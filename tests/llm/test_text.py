@@ -162,3 +162,39 @@ def test_prints_by_plain_sums():
 def test_render_repeats():
     a, b = chroma.render(pa.array(["one two", "ONE two"]))
     assert (a == b).all() and len(chroma.render(pa.array([None]))[0]) == 0
+
+
+def test_toxicity_does_not_depend_on_partitions(spark):
+    """Terms near the threshold, repeated ids and rows, clashing columns, null and long texts."""
+    rng = random.Random(9)
+    rows, labels = [], []
+    for i in range(300):
+        w = ["".join(rng.choice("abcdefgh") for _ in range(4)) for _ in range(rng.randint(1, 6))]
+        if i % 6 == 0:
+            w.insert(rng.randrange(len(w) + 1), rng.choice(["grumblik", "vortexian", "zzurk"]))
+        rows.append((i, " ".join(w), "x", 0.5))
+        labels.append((i, int(i % 6 == 0)))
+    rows += [rows[6], (6, "another text of one id", "x", 0.1), (900, None, None, None), (901, "grumblik " * 50_000, "y", 1.0), (None, "vortexian", "z", None)]
+    labels += [(6, 0), (12, None), (None, 1)]
+    known = spark.createDataFrame(labels, "doc_id long, toxic int")
+    seen = set()
+    for parts in (1, 3, 7):
+        docs = spark.createDataFrame(rows, "doc_id long, text string, label string, score double").repartition(parts)
+        model = toxicity.fit(docs, known, F.lit(True))
+        got = sorted((str(r["doc_id"]), round(r["score"], 9), r["predicted"]) for r in toxicity.score_documents(docs, model).collect())
+        assert len(got) == len(rows)
+        seen.add((tuple(model.lexicon.terms), tuple(model.lexicon.stems), tuple(got)))
+    assert len(seen) == 1
+    assert toxicity.score_documents(docs.where("false"), model).count() == 0
+
+
+def test_tokens_of_edges(spark):
+    path = queries.vocabulary_path()
+    lib = tokenizers.Tokenizer.from_file(path)
+    long = "abc é" * 60_000
+    rows = [(1, long, "a", 1), (1, long, "a", 1), (2, None, "b", 2), (None, "x y", None, None), (3, "a" * 30_000, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, ids string, n_tokens int")
+    got = bpe.encode_and_decode(docs, path).collect()
+    want = sorted((str(r[0]), ",".join(map(str, lib.encode(r[1] or "", add_special_tokens=False).ids))) for r in rows)
+    assert sorted((str(r["doc_id"]), r["ids"]) for r in got) == want
+    assert bpe.encode_and_decode(docs.where("false"), path).count() == 0
