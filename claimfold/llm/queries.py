@@ -21,8 +21,9 @@ def vocabulary_path(name: str = "byte_bpe_50k.json") -> str:
 def op1_chroma_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Turns of conversations, rendered as tones (no table holds audio): those of every hundredth conversation in all."""
     turns = spark.read.parquet(f"{sf_dir}/conversations.parquet")
-    found = chroma.search(turns, F.col("conv_id") * 100_000 + F.col("turn"), F.col("text"), F.col("conv_id") % 100 == 0, rendered=True)
-    return found.select(F.floor(F.col("id") / 100_000).alias("conv_id"), (F.col("id") % 100_000).alias("turn"), "n_prints", "class_id", "n_matches", "best_id", "best_offset", "best_errors")
+    found = chroma.search(turns, F.struct("conv_id", "turn"), F.col("text"), F.col("conv_id") % 100 == 0, rendered=True)
+    named = lambda c: (F.col(f"{c}_id.conv_id").alias(f"{c}_conv_id"), F.col(f"{c}_id.turn").alias(f"{c}_turn"))
+    return found.select("id.conv_id", "id.turn", "n_prints", *named("class"), "n_matches", *named("best"), "best_offset", "best_errors")
 
 
 def op2_minmax_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -4,11 +4,10 @@ import math
 import random
 
 import numpy as np
-import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from claimfold.llm import bpe, chroma, html, license, queries, toxicity
+from claimfold.llm import bpe, html, license, queries, toxicity
 
 P = pytest.importorskip("public_tokenizers")
 tokenizers = pytest.importorskip("tokenizers")
@@ -132,38 +131,6 @@ def test_best_region_by_brute_force():
         assert math.isclose(sum(score[a:b]), best, abs_tol=1e-9)
 
 
-def test_chroma_finds_shifted_noisy_copies(spark):
-    rng = np.random.default_rng(0)
-    rows = []
-    for i in range(12):
-        x = np.concatenate([np.sin(2 * np.pi * 110 * 2 ** (n / 12) * np.arange(300) / chroma.RATE) * 8000 for n in rng.integers(0, 36, 200)])
-        y = x[2560:50000] * 0.5 + rng.normal(0, 60, len(x[2560:50000]))
-        rows += [(i * 2, bytearray(x.astype("<i2").tobytes())), (i * 2 + 1, bytearray(y.astype("<i2").tobytes()))]
-    rows += [(100, rows[0][1]), (101, None), (102, bytearray()), (None, rows[2][1])]
-    df = spark.createDataFrame(rows, "id long, pcm binary")
-    got = {r["id"]: r for r in chroma.search(df, F.col("id"), F.col("pcm"), F.col("id") % 2 == 0).collect()}
-    assert len(got) == len(rows)
-    for i in range(12):
-        r = got[2 * i + 1]
-        assert (r["best_id"], r["best_offset"], r["n_matches"]) == (2 * i, -10, 1) and r["best_errors"] < 0.02
-    assert got[100]["class_id"] == 0 and got[101]["n_prints"] == got[102]["n_prints"] == 0
-
-
-def test_prints_by_plain_sums():
-    """One recording's integers from direct rectangle sums equal those of the integral image over many."""
-    rng = np.random.default_rng(1)
-    pictures = [rng.random((n, 12)).astype(np.float32) for n in (5, 20, 31)]
-    together = chroma.fingerprints(pictures)
-    assert [len(p) for p in together] == [1, 5, 16]
-    for p, t in zip(pictures, together, strict=True):
-        assert (chroma.fingerprints([p])[0] == t).mean() > 0.95  # rounding may move a value across a threshold
-
-
-def test_render_repeats():
-    a, b = chroma.render(pa.array(["one two", "ONE two"]))
-    assert (a == b).all() and len(chroma.render(pa.array([None]))[0]) == 0
-
-
 def test_toxicity_does_not_depend_on_partitions(spark):
     """Terms near the threshold, repeated ids and rows, clashing columns, null and long texts."""
     rng = random.Random(9)
