@@ -4,9 +4,10 @@ Every document of a source should appear target / source_size times.  The whole
 part of that is certain; the fractions are rounded together: two fractions meet,
 mass moves from one to the other at random until one is 0 or 1, and the other
 goes on.  Sums of fractions never change, so a source's words stay close to its
-target when fractions of like sizes meet.  Documents are therefore numbered in
-blocks by size class; each block folds its fractions to one residual, and
-residuals of neighbouring blocks fold in a tree of FAN branches a level.  Random
+target when fractions of like sizes meet, and when what is left last is small.
+Documents are therefore numbered in blocks by size class, the largest first; each
+block folds its fractions to one residual, and residuals of neighbouring blocks
+fold in a tree of FAN branches a level.  Random
 numbers are hashes of the ids that meet, so reruns agree.
 """
 
@@ -16,11 +17,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .shared import settle
+from .shared import fresh, settle
 
 WEIGHTS, MOST_TIMES, FAN = (5, 2, 1), 3, 32
 #: Rows of the table of (source, size class) up to which it is broadcast; beyond, the join is salted.
 BROADCAST_ROWS, SALTS = 100_000, 64
+#: Rows of one id are numbered apart in so many classes of their texts.
+PARTS = 4096
 
 
 def word_count(text: Column | str) -> Column:
@@ -55,7 +58,7 @@ def _uniform(*parts: Column) -> Column:
 
 def fold(units: Column, seed: int) -> Column:
     """Fold an array of (size, id, dup, p) to (id, dup, p, size, done): the residual and what is decided."""
-    done = "array<struct<id:bigint,dup:int,take:int>>"
+    done = "array<struct<id:bigint,dup:bigint,take:int>>"
     start = F.struct(F.element_at(units, 1)["size"].alias("size"), F.element_at(units, 1)["id"].alias("id"), F.element_at(units, 1)["dup"].alias("dup"), F.element_at(units, 1)["p"].alias("p"), F.array().cast(done).alias("done"))
 
     def meet(a: Column, b: Column) -> Column:
@@ -83,7 +86,7 @@ def round_together(units: DataFrame, seed: int = 0) -> DataFrame:
         return units.select("id", "dup", F.lit(0).alias("take"))
     decided, level = None, units.select("source", "number", "size", "id", "dup", "p")
     while True:
-        folded = level.groupBy("source", "number").agg(F.array_sort(F.collect_list(F.struct("size", "id", "dup", "p"))).alias("units")).select("source", "number", fold(F.col("units"), seed).alias("f"))
+        folded = level.groupBy("source", "number").agg(F.sort_array(F.collect_list(F.struct("size", "id", "dup", "p")), asc=False).alias("units")).select("source", "number", fold(F.col("units"), seed).alias("f"))
         folded = settle(folded.select("source", "number", "f.*"), "mixing-level")
         done = folded.select(F.explode("done").alias("d")).select("d.*")
         decided = done if decided is None else decided.union(done)
@@ -93,20 +96,35 @@ def round_together(units: DataFrame, seed: int = 0) -> DataFrame:
         level = folded.select("source", F.floor(F.col("number") / FAN).cast("long").alias("number"), "size", "id", "dup", "p")
 
 
+def _numbered(docs: DataFrame, id: str, text: str, source: str) -> tuple[DataFrame, dict[str, str]]:
+    """docs with an id as a number, source, size and dup, under names that clash with none; and these names.
+
+    dup tells rows that share an id apart: a number within the id and one of PARTS
+    hashes of the text, so rows without an id don't meet in one task.  Rows equal in all of
+    this are interchangeable.
+    """
+    names = {c: fresh(docs, f"_mix_{c}") for c in ("id", "source", "size", "part", "print", "dup")}
+    n = names
+    out = docs.withColumns({n["id"]: F.col(f"`{id}`").cast("long"), n["source"]: F.col(f"`{source}`").cast("string"), n["size"]: word_count(F.col(f"`{text}`")), n["print"]: F.xxhash64(F.col(f"`{text}`"))})
+    out = out.withColumn(n["part"], F.pmod(F.col(n["print"]), F.lit(PARTS)))
+    number = F.row_number().over(Window.partitionBy(n["id"], n["part"]).orderBy(n["source"], n["size"], n["print"]))
+    return out.withColumn(n["dup"], F.col(n["part"]) * F.lit(1 << 32) + number), names
+
+
 def mix(docs: DataFrame, id: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[int, ...] = WEIGHTS, most: int = MOST_TIMES, seed: int = 0) -> DataFrame:
     """(id, dup, source, size, source_size, target, copies, taken) for every row of docs.
 
-    taken = copies * size.  dup numbers rows that share an id, from 1.  Documents
+    taken = copies * size.  dup tells rows that share an id apart.  Documents
     without words take nothing; an empty table gives no rows.  Null sources are
-    one source, null ids are ids like others.
+    one source, null ids are ids like others; ties are settled by hashes of id and dup.
     """
-    slim = docs.select(F.col(id).cast("long").alias("id"), F.col(source).cast("string").alias("source"), word_count(F.col(text)).alias("size"))
-    slim = settle(slim.withColumn("dup", F.row_number().over(Window.partitionBy("id").orderBy("source", "size"))), "mixing-sizes")
+    rows, n = _numbered(docs, id, text, source)
+    slim = settle(rows.select(*[F.col(n[c]).alias(c) for c in ("id", "dup", "source", "size")]), "mixing-sizes")
     aimed = targets(slim.groupBy("source").agg(F.sum("size").alias("source_size")), weights, most)
     # Size classes: two to a doubling.  Blocks of FAN documents or so, numbered by class within the source.
     classed = slim.withColumn("class", F.when(F.col("size") > 0, F.floor(2 * F.log2(F.col("size").cast("double")))).otherwise(-1).cast("int"))
     cells = classed.groupBy("source", "class").agg(F.count(F.lit(1)).alias("n")).withColumn("blocks", F.ceil(F.col("n") / FAN).cast("long"))
-    before = F.sum("blocks").over(Window.partitionBy("source").orderBy("class").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("blocks")
+    before = F.sum("blocks").over(Window.partitionBy("source").orderBy(F.desc("class")).rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("blocks")
     a, c = aimed.alias("a"), cells.withColumn("before", before).alias("c")
     cells = settle(c.join(a, F.expr("a.source <=> c.source")).select("c.source", "class", "blocks", "before", "source_size", "target"), "mixing-cells")
     if cells.count() <= BROADCAST_ROWS:
@@ -130,7 +148,7 @@ def mix(docs: DataFrame, id: str = "doc_id", text: str = "text", source: str = "
 def sample(docs: DataFrame, id: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[int, ...] = WEIGHTS, most: int = MOST_TIMES, seed: int = 0) -> DataFrame:
     """The rows of docs as the mix takes them: each as often as its copies, all columns as they are."""
     chosen = mix(docs, id, text, source, weights, most, seed)
-    per_id = chosen.groupBy(F.col(id).alias("_id")).agg(F.transform(F.array_sort(F.collect_list(F.struct("dup", "copies"))), lambda s: s["copies"]).alias("_copies"))
-    numbered = docs.withColumn("_dup", F.row_number().over(Window.partitionBy(F.col(id).cast("long")).orderBy(F.col(source).cast("string"), word_count(F.col(text)))))
-    joined = numbered.join(per_id, F.col(id).cast("long").eqNullSafe(F.col("_id"))).withColumn("_times", F.element_at("_copies", F.col("_dup")))
-    return joined.where("_times > 0").withColumn("_time", F.explode(F.sequence(F.lit(1), F.col("_times").cast("int")))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    rows, n = _numbered(docs, id, text, source)
+    taken = chosen.where("copies > 0").select(F.col(id).alias("i"), F.col("dup").alias("d"), F.col("copies").cast("int").alias("c")).alias("taken")
+    joined = rows.alias("rows").join(taken, F.expr(f"rows.`{n['id']}` <=> taken.i and rows.`{n['dup']}` = taken.d"))
+    return joined.select(*[F.col(f"rows.`{c}`") for c in docs.columns], F.explode(F.sequence(F.lit(1), F.col("taken.c"))).alias(fresh(docs, "_time"))).select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .shared import fresh
 from .words import Words, chunks, rolling, window_owner
 
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
@@ -118,11 +119,12 @@ def measure(docs: DataFrame, id: str = "doc_id", text: str = "text") -> DataFram
     return docs.select(id, text).mapInArrow(run, f"`{id}` {kind}, " + ", ".join(f"{m} long" for m in MEASURES))
 
 
-def failure_bits(prefix: str = "") -> Column:
-    """The bitmask of failed rules, from measurement columns named with the prefix."""
+def failure_bits(names: dict[str, str] | None = None) -> Column:
+    """The bitmask of failed rules, from measurement columns, which may have other names."""
+    names = names or {m: m for m in MEASURES}
     bits = F.lit(0).cast("long")
     for k, (_, fails) in enumerate(RULES):
-        fails = re.sub(rf"\b({'|'.join(MEASURES)})\b", rf"{prefix}\1", fails)
+        fails = re.sub(rf"\b({'|'.join(MEASURES)})\b", lambda m: f"`{names[m[1]]}`", fails)
         bits = bits.bitwiseOR(F.when(F.expr(fails), F.lit(1 << k)).otherwise(F.lit(0)).cast("long"))
     return bits
 
@@ -148,14 +150,20 @@ def ablation(book: DataFrame, policy: Policy = DEFAULT) -> DataFrame:
 
 
 def screen(docs: DataFrame, text: str = "text", policy: Policy = DEFAULT) -> DataFrame:
-    """The rows of docs that the policy keeps, all columns as they are; no shuffle."""
+    """The rows of docs that the policy keeps, all columns as they are; no shuffle.
+
+    A null text counts as empty, and has few words.  Repeated rows are judged
+    each alone, texts of any length whole; an empty table gives no rows.
+    """
     fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields]
-    at = docs.columns.index(text)
+    at, bits = docs.columns.index(text), fresh(docs, "failed")
+    measures = {m: fresh(docs, f"_q_{m}") for m in MEASURES}
 
     def run(batches):
         for b in batches:
             got = measure_column(b.column(at))
-            yield pa.RecordBatch.from_arrays([*b.columns, *(pa.array(got[m]) for m in MEASURES)], names=[*b.schema.names, *(f"_q_{m}" for m in MEASURES)])
+            yield pa.RecordBatch.from_arrays([*b.columns, *(pa.array(got[m]) for m in MEASURES)], names=[*b.schema.names, *measures.values()])
 
-    measured = docs.mapInArrow(run, ", ".join([*fields, *(f"_q_{m} long" for m in MEASURES)]))
-    return measured.where(failure_bits("_q_").bitwiseAND(F.lit(policy.mask)) == 0).select(*[F.col(f"`{c}`") for c in docs.columns])
+    measured = docs.mapInArrow(run, ", ".join([*fields, *(f"`{c}` long" for c in measures.values())]))
+    judged = measured.withColumn(bits, failure_bits(measures))
+    return judged.where(F.col(bits).bitwiseAND(F.lit(policy.mask)) == 0).select(*[F.col(f"`{c}`") for c in docs.columns])

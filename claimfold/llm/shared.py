@@ -9,7 +9,16 @@ from pyspark.sql import functions as F
 
 from ..plans.workspace import settle
 
-__all__ = ["Forest", "components", "settle", "spread", "text_bytes_total", "thin"]
+__all__ = ["Forest", "components", "fresh", "settle", "spread", "text_bytes_total", "thin"]
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that df doesn't have, whatever its case."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
 
 def text_bytes_total(docs: DataFrame, text: str) -> int:
     return docs.agg(F.sum(F.octet_length(text))).first()[0] or 0
