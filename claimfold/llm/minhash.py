@@ -10,7 +10,7 @@ the threshold miss all bands with a probability below `MISSED`: 30 bands of 6 at
 Stages, all of which move rows in proportion to the documents:
 
 1. `sketch`: one narrow pass to set size, 128-bit set digest and band keys.
-2. Documents of equal sets collapse to the smallest id, by a combining aggregate.
+2. Documents of equal sets collapse to one node, a hash of the set, by a combining aggregate.
 3. Band keys that two or more sets share give star edges, salted by document,
    and their connected components are the candidate groups.
 4. Texts of candidates only are dealt to their group; groups beyond a block's
@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import Forest, components, settle, spread
+from .shared import Forest, components, fresh, settle, spread
 from .words import Words, chunks, mix64, rolling, window_owner
 
 PERMUTATIONS, WIDTH = 90, 5
@@ -35,6 +35,8 @@ MISSED = 1e-6
 SALTS = 32
 #: Documents of a block: a sixteenth of the group, within these bounds.
 BLOCK_LEAST, BLOCK_MOST = 256, 4096
+#: Shingles of a block: a task holds two blocks, whatever the length of their texts, unless one text alone is longer.
+BLOCK_SHINGLES = 1_500_000
 
 _MULTIPLY = mix64(np.arange(1, PERMUTATIONS + 1, dtype=np.uint64)) | np.uint64(1)
 _ADD = mix64(np.arange(1001, PERMUTATIONS + 1001, dtype=np.uint64))
@@ -98,14 +100,21 @@ def sketch_column(column: pa.Array, rows: int) -> dict[str, np.ndarray]:
 
 
 def sketch(docs: DataFrame, id: str, text: str, rows: int) -> DataFrame:
+    """(id, print, n, a, b, bands, node): print is a hash of the text, node one of the set."""
+
     def run(batches):
         for b in batches:
-            got = sketch_column(b.column(1), rows)
+            got = sketch_column(b.column(2), rows)
             bands = pa.ListArray.from_arrays(pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * (2 * PERMUTATIONS // rows)), pa.array(got["bands"].reshape(-1)))
-            arrays = [b.column(0), pa.array(got["n"]), pa.array(got["digest"][:, 0]), pa.array(got["digest"][:, 1]), bands]
-            yield pa.RecordBatch.from_arrays(arrays, names=["id", "n", "a", "b", "bands"])
+            arrays = [b.column(0), b.column(1), pa.array(got["n"]), pa.array(got["digest"][:, 0]), pa.array(got["digest"][:, 1]), bands]
+            yield pa.RecordBatch.from_arrays(arrays, names=["id", "print", "n", "a", "b", "bands"])
+
+    drawn = _texts(docs, id, text).mapInArrow(run, "id long, print long, n long, a long, b long, bands array<long>")
+    return drawn.withColumn("node", F.xxhash64("n", "a", "b"))
 
-    return docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text")).mapInArrow(run, "id long, n long, a long, b long, bands array<long>")
+
+def _texts(docs: DataFrame, id: str, text: str) -> DataFrame:
+    return docs.select(F.col(f"`{id}`").cast("long").alias("id"), F.xxhash64(F.col(f"`{text}`")).alias("print"), F.col(f"`{text}`").alias("text"))
 
 
 def _linked(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
@@ -136,7 +145,7 @@ def _confirm(percent: int):
     """Tasks arrive whole and in order; each gives a spanning forest of its confirmed links."""
 
     def solve(rows):
-        ids = np.concatenate([r.column("id").to_numpy(zero_copy_only=False) for r in rows])
+        ids = np.concatenate([r.column("node").to_numpy(zero_copy_only=False) for r in rows])
         part = np.concatenate([r.column("part").to_numpy(zero_copy_only=False) for r in rows])
         text = pa.chunked_array([r.column("text") for r in rows]).combine_chunks()
         text = text.chunk(0) if isinstance(text, pa.ChunkedArray) else text
@@ -158,7 +167,7 @@ def _confirm(percent: int):
         return u, v
 
     def run(batches):
-        held, key, out_u, out_v = [], None, [], []
+        held, key, out_u, out_v, seen = [], None, [], [], set()
         for b in batches:
             if not b.num_rows:
                 continue
@@ -169,9 +178,13 @@ def _confirm(percent: int):
                     u, v = solve(held)
                     out_u += u
                     out_v += v
-                    held = []
+                if keys[s] != key:
+                    held, seen = [], set()
                 key = keys[s]
-                held.append(b.slice(s, e - s))
+                part = b.slice(s, e - s)
+                nodes = part.column("node").to_pylist()
+                new = [i for i, x in enumerate(nodes) if x not in seen and not seen.add(x)]  # a repeated row counts once
+                held.append(part if len(new) == len(nodes) else part.take(pa.array(new, pa.int64())))
         if held:
             u, v = solve(held)
             out_u += u
@@ -187,46 +200,71 @@ def near_duplicates(docs: DataFrame, id: str = "doc_id", text: str = "text", per
     Links hold where 100 * intersection >= percent * union of the shingle sets.
     component_id is the smallest id reachable.  Rows whose set is empty, and rows
     without an id, are linked with nothing; a null id has a null component and is
-    kept.  Repeated rows with one id and text come back as often, each with the
-    same component.  An empty table gives an empty result.
+    kept.  A row is judged by its own text: rows that repeat an id with one text
+    come back as often, each with the same component, and rows that share an id
+    with other texts have each their own.  Of ties the smallest id names the
+    component.  An empty table gives an empty result; other columns are not read.
+    """
+    found = labelled(docs, id, text, percent)
+    return found.select(F.col("id").alias(id), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"), F.coalesce(F.col("id") == F.col("component"), F.lit(True)).alias("kept"))
+
+
+def labelled(docs: DataFrame, id: str = "doc_id", text: str = "text", percent: int = 85) -> DataFrame:
+    """(id, print, n, component, first) for every row; print is a hash of the text.
+
+    first holds for one (id, print) of each component, the smallest; rows without an id are first.
     """
     parts = spread(docs)
     drawn = settle(sketch(docs, id, text, band_rows(percent)), "minhash-sketch")
     sets = drawn.where("n > 0 and id is not null")
-    reps = settle(sets.groupBy("n", "a", "b").agg(F.min("id").alias("rep"), F.count_distinct("id").alias("copies"), F.first("bands").alias("bands")), "minhash-sets")
-    # Copies learn their representative; a set that very many share is spread over SALTS.
-    copied = reps.where("copies > 1").select("n", "a", "b", "rep", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-    salted = drawn.select("id", "n", "a", "b", F.pmod(F.xxhash64("id"), F.lit(SALTS)).cast("int").alias("salt"))
-    members = salted.join(copied, ["n", "a", "b", "salt"], "left").select("id", "n", F.when(F.col("n") > 0, F.coalesce("rep", "id")).otherwise(F.col("id")).alias("rep"))
-
-    keyed = reps.select("rep", F.explode("bands").alias("key"))
-    hubs = keyed.groupBy("key").agg(F.min("rep").alias("hub"), F.max("rep").alias("last")).where("hub <> last")
+    reps = settle(sets.groupBy("n", "a", "b").agg(F.min(F.struct("id", "print")).alias("rep"), F.count_distinct("id", "print").alias("copies"), F.first("bands").alias("bands"), F.first("node").alias("node")), "minhash-sets")
+
+    keyed = reps.select("node", F.explode("bands").alias("key"))
+    hubs = keyed.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("last")).where("hub <> last")
     hubs = hubs.select("key", "hub", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-    stars = keyed.withColumn("salt", F.pmod(F.xxhash64("rep"), F.lit(SALTS)).cast("int")).join(hubs, ["key", "salt"]).where("rep <> hub")
-    groups = components(stars.select("hub", "rep").distinct(), "minhash-candidates")
+    stars = keyed.withColumn("salt", F.pmod(F.xxhash64("node"), F.lit(SALTS)).cast("int")).join(hubs, ["key", "salt"]).where("node <> hub")
+    groups = components(stars.select("hub", "node").distinct(), "minhash-candidates")
 
-    # (size, block) of each group; blocks are by the hash of the id.
-    sizes = groups.groupBy("component").agg(F.count(F.lit(1)).alias("size"))
-    sizes = sizes.withColumn("blocks", F.ceil(F.col("size") / F.least(F.lit(BLOCK_MOST), F.greatest(F.lit(BLOCK_LEAST), F.ceil(F.col("size") / 16)))).cast("int"))
+    # (documents, shingles, blocks) of each group; blocks are by the hash of the node, of bounded rows and shingles.
+    groups = groups.join(reps.select("node", "rep", "n"), "node")
+    sizes = groups.groupBy("component").agg(F.count(F.lit(1)).alias("size"), F.sum("n").alias("shingles"))
+    by_rows = F.col("size") / F.least(F.lit(BLOCK_MOST), F.greatest(F.lit(BLOCK_LEAST), F.ceil(F.col("size") / 16)))
+    sizes = sizes.withColumn("blocks", F.ceil(F.greatest(by_rows, F.col("shingles") / BLOCK_SHINGLES)).cast("int"))
     blocked = groups.join(sizes, "component").withColumn("block", F.pmod(F.xxhash64("node", F.lit(7)), "blocks").cast("int"))
-    one_text = docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text"))
     dealt = (
-        one_text.join(blocked.select(F.col("node").alias("id"), "component", "block", "blocks").hint("merge"), "id")
+        _texts(docs, id, text)
+        .join(blocked.select("node", "rep.id", "rep.print", "component", "block", "blocks").hint("merge"), ["id", "print"])
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
         .select(
-            "id",
+            "node",
             "text",
             F.xxhash64("component", F.least("block", "other"), F.greatest("block", "other")).alias("task"),
             F.when(F.col("block") == F.col("other"), 0).when(F.col("block") < F.col("other"), 1).otherwise(2).alias("part"),
         )
     )
     links = dealt.repartition(parts, "task").sortWithinPartitions("task").mapInArrow(_confirm(percent), "u long, v long")
-    found = components(settle(links, "minhash-links"), "minhash-components")
-    members = settle(members, "minhash-members")
-    out = members.join(found.select(F.col("node").alias("rep"), "component"), "rep", "left")
-    return out.select(
-        F.col("id").alias(id),
-        F.col("n").alias("n_shingles"),
-        F.coalesce("component", "rep").alias("component_id"),
-        F.coalesce(F.col("id") == F.coalesce("component", "rep"), F.lit(True)).alias("kept"),
-    )
+    found = components(settle(links, "minhash-links"), "minhash-components").withColumnRenamed("component", "root")
+    # The smallest (id, print) of each component, and of each set that several documents have.
+    named = reps.select("node", "copies", "rep").join(found, "node", "left")
+    least = named.where("root is not null").groupBy("root").agg(F.min("rep").alias("least"))
+    labels = named.where("copies > 1 or root is not null").join(least, "root", "left").select("node", F.coalesce("least", "rep").alias("rep"))
+    # A set that very many share is spread over SALTS.
+    labels = labels.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    members = drawn.select("id", "print", "n", "node", F.when((F.col("n") > 0) & F.col("id").isNotNull(), F.pmod(F.xxhash64("id"), F.lit(SALTS)).cast("int")).alias("salt"))
+    first = F.col("rep").isNull() | ((F.col("rep.id") == F.col("id")) & (F.col("rep.print") == F.col("print")))
+    return members.join(labels, ["node", "salt"], "left").select("id", "print", "n", F.coalesce("rep.id", "id").alias("component"), first.alias("first"))
+
+
+def deduplicate(docs: DataFrame, id: str = "doc_id", text: str = "text", percent: int = 80) -> DataFrame:
+    """The rows of docs, all columns as they are, without near duplicates: of each component the first (id, text) stays.
+
+    So does every row without an id, and of rows that repeat an id and a text
+    (null texts too) one; texts without words are linked with nothing.  An empty
+    table gives an empty one.
+    """
+    gone = labelled(docs, id, text, percent).where("not first").select(F.col("id").alias("_i"), F.col("print").alias("_p")).distinct().alias("gone")
+    print_ = fresh(docs, "print")
+    rows = docs.withColumn(print_, F.xxhash64(F.col(f"`{text}`")))
+    known, none = rows.where(F.col(f"`{id}`").isNotNull()), rows.where(F.col(f"`{id}`").isNull())
+    known = known.alias("rows").join(gone, F.expr(f"cast(rows.`{id}` as bigint) = gone._i and rows.`{print_}` = gone._p"), "left_anti")
+    return known.dropDuplicates([id, print_]).unionByName(none).select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -271,9 +271,11 @@ def _drop_words(window: int, extra: list[str]):
     return run
 
 
-def remove_repeats(docs: DataFrame, id: str = "doc_id", text: str = "text", window: int = WINDOW, keep: tuple[str, ...] = ()) -> DataFrame:
+def remove_repeats(docs: DataFrame, id: str = "doc_id", text: str = "text", window: int = WINDOW, keep: tuple[str, ...] = (), kept: str | None = None) -> DataFrame:
     """(id, n_words, n_removed, kept_text, columns of `keep`) for every row of docs.
 
+    With `kept` the result is the id, the columns of `keep` and the kept text under that name alone.
+
     A word goes if a window of `window` words (odd, 3 or more) covers it whose
     words also start in a document of a smaller id; windows are judged on the
     input.  kept_text has the other words, joined by one blank.  A null text
@@ -288,7 +290,7 @@ def remove_repeats(docs: DataFrame, id: str = "doc_id", text: str = "text", wind
     homes, buckets = max(1, -(-total // BATCH_BYTES)), max(1, -(-total // BUCKET_BYTES))
     extra = [f"_x{k}" for k in range(len(keep))]
     base = docs.select(
-        F.col(id).cast("long").alias("id"), F.col(text).alias("text"), F.pmod(F.xxhash64(F.col(id).cast("long")), F.lit(homes)).cast("int").alias("b"), *[F.col(c).alias(x) for c, x in zip(keep, extra, strict=True)]
+        F.col(id).cast("long").alias("id"), F.col(text).alias("text"), F.pmod(F.xxhash64(F.col(id).cast("long")), F.lit(homes)).cast("int").alias("b"), *[F.col(f"`{c}`").alias(x) for c, x in zip(keep, extra, strict=True)]
     )
 
     def digests(batches):
@@ -317,4 +319,6 @@ def remove_repeats(docs: DataFrame, id: str = "doc_id", text: str = "text", wind
     places = windows.groupBy("bucket").applyInArrow(_window_answers, "b int, payload binary")
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_text", T.StringType()), *[T.StructField(x, fields[x]) for x in extra]])
     out = inbox.cogroup(places.groupBy("b")).applyInArrow(_drop_words(window, extra), schema)
+    if kept is not None:
+        return out.select(F.col("id").cast(docs.schema[id].dataType).alias(id), F.col("kept_text").alias(kept), *[F.col(x).alias(c) for c, x in zip(keep, extra, strict=True)])
     return out.select(F.col("id").alias(id), "n_words", "n_removed", "kept_text", *[F.col(x).alias(c) for c, x in zip(keep, extra, strict=True)])
