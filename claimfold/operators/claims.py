@@ -10,6 +10,14 @@ from ..functions.noise import mix
 from ..sources.tables import canonical
 
 CELL = ("entity_id", "attr")
+#: Entity ids of the r-th of several independent runs in one table start at r * RUN.
+RUN = 1 << 40
+
+
+def run_of(entity: str) -> Column:
+    """The run of an entity; synthetic entities, whose ids are negative, belong to the run of the one they copy."""
+    e = F.col(entity)
+    return F.floor(F.when(e < 0, F.floor(-e / 64)).otherwise(e) / RUN).cast("int")
 
 
 def to_claims(df: DataFrame, entity: str, attrs: list[str], source: str | None = None, record: str | None = None, nulls: str = "drop") -> DataFrame:

@@ -12,7 +12,7 @@ from .claims import CELL
 
 BLOCKS = ("format", "running", "embed", "cooc", "vote", "source", "rules", "neighbour")
 #: Asked for by name alone: the naive classifier has nothing else.
-EXTRA = ("onehot",)
+EXTRA = ("onehot", "vote_top")
 GROUPS = {"attribute": ("format", "running", "embed"), "record": ("cooc", "vote"), "database": ("source", "rules", "neighbour")}
 
 
@@ -80,15 +80,20 @@ def embed_distance(cells: DataFrame, dim: int = 32, kind: str = "l2") -> DataFra
     return distance_to_mean(cells.withColumn("_e", hash_embedding(F.col("value"), dim)), list(CELL), "_e", dim, kind, "embed").drop("_e")
 
 
-def word2vec_distance(cells: DataFrame, dim: int = 16, seed: int = 1, kind: str = "l2") -> DataFrame:
-    """The same with embeddings that Word2Vec learns over character pairs of the values."""
+def word2vec_vectors(cells: DataFrame, dim: int = 16, seed: int = 1, out: str = "vector", sample: int = 100_000) -> DataFrame:
+    """Rows with vectors that Word2Vec learns over the character pairs of at most `sample` distinct values, those of the least hashes."""
     from pyspark.ml.feature import Word2Vec
     from pyspark.ml.functions import vector_to_array
 
     pairs = F.transform(F.sequence(F.lit(1), F.greatest(F.length("value") - 1, F.lit(1))), lambda i: F.substring(F.col("value"), i, F.lit(2)))
-    words = cells.withColumn("_w", pairs)
-    model = Word2Vec(vectorSize=dim, minCount=1, seed=seed, maxIter=1, numPartitions=1, inputCol="_w", outputCol="_v").fit(words.select("_w").distinct())
-    return distance_to_mean(model.transform(words).withColumn("_e", vector_to_array("_v")), list(CELL), "_e", dim, kind, "embed").drop("_w", "_v", "_e")
+    known = cells.select("value").distinct().orderBy(F.xxhash64("value"), "value").limit(sample)
+    model = Word2Vec(vectorSize=dim, minCount=1, seed=seed, maxIter=1, numPartitions=1, inputCol="_w", outputCol="_v").fit(known.select(pairs.alias("_w")))
+    return model.transform(cells.withColumn("_w", pairs)).withColumn(out, vector_to_array("_v")).drop("_w", "_v")
+
+
+def word2vec_distance(cells: DataFrame, dim: int = 16, seed: int = 1, kind: str = "l2") -> DataFrame:
+    """The same with embeddings that Word2Vec learns over character pairs of the values."""
+    return distance_to_mean(word2vec_vectors(cells, dim, seed, "_e"), list(CELL), "_e", dim, kind, "embed").drop("_e")
 
 
 def lookup_embedding(df: DataFrame, vectors: DataFrame, on: str) -> DataFrame:

@@ -58,6 +58,71 @@ def gradient_softmax(x: np.ndarray, y: np.ndarray, n_slots: int, weight: np.ndar
     return w
 
 
+def sigmoid_rows(z: np.ndarray) -> np.ndarray:
+    """Independent probabilities of the columns, scaled to sum to 1 in a row."""
+    p = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+    return p / p.sum(axis=1, keepdims=True)
+
+
+def one_vs_rest(x: np.ndarray, y: np.ndarray, n_slots: int, weight: np.ndarray | None = None, l2: float = 1e-2, rounds: int = 30) -> np.ndarray:
+    """(features + 1) x slots weights, one logistic model a slot, by Newton's method."""
+    x = np.hstack([x, np.ones((len(x), 1))])
+    weight = np.ones(len(x)) if weight is None else weight
+    total = weight.sum()
+    w = np.zeros((x.shape[1], n_slots))
+    for k in range(n_slots):
+        t = (y == k).astype(float)
+        for _ in range(rounds):
+            p = 1 / (1 + np.exp(-np.clip(x @ w[:, k], -30, 30)))
+            g = x.T @ (weight * (p - t)) / total + l2 * w[:, k]
+            h = (x * (weight * np.maximum(p * (1 - p), 1e-6))[:, None]).T @ x / total + l2 * np.eye(x.shape[1])
+            step = np.clip(np.linalg.solve(h, g), -5, 5)
+            w[:, k] -= step
+            if np.abs(step).max() < 1e-6:
+                break
+    return w
+
+
+def tree_fit(x: np.ndarray, y: np.ndarray, n_slots: int, weight: np.ndarray | None = None, depth: int = 6, least: int = 5) -> list:
+    """A decision tree by Gini impurity, as nested lists: [feature, threshold, left, right], or [shares of the slots]."""
+    weight = np.ones(len(x)) if weight is None else weight
+    shares = np.bincount(y, weights=weight, minlength=n_slots) + 1e-3
+    leaf = [(shares / shares.sum()).tolist()]
+    if depth == 0 or len(y) < 2 * least or (y == y[0]).all():
+        return leaf
+    hot, best = np.eye(n_slots)[y] * weight[:, None], None
+    for j in range(x.shape[1]):
+        order = np.argsort(x[:, j], kind="stable")
+        v, left = x[order, j], hot[order].cumsum(axis=0)
+        cut = np.flatnonzero(v[1:] > v[:-1])
+        cut = cut[(cut + 1 >= least) & (len(y) - cut - 1 >= least)]
+        if not len(cut):
+            continue
+        a, b = left[cut], left[-1] - left[cut]
+        gain = (a**2).sum(axis=1) / np.maximum(a.sum(axis=1), 1e-12) + (b**2).sum(axis=1) / np.maximum(b.sum(axis=1), 1e-12)
+        k = int(gain.argmax())
+        if best is None or gain[k] > best[0] + 1e-12:
+            best = (gain[k], j, float((v[cut[k]] + v[cut[k] + 1]) / 2))
+    total = hot.sum(axis=0)
+    if best is None or best[0] <= (total**2).sum() / total.sum() + 1e-9:
+        return leaf
+    _, j, at = best
+    low = x[:, j] <= at
+    return [j, at, tree_fit(x[low], y[low], n_slots, weight[low], depth - 1, least), tree_fit(x[~low], y[~low], n_slots, weight[~low], depth - 1, least)]
+
+
+def tree_rows(x: np.ndarray, tree: list) -> np.ndarray:
+    """The shares of each row's leaf."""
+    if len(tree) == 1:
+        return np.tile(np.array(tree[0]), (len(x), 1))
+    j, at, left, right = tree
+    low = x[:, j] <= at
+    a, b = tree_rows(x[low], left), tree_rows(x[~low], right)
+    out = np.empty((len(x), (a if len(a) else b).shape[1]))
+    out[low], out[~low] = a, b
+    return out
+
+
 def conditional_softmax(x: np.ndarray, y: np.ndarray, group: np.ndarray, weight: np.ndarray, l2: float | np.ndarray, rounds: int = 25) -> np.ndarray:
     """Shared weights for candidates that compete within their group, by Newton's method.
 

@@ -131,6 +131,48 @@ def violations(df: DataFrame, rule: Rule, id: str) -> DataFrame:
     return _joined(need, rule, id)
 
 
+def violations_against(df: DataFrame, partners: DataFrame, rule: Rule, id: str, own: str) -> DataFrame:
+    """(id, n): for every record, the rows of `partners` (one an entity) with which it breaks the rule; its own entity's row aside.
+
+    `own` names the entity in both.  Rules of one tuple ask the record alone; of two tuples those with an
+    equality between them are taken, equalities and one inequality as a difference of counts; others are refused.
+    """
+    if rule.tuples == 1:
+        return violations(df, rule, id)
+    if rule.tuples != 2:
+        raise RuleError("partners that are predicted are for rules of one or two tuples")
+    columns = sorted(rule.columns() - {id, own})
+    keys, _, _ = _split(rule)
+    if not keys:
+        raise RuleError("no equality links the tuples: the plan would be a cross product")
+    need = df.select(id, own, *columns)
+    shape = _shape(rule)
+    if shape and shape[0] == "fd" and not shape[3] and not shape[4] and own not in rule.columns():
+        on, column = shape[1], shape[2]
+        known = F.col(column).isNotNull()
+        for k in on:
+            known &= F.col(k).isNotNull()
+        by_value = partners.where(known).groupBy(*on, column).agg(F.count(F.lit(1)).alias("_v"))
+        by_key = by_value.groupBy(*on).agg(F.sum("_v").alias("_k"))
+        mine = partners.where(known).select(own, *[F.col(c).alias(f"_own_{c}") for c in [*on, column]])
+        rows = need.join(by_value, [*on, column], "left").join(by_key, on, "left").join(mine, own, "left")
+        same = F.col(f"_own_{column}") != F.col(column)
+        for k in on:
+            same &= F.col(f"_own_{k}") == F.col(k)
+        n = F.coalesce("_k", F.lit(0)) - F.coalesce("_v", F.lit(0)) - F.coalesce(same.cast("long"), F.lit(0))
+        return rows.select(id, F.when(known, n).otherwise(0).cast("long").alias("n"))
+    a, b = need.toDF(*[f"a_{c}" for c in need.columns]), partners.select(own, *columns).toDF(f"b_{own}", *[f"b_{c}" for c in columns])
+    first, second = F.lit(True), F.lit(True)
+    for p in rule.predicates:
+        first &= _holds(p, {1: "a_", 2: "b_"})
+        second &= _holds(p, {1: "b_", 2: "a_"})
+    on = F.col(f"a_{own}") != F.col(f"b_{own}")
+    for k in keys:
+        on &= F.col(f"a_{k.left.column}") == F.col(f"b_{k.left.column}")
+    counted = a.join(b, on & (first | second)).groupBy(F.col(f"a_{id}").alias(id)).agg(F.count(F.lit(1)).alias("n"))
+    return need.select(id).join(counted, id, "left").select(id, F.coalesce("n", F.lit(0)).alias("n"))
+
+
 def _split(rule: Rule):
     """Equalities of one column across, conditions on single tuples, the rest."""
     keys, single, rest = [], [], []
