@@ -1,6 +1,6 @@
 """Registered queries over the given tables, and SQL that any engine can run for the same rows."""
 
-from . import batch, models
+from . import batch, models, more
 
-QUERIES = {**batch.QUERIES, **models.QUERIES}
-SQL = {**batch.SQL, **models.SQL}
+QUERIES = {**batch.QUERIES, **more.QUERIES, **models.QUERIES}
+SQL = {**batch.SQL, **more.SQL, **models.SQL}

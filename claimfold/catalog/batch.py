@@ -39,13 +39,13 @@ def line_claims(spark: SparkSession, d: str) -> DataFrame:
     return claims.to_claims(df, "l_partkey", list(text.LINE_ATTRS), "_s").select("entity_id", "source_id", "attr", "value")
 
 
-def rep_claims(spark: SparkSession, d: str, name: str, salt: int | None = None, whole: bool = False) -> DataFrame:
-    wide = replicas(spark, d, name, salt, whole=whole)
+def rep_claims(spark: SparkSession, d: str, name: str, salt: int | None = None) -> DataFrame:
+    wide = replicas(spark, d, name, salt)
     return wide.unpivot(["entity_id", "source_id"], SETS[name][2], "attr", "value").where("value is not null")
 
 
-def seeds_of(spark: SparkSession, d: str, name: str, train: float = 0.1, whole: bool = False) -> DataFrame:
-    t = truth(spark, d, name, whole=whole)
+def seeds_of(spark: SparkSession, d: str, name: str, train: float = 0.1) -> DataFrame:
+    t = truth(spark, d, name)
     return t.join(claims.seed_split(t, train).where("part = 'train'").select("entity_id"), "entity_id").select(*CELL, "value")
 
 
@@ -67,7 +67,6 @@ def claims_wide_roundtrip(spark, d):
 
 for _name in ("orders", "part", "part_vote", "part_small", "customer", "supplier"):
     query(f"WITH {text.rep_cte(_name)} SELECT * FROM rep", f"replicas_{_name}")(lambda spark, d, n=_name: replicas(spark, d, n))
-    query(None, f"replicas_{_name}_whole")(lambda spark, d, n=_name: replicas(spark, d, n, whole=True))  # the SQL ends at the set's limit
 
 
 @query(f"WITH {text.rep_cte('part_small')} SELECT source_id, count(*) AS n, round(avg(CASE WHEN c.value = t.value THEN 1.0 ELSE 0.0 END), 6) AS accuracy FROM claims c JOIN truth t USING (entity_id, attr) GROUP BY source_id")
@@ -190,13 +189,13 @@ def hash_embedding(spark, d):
 
 @query()
 def word2vec_distance(spark, d):
-    c = claims.candidates(rep_claims(spark, d, "supplier", whole=True))
+    c = claims.candidates(rep_claims(spark, d, "supplier"))
     return features.word2vec_distance(c.where("attr = 's_name'"), 8).select(*CELL, "value", r6(F.col("embed")).alias("embed"))
 
 
 @query()
 def embed_distance_hashed(spark, d):
-    return features.embed_distance(claims.candidates(rep_claims(spark, d, "part_small", whole=True)), 16).select(*CELL, "value", r6(F.col("embed")).alias("embed"))
+    return features.embed_distance(claims.candidates(rep_claims(spark, d, "part_small")), 16).select(*CELL, "value", r6(F.col("embed")).alias("embed"))
 
 
 _A3 = ["l_returnflag", "l_linestatus", "l_linenumber"]
@@ -293,14 +292,8 @@ def violations_order_join(spark, d):
     return rules.violations(df.withColumn("rid", F.col("l_orderkey") * 10000 + F.col("l_partkey")), rules.parse_rule(DC4), "rid")
 
 
-@query("SELECT a.o_orderkey AS o_orderkey, count(b.o_orderkey) AS n FROM (SELECT * FROM orders WHERE o_orderkey < 4000) a LEFT JOIN (SELECT * FROM orders WHERE o_orderkey < 4000) b ON (a.o_orderdate < b.o_orderdate AND a.o_orderkey > b.o_orderkey) OR (a.o_orderdate > b.o_orderdate AND a.o_orderkey < b.o_orderkey) GROUP BY a.o_orderkey")
+@query("SELECT a.o_orderkey AS o_orderkey, count(b.o_orderkey) AS n FROM orders a LEFT JOIN orders b ON (a.o_orderdate < b.o_orderdate AND a.o_orderkey > b.o_orderkey) OR (a.o_orderdate > b.o_orderdate AND a.o_orderkey < b.o_orderkey) GROUP BY a.o_orderkey")
 def violations_inversion(spark, d):
-    return rules.violations(table(spark, d, "orders").where("o_orderkey < 4000"), rules.parse_rule(DC6), "o_orderkey")
-
-
-@query()
-def violations_inversion_whole(spark, d):
-    """Over all orders; a self-join in SQL would take too long."""
     return rules.violations(table(spark, d, "orders"), rules.parse_rule(DC6), "o_orderkey")
 
 
@@ -356,12 +349,9 @@ def source_accuracy(spark, d):
     return a.select("source_id", F.col("right").alias("right_"), "labelled", r6("accuracy").alias("accuracy"))
 
 
-@query(f"WITH {_ACC}, sc AS (SELECT entity_id, attr, value, round(sum(ln(a) - ln((1 - a) / greatest(m - 1, 1))), 6) AS score FROM held JOIN src USING (source_id) GROUP BY ALL) " + _BEST.format(score="score", src="sc"))
+@query(f"WITH {_ACC}, sc AS (SELECT entity_id, attr, value, sum(ln(a) - ln((1 - a) / greatest(m - 1, 1))) AS score FROM held JOIN src USING (source_id) GROUP BY ALL) SELECT entity_id, attr, value, round(score, 6) AS score FROM (SELECT *, row_number() OVER (PARTITION BY entity_id, attr ORDER BY round(score, 9) DESC, value) AS r FROM sc) WHERE r = 1")
 def seed_accuracy_bayes(spark, d):
-    a = baselines.source_accuracy(rep_claims(spark, d, "part_small"), seeds_of(spark, d, "part_small"))
-    held = baselines.supports(rep_claims(spark, d, "part_small"))
-    w = F.log("accuracy") - F.log((1 - F.col("accuracy")) / F.greatest(F.col("m") - 1, F.lit(1)))
-    return baselines.best(held.join(a, "source_id").groupBy(*CELL, "value").agg(r6(F.sum(w)).alias("score")))
+    return baselines.seed_accuracy_bayes(rep_claims(spark, d, "part_small"), seeds_of(spark, d, "part_small")).withColumn("score", r6("score"))
 
 
 def _bayes_sql() -> str:
@@ -373,15 +363,7 @@ def _bayes_sql() -> str:
 
 @query(_bayes_sql())
 def iterative_bayes_two_rounds(spark, d):
-    held = baselines.supports(rep_claims(spark, d, "supplier"))
-    sources = held.select("source_id").distinct().withColumn("accuracy", F.lit(0.8))
-    a = F.greatest(F.lit(0.01), F.least(F.lit(0.99), F.col("accuracy")))
-    weight = F.log(F.col("m") * a / (1 - a))
-    for _ in range(2):
-        p = baselines.posterior(baselines._scores(held, sources, weight))
-        sources = held.join(p.select(*CELL, "value", "p"), [*CELL, "value"]).groupBy("source_id").agg(F.avg("p").alias("accuracy"))
-    p = baselines.posterior(baselines._scores(held, sources, weight)).withColumn("score", F.round("p", 9))
-    return baselines.best(p).withColumn("score", r6("score"))
+    return baselines.iterative_bayes(rep_claims(spark, d, "supplier"), max_iter=2, eps=0.0).withColumn("score", r6("score"))
 
 
 _SUP = f"{text.rep_cte('supplier')}, {text.cand_cte()}"
@@ -553,13 +535,30 @@ def format_runs(spark, d):
     return p.select("page_id", F.col("pos").cast("long").alias("pos"), "r.sym", "r.text")
 
 
-@query()
+_SYM = "CASE WHEN regexp_full_match(t, '[A-Za-z]') THEN 'L' WHEN regexp_full_match(t, '[A-Za-z]+') THEN 'L+' WHEN regexp_full_match(t, '[0-9]') THEN 'D' WHEN regexp_full_match(t, '[0-9]+') THEN 'D+' ELSE t END"
+
+
+def _longest_sql(src: str) -> str:
+    """CTEs down to `won` (k, a, i, n): the longest common piece of the symbols of x and y, leftmost in x; no row if none."""
+    runs = lambda c: f"regexp_extract_all({c}, '[A-Za-z]+|[0-9]+|.')"
+    return (
+        f"src AS ({src}), lists AS (SELECT k, {runs('x')} AS a, list_transform({runs('x')}, lambda t: {_SYM}) AS xs, list_transform({runs('y')}, lambda t: {_SYM}) AS ys FROM src), "
+        "spans AS (SELECT k, a, xs, ys, i, n FROM (SELECT *, unnest(range(1, len(xs) - i + 2)) AS n FROM (SELECT *, unnest(range(1, len(xs) + 1)) AS i FROM lists))), "
+        "found AS (SELECT k, a, i, n FROM spans WHERE len(list_filter(range(1, len(ys) - n + 2), lambda j: ys[j:j + n - 1] = xs[i:i + n - 1])) > 0), "
+        "won AS (SELECT k, a, i, n FROM (SELECT *, row_number() OVER (PARTITION BY k ORDER BY n DESC, i) AS r FROM found) WHERE r = 1)"
+    )
+
+
+_NEXT = "SELECT * FROM (SELECT {key} AS k, {x} AS x, lead({y}) OVER (PARTITION BY {key} % 16 ORDER BY {key}) AS y FROM {t}) WHERE y IS NOT NULL"
+
+
+@query(f"WITH {_longest_sql(_NEXT.format(key='p_partkey', x='p_name', y='p_brand', t='part'))} SELECT s.k AS p_partkey, CAST(coalesce(w.i - 1, 0) AS INTEGER) AS start, CAST(coalesce(w.n, 0) AS INTEGER) AS length FROM src s LEFT JOIN won w ON w.k = s.k")
 def common_run(spark, d):
     p = table(spark, d, "part").select("p_partkey", "p_name", F.lead("p_brand").over(Window.partitionBy(F.col("p_partkey") % 16).orderBy("p_partkey")).alias("t")).where("t is not null")
     return p.select("p_partkey", augment.common_run("p_name", "t").alias("r")).select("p_partkey", "r.*")
 
 
-@query()
+@query(f"WITH {_longest_sql(_NEXT.format(key='c_custkey', x='c_name', y='c_mktsegment', t='customer'))} SELECT s.k AS c_custkey, CASE WHEN w.n IS NULL THEN s.x ELSE array_to_string(w.a[w.i:w.i + w.n - 1], '') END AS edited FROM src s LEFT JOIN won w ON w.k = s.k")
 def edit_to_format(spark, d):
     p = table(spark, d, "customer").select("c_custkey", "c_name", F.lead("c_mktsegment").over(Window.partitionBy(F.col("c_custkey") % 16).orderBy("c_custkey")).alias("t")).where("t is not null")
     return p.select("c_custkey", augment.edit_to_format("c_name", "t").alias("edited"))
@@ -567,7 +566,7 @@ def edit_to_format(spark, d):
 
 @query()
 def augmented_entities(spark, d):
-    return augment.augment_entities(rep_claims(spark, d, "customer", whole=True), seeds_of(spark, d, "customer", whole=True), 0.5)[0]
+    return augment.augment_entities(rep_claims(spark, d, "customer"), seeds_of(spark, d, "customer"), 0.5)[0]
 
 
 # -- truth builders and other tables ---------------------------------------------------
@@ -609,21 +608,18 @@ def _vote_sql(src: str, key: str, cols: dict[str, str]) -> str:
     return f"WITH q AS ({src}), claims AS ({union}), {text.cand_cte()} SELECT entity_id, attr, value FROM cand WHERE slot = 0"
 
 
-@query(_vote_sql("SELECT *, substr(lower(text), 1, 60) AS prefix FROM documents", "prefix", {"lang": "lang", "n_chars": "CAST(n_chars AS VARCHAR)"}))
-def document_copies_vote(spark, d):
-    docs = table(spark, d, "documents").withColumn("prefix", F.substring(F.lower("text"), 1, 60))
-    return _vote_of(docs, "prefix", ["lang", "n_chars"])
+#: Digest of a document's whole text, in lower case with one blank between words.
+_DIGEST = "sha256(trim(regexp_replace(lower(text), '[\\x09-\\x0D\\x20]+', ' ', 'g')))"
 
 
-def _whole_text() -> Column:
-    """Digest of a document's whole text, in lower case with one blank between words."""
-    return F.sha2(F.trim(F.regexp_replace(F.lower("text"), r"\s+", " ")), 256)
+def _digest() -> Column:
+    return F.sha2(F.trim(F.regexp_replace(F.lower("text"), r"[\x09-\x0D\x20]+", " ")), 256)
 
 
-@query()
-def document_copies_whole_vote(spark, d):
-    """Copies are documents of one whole text; the SQL above goes by its first 60 characters."""
-    return _vote_of(table(spark, d, "documents").withColumn("digest", _whole_text()), "digest", ["lang", "n_chars"])
+@query(_vote_sql(f"SELECT *, {_DIGEST} AS digest FROM documents", "digest", {"lang": "lang", "n_chars": "CAST(n_chars AS VARCHAR)"}))
+def document_copies_vote(spark, d):
+    """Documents of one whole text are copies."""
+    return _vote_of(table(spark, d, "documents").withColumn("digest", _digest()), "digest", ["lang", "n_chars"])
 
 
 @query(_vote_sql("SELECT regexp_replace(regexp_extract(url, '^[a-z]+://([^/]+)', 1), '^(www|m|blog)\\.', '') AS host, regexp_extract(url, '^([a-z]+)://', 1) AS scheme, regexp_extract(url, '^[a-z]+://[^/]+/([a-z]+)', 1) AS path FROM pages", "host", {"scheme": "scheme", "path": "path"}))
@@ -644,17 +640,10 @@ def lineitem_conflicts(spark, d):
     return _vote_of(li, "k", ["l_returnflag", "l_linestatus"])
 
 
-@query("SELECT substr(lower(text), 1, 60) AS prefix, count(*) AS n, count(l.doc_id) AS labelled, CAST(coalesce(sum(quality), 0) AS BIGINT) AS good, CAST(coalesce(sum(toxic), 0) AS BIGINT) AS toxic FROM documents d LEFT JOIN labels l ON l.doc_id = d.doc_id GROUP BY 1")
+@query(f"SELECT {_DIGEST} AS digest, count(*) AS n, count(l.doc_id) AS labelled, CAST(coalesce(sum(quality), 0) AS BIGINT) AS good, CAST(coalesce(sum(toxic), 0) AS BIGINT) AS toxic FROM documents d LEFT JOIN labels l ON l.doc_id = d.doc_id GROUP BY 1")
 def labels_partial_truth(spark, d):
     j = table(spark, d, "documents").join(table(spark, d, "labels").withColumn("has", F.lit(1)), "doc_id", "left")
-    return j.groupBy(F.substring(F.lower("text"), 1, 60).alias("prefix")).agg(F.count(F.lit(1)).alias("n"), F.count("has").alias("labelled"), F.coalesce(F.sum("quality"), F.lit(0)).cast("long").alias("good"), F.coalesce(F.sum("toxic"), F.lit(0)).cast("long").alias("toxic"))
-
-
-@query()
-def labels_whole_truth(spark, d):
-    """The same by whole texts."""
-    j = table(spark, d, "documents").join(table(spark, d, "labels").withColumn("has", F.lit(1)), "doc_id", "left")
-    return j.groupBy(_whole_text().alias("digest")).agg(F.count(F.lit(1)).alias("n"), F.count("has").alias("labelled"), F.coalesce(F.sum("quality"), F.lit(0)).cast("long").alias("good"), F.coalesce(F.sum("toxic"), F.lit(0)).cast("long").alias("toxic"))
+    return j.groupBy(_digest().alias("digest")).agg(F.count(F.lit(1)).alias("n"), F.count("has").alias("labelled"), F.coalesce(F.sum("quality"), F.lit(0)).cast("long").alias("good"), F.coalesce(F.sum("toxic"), F.lit(0)).cast("long").alias("toxic"))
 
 
 # -- relational operators around claims ------------------------------------------------

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 from dataclasses import replace
 
 from pyspark.sql import functions as F
@@ -11,7 +12,9 @@ from ..plans import experiments
 from ..sources.replicas import SETS, replicas
 from ..sources.tables import table
 from ..streaming import votes
+from . import text
 from .batch import CELL, r6, rep_claims, seeds_of
+from .batch import _ACC as ACCURACY
 from .batch import SQL as _BATCH_SQL
 
 QUERIES: dict = {}
@@ -24,58 +27,100 @@ def query(f):
 
 
 def _settings(name: str, **changes) -> resolver.Settings:
-    return replace(resolver.Settings(tuple(SETS[name][2]), stages=2, embed_dim=8, max_slots=12), **changes)
+    return replace(resolver.Settings(tuple(SETS[name][2]), stages=2, embed_dim=8), **changes)
 
 
-def _fit(spark, d, name="supplier", **changes):
-    return resolver.fit(replicas(spark, d, name, whole=True), seeds_of(spark, d, name, 0.2, whole=True), _settings(name, **changes))
+def _fit(spark, d, name="supplier", sources=True, **changes):
+    wide = replicas(spark, d, name)
+    wide = wide if sources else wide.withColumn("source_id", F.lit(None).cast("int"))
+    return resolver.fit(wide, seeds_of(spark, d, name, 0.2), _settings(name, **changes))
+
+
+def _named(units, vector, names):
+    named = F.transform(vector, lambda x, i: F.struct(F.get(F.array(*map(F.lit, names)), i).alias("feature"), F.round(x, 6).alias("x")))
+    return units.select(*CELL, "value", F.explode(named).alias("f")).select(*CELL, "value", "f.*")
 
 
 @query
 def static_features(spark, d):
-    cands, names = resolver._static(replicas(spark, d, "part_small", whole=True), _settings("part_small"))
-    named = F.transform("static", lambda x, i: F.struct(F.array(*map(F.lit, names))[i].alias("feature"), F.round(x, 6).alias("x")))
-    return cands.select(*CELL, "value", F.explode(named).alias("f")).select(*CELL, "value", "f.*")
+    s = _settings("part_small")
+    wide = resolver.number_records(replicas(spark, d, "part_small"), s, "static-records")
+    cands, names = resolver._static(wide, s, resolver.source_list(wide, s))
+    return _named(cands, "static", names)
 
 
 @query
 def full_features(spark, d):
-    wide = replicas(spark, d, "supplier", whole=True)
     s = _settings("supplier")
+    wide = resolver.number_records(replicas(spark, d, "supplier"), s, "full-records")
+    cands, names = resolver._static(wide, s, resolver.source_list(wide, s))
+    featured, more = resolver._dynamic(wide, cands, claims.vote_labels(cands).select(*CELL, "value"), s, 1)
+    return _named(featured, "x", [*names, *more])
+
+
+#: Rules of the stand-in without sources.
+RULES = experiments.RULES["customer"]
+
+
+def _source_free_sql() -> str:
+    """Candidates of records without sources: supports, bigrams, vote share and mean log violations, by self-joins."""
+    attrs = SETS["customer"][2]
+    wide = f"{text.rep_cte('customer')}, r AS (SELECT entity_id * 4096 + source_id AS rid, * FROM rep)"
+    fd = "(SELECT a.rid, count(b.rid) AS n FROM r a LEFT JOIN r b ON a.{k} = b.{k} AND a.{v} <> b.{v} GROUP BY a.rid)"
+    broken = f"v AS (SELECT x.rid, x.n AS n0, y.n AS n1 FROM {fd.format(k='c_nationkey', v='n_name')} x JOIN {fd.format(k='n_name', v='r_name')} y USING (rid))"
+    union = " UNION ALL ".join(f"SELECT entity_id, '{a}' AS attr, {a} AS value, {'ln(1 + n0)' if a in ('c_nationkey', 'n_name') else '0.0'} AS r0, {'ln(1 + n1)' if a in ('n_name', 'r_name') else '0.0'} AS r1 FROM r JOIN v USING (rid) WHERE {a} IS NOT NULL" for a in attrs)
+    mapped = "regexp_replace(regexp_replace(regexp_replace(value, '[A-Za-z]', 'A', 'g'), '[0-9]', 'N', 'g'), '[^AN]', 'S', 'g')"
+    grams = ["".join(g) for g in itertools.product("ANS", repeat=2)]
+    counts = ", ".join(f"ln(1 + len(list_filter(range(1, length(m)), lambda i: substr(m, i, 2) = '{g}'))) AS format{i}" for i, g in enumerate(grams))
+    features = [*(f"format{i}" for i in range(9)), "vote_share", "rule0", "rule1"]
+    rows = " UNION ALL ".join(f"SELECT entity_id, attr, value, support, '{f}' AS feature, round(CAST({f} AS DOUBLE), 6) AS x FROM f" for f in features)
+    return (
+        f"WITH {wide}, {broken}, c AS ({union}), g AS (SELECT entity_id, attr, value, count(*) AS support, avg(r0) AS rule0, avg(r1) AS rule1, {mapped} AS m FROM c GROUP BY entity_id, attr, value), "
+        f"f AS (SELECT *, {counts}, support / sum(support) OVER (PARTITION BY entity_id, attr) AS vote_share FROM g) {rows}"
+    )
+
+
+@query
+def static_features_source_free(spark, d):
+    """Records without sources, with rules: every record counts once."""
+    s = _settings("customer", use_source=False, rules=RULES, models=("format", "vote", "rules"))
+    wide = resolver.number_records(replicas(spark, d, "customer").drop("source_id"), s, "free-records")
     cands, names = resolver._static(wide, s)
-    featured, more = resolver._dynamic(wide, cands, claims.vote_labels(cands), s, 1)
-    named = F.transform("x", lambda x, i: F.struct(F.array(*map(F.lit, [*names, *more]))[i].alias("feature"), F.round(x, 6).alias("x")))
-    return featured.select(*CELL, "value", F.explode(named).alias("f")).select(*CELL, "value", "f.*")
+    named = _named(cands, "static", names)
+    return named.join(cands.select(*CELL, "value", "support"), [*CELL, "value"])
+
+
+SQL["static_features_source_free"] = _source_free_sql()
 
 
 @query
 def iterative_bayes(spark, d):
-    return baselines.iterative_bayes(rep_claims(spark, d, "supplier", whole=True), max_iter=8)
+    return baselines.iterative_bayes(rep_claims(spark, d, "supplier"))
 
 
 @query
 def interval_weighted_vote(spark, d):
-    return baselines.interval_weighted_vote(rep_claims(spark, d, "supplier", whole=True), iters=4)
+    return baselines.interval_weighted_vote(rep_claims(spark, d, "supplier"))
 
 
 @query
 def claim_graph(spark, d):
-    return baselines.claim_graph_propagation(rep_claims(spark, d, "supplier", whole=True), seeds_of(spark, d, "supplier", 0.2, whole=True), 6)
+    return baselines.claim_graph_propagation(rep_claims(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2))
 
 
 @query
 def discriminative_erm(spark, d):
-    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier", whole=True), seeds_of(spark, d, "supplier", 0.2, whole=True), "erm", iters=6)
+    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2), "erm")
 
 
 @query
 def discriminative_em(spark, d):
-    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier", whole=True), seeds_of(spark, d, "supplier", 0.2, whole=True), "em", iters=6)
+    return baselines.discriminative_source_model(rep_claims(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2), "em")
 
 
 @query
 def rewrite_then_vote(spark, d):
-    return baselines.rewrite_then_vote(rep_claims(spark, d, "customer", whole=True), 100)[0]
+    return baselines.rewrite_then_vote(rep_claims(spark, d, "customer"), 100)[0]
 
 
 @query
@@ -151,14 +196,38 @@ def _answers(scored):
 
 @query
 def stagewise(spark, d):
-    return _answers(_fit(spark, d, dynamic_from="labels", calibrate=False)[1])
+    return _answers(_fit(spark, d, dynamic_from="labels", calibrate=None)[1])
+
+
+_TWIN = {"first_dynamic": "zero", "stages": 3, "calibrate": None}
 
 
 @query
 def dynamic_twin(spark, d):
-    """The replay of the fitted stages on the same records: each stage's features from its predecessor's labels."""
-    fitted, _ = _fit(spark, d, dynamic_from="model", calibrate=False)
-    return _answers(resolver.resolve_new(fitted, replicas(spark, d, "supplier", whole=True)))
+    """The formulation with dynamic features, which has no list of stages."""
+    return _answers(resolver.resolve_dynamic(replicas(spark, d, "supplier"), seeds_of(spark, d, "supplier", 0.2), _settings("supplier", **_TWIN)))
+
+
+@query
+def twin_disagreements(spark, d):
+    """Cells where the stagewise and the dynamic formulation answer differently: none."""
+    a = _answers(_fit(spark, d, **_TWIN)[1]).select(*CELL, F.col("value").alias("a"))
+    both = a.join(dynamic_twin(spark, d).select(*CELL, F.col("value").alias("b")), CELL, "full")
+    return both.agg(F.count(F.lit(1)).alias("cells"), F.coalesce(F.sum((~F.col("a").eqNullSafe(F.col("b"))).cast("long")), F.lit(0)).alias("different"))
+
+
+SQL["twin_disagreements"] = f"WITH {text.rep_cte('supplier')} SELECT count(*) AS cells, CAST(0 AS BIGINT) AS different FROM (SELECT DISTINCT entity_id, attr FROM claims)"
+
+
+@query
+def forward_layers(spark, d):
+    """The output of every layer for entities never seen."""
+    fitted, _ = _fit(spark, d, stages=3)
+    out = None
+    for k, layer in enumerate(resolver.forward(fitted, replicas(spark, d, "supplier", salt=9))):
+        one = _answers(layer).withColumn("layer", F.lit(k))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query
@@ -172,20 +241,68 @@ def resolve_source_free(spark, d):
 
 
 @query
-def resolve_faithful(spark, d):
-    return _answers(_fit(spark, d, layout="cell", weak_weight=1.0, optimiser="adam", epochs=20, stages=1)[1])
+def resolve_source_free_rules(spark, d):
+    """No sources, rules, and synthetic entities: a tenth of the labelled ones."""
+    return _answers(_fit(spark, d, "customer", sources=False, rules=RULES, augment=0.1)[1])
 
 
 @query
 def resolve_with_rules(spark, d):
-    rules = ("not(t1.c_nationkey = t2.c_nationkey and t1.n_name != t2.n_name)", "not(t1.n_name = t2.n_name and t1.r_name != t2.r_name)")
-    return _answers(_fit(spark, d, "customer", rules=rules, stages=1)[1])
+    return _answers(_fit(spark, d, "customer", rules=RULES)[1])
+
+
+@query
+def resolve_predicted_partners(spark, d):
+    """Rules against the other entities' predicted records."""
+    return _answers(_fit(spark, d, "customer", rules=RULES, rule_partners="predicted")[1])
+
+
+@query
+def resolve_faithful(spark, d):
+    """The literal variant: every claim's vector classified into slots, 500 epochs of Adam, three stages."""
+    wide, s = replicas(spark, d, "supplier"), resolver.faithful(_settings("supplier", stages=3, max_slots=16))
+    return _answers(resolver.fit(wide, seeds_of(spark, d, "supplier", 0.2), s)[1])
+
+
+#: Variants of layout, classifier, fusing, embedding, co-occurrence, trust and augmentation.
+VARIANTS = {
+    "resolve_own_slot": {"layout": "cell_own_slot", "max_slots": 16},
+    "resolve_entity_slots": {"layout": "entity_slots", "max_slots": 12, "models": ("format", "embed", "cooc", "vote")},
+    "resolve_one_vs_rest": {"layout": "cell", "max_slots": 16, "classifier": "logreg_ovr"},
+    "resolve_tree": {"layout": "cell_own_slot", "max_slots": 16, "classifier": "tree"},
+    "resolve_weighted_fusion": {"layout": "cell", "max_slots": 16, "fuse": "weighted"},
+    "resolve_word2vec": {"embed": "word2vec"},
+    "resolve_raw_cooccurrence": {"cooc_values": "raw"},
+    "resolve_with_trust": {"trust": True},
+    "resolve_temperature": {"calibrate": "temperature"},
+    "resolve_early_stop": {"stages": 15, "early_stop": 0.005},
+    "resolve_augmented_to_truth": {"augment": 0.3, "augment_to": "truth"},
+    "resolve_augmented_to_majority": {"augment": 0.3, "augment_to": "majority"},
+}
+for _name, _changes in VARIANTS.items():
+    QUERIES[_name] = lambda spark, d, c=_changes: _answers(_fit(spark, d, **c)[1])
+
+
+@query
+def resolve_sampled(spark, d):
+    """Candidates drawn in proportion to their probability."""
+    return resolver.resolve(_fit(spark, d, stages=1)[1], pick="sample", seed=3).withColumn("p", r6("p"))
 
 
 @query
 def resolve_new(spark, d):
     fitted, _ = _fit(spark, d, stages=1)
-    return _answers(resolver.resolve_new(fitted, replicas(spark, d, "supplier", salt=9, whole=True)))
+    return _answers(resolver.resolve_new(fitted, replicas(spark, d, "supplier", salt=9)))
+
+
+@query
+def estimator(spark, d):
+    """The four modules as Spark ML stages."""
+    from ..plans import modules
+
+    wide = replicas(spark, d, "supplier")
+    model = modules.Resolver(attrs=list(SETS["supplier"][2]), seeds=seeds_of(spark, d, "supplier", 0.2), stages=2, embed_dim=8).fit(wide)
+    return modules.Answers().transform(model.transform(wide)).withColumn("p", r6("p"))
 
 
 @query
@@ -199,13 +316,47 @@ def golden_records(spark, d):
     return claims.golden(_answers(_fit(spark, d, stages=1)[1]), SETS["supplier"][2])
 
 
-QUERIES["stages_curve"] = lambda spark, d: experiments.stages_curve(spark, d, "supplier", 2, (0.2,))
-QUERIES["augmentation_sweep"] = lambda spark, d: experiments.augmentation_sweep(spark, d, "supplier", (0.0, 0.1, 0.5), (0.2,))
-QUERIES["label_size_sweep"] = lambda spark, d: experiments.label_size_sweep(spark, d, "supplier", (0.1, 0.3))
-QUERIES["ablation_single"] = lambda spark, d: experiments.ablation_single(spark, d, "supplier")
-QUERIES["ablation_group"] = lambda spark, d: experiments.ablation_group(spark, d, "supplier")
+# -- experiments -----------------------------------------------------------------------
+
+#: Runs of the registered experiments; the published ones have 50, which `runs` takes as well.
+RUNS = 5
+FIVE = ("orders", "part", "part_vote", "part_small", "customer")
+
+
+@query
+def end_to_end_customer(spark, d):
+    """The stand-in with rules: with its sources every method, at a tenth of the entities labelled."""
+    return experiments.summary(experiments.end_to_end(spark, d, ("customer",), runs=RUNS, share=0.1))
+
+
+@query
+def end_to_end_source_free(spark, d):
+    """The same without sources, as the published set with rules is: source-free methods alone."""
+    return experiments.summary(experiments.end_to_end(spark, d, ("customer",), experiments.WITHOUT, runs=RUNS, share=0.1, sources=False))
+
+
+@query
+def end_to_end_part_small(spark, d):
+    return experiments.summary(experiments.end_to_end(spark, d, ("part_small",), runs=RUNS))
+
+
+for _name in ("orders", "part", "part_vote"):
+    QUERIES[f"end_to_end_{_name}"] = lambda spark, d, n=_name: experiments.summary(experiments.end_to_end(spark, d, (n,), runs=2))
+
+
+def _small(spark, d):
+    return experiments.end_to_end(spark, d, ("supplier", "customer"), ("source_aware", "seed_accuracy_bayes", "source_free", "majority_vote"), runs=RUNS, share=0.1)
+
+
+QUERIES["average_over_sets"] = lambda spark, d: experiments.averages(_small(spark, d))
+QUERIES["gaps_to_rivals"] = lambda spark, d: experiments.gaps(_small(spark, d))
+QUERIES["stages_curve"] = lambda spark, d: experiments.summary(experiments.stages_curve(spark, d, "supplier", shares=(0.1,), ratio=0.1, runs=RUNS))
+QUERIES["augmentation_sweep"] = lambda spark, d: experiments.summary(experiments.augmentation_sweep(spark, d, "supplier", shares=(0.1,), runs=RUNS, stages=1))
+QUERIES["label_size_sweep"] = lambda spark, d: experiments.summary(experiments.label_size_sweep(spark, d, "customer", shares=(0.002, 0.01, 0.1), methods=("source_free",), runs=RUNS))
+QUERIES["ablation_single"] = lambda spark, d: experiments.summary(experiments.ablation_single(spark, d, "customer", runs=2))
+QUERIES["ablation_group"] = lambda spark, d: experiments.summary(experiments.ablation_group(spark, d, "customer", use_source=True, runs=2))
+QUERIES["ablation_drops"] = lambda spark, d: experiments.drops(experiments.ablation_single(spark, d, "supplier", use_source=True, runs=RUNS))
 QUERIES["weight_report"] = lambda spark, d: experiments.weight_report(spark, d, "supplier")
-QUERIES["end_to_end_table"] = lambda spark, d: experiments.end_to_end(spark, d, "supplier", runs=1, share=0.1)
 
 
 @query
@@ -213,8 +364,11 @@ def trust_error(spark, d):
     from ..operators import measure
     from ..sources.replicas import truth
 
-    c = rep_claims(spark, d, "part_small", whole=True)
-    return measure.trust_error(baselines.source_accuracy(c, seeds_of(spark, d, "part_small", whole=True)), baselines.source_accuracy(c, truth(spark, d, "part_small", whole=True), 0.0)).withColumn("error", r6("error"))
+    c = rep_claims(spark, d, "part_small")
+    return measure.trust_error(baselines.source_accuracy(c, seeds_of(spark, d, "part_small")), baselines.source_accuracy(c, truth(spark, d, "part_small"), 0.0)).withColumn("error", r6("error"))
+
+
+SQL["trust_error"] = f"WITH {ACCURACY}, act AS (SELECT source_id, greatest(0.01, least(0.99, avg(CASE WHEN c.value = t.value THEN 1.0 ELSE 0.0 END))) AS b FROM claims c JOIN truth t USING (entity_id, attr) GROUP BY source_id) SELECT source_id, round(abs(a - b), 6) AS error FROM src JOIN act USING (source_id)"
 
 
 @query

@@ -21,9 +21,8 @@ def roll_sql(k: str, s: str | int, j: str | int, salt: int = 0) -> str:
 
 def base_cte(name: str, prefix: str = "") -> str:
     key, tables, exprs = _BASE[name]
-    spec = SETS[name][3]
     cols = ", ".join(f"{exprs[a]} AS {a}" for a in SETS[name][2])
-    return f"{prefix}base AS MATERIALIZED (SELECT CAST({key} AS BIGINT) AS k, {cols} FROM {tables} WHERE {key} < {spec.limit}), {prefix}size AS (SELECT count(*) AS n FROM {prefix}base)"
+    return f"{prefix}base AS MATERIALIZED (SELECT CAST({key} AS BIGINT) AS k, {cols} FROM {tables}), {prefix}size AS (SELECT count(*) AS n FROM {prefix}base)"
 
 
 def rep_cte(name: str, prefix: str = "", salt: int | None = None) -> str:

@@ -22,8 +22,8 @@ from .claims import CELL, F_ATTR, candidates, vote_labels
 
 
 def best(scored: DataFrame) -> DataFrame:
-    """The highest score of each cell; ties by value."""
-    w = Window.partitionBy(*CELL).orderBy(F.desc("score"), F.asc("value"))
+    """The highest score of each cell; ties by value.  Scores that differ by less than 1e-9 are ties, in whatever order they were summed."""
+    w = Window.partitionBy(*CELL).orderBy(F.desc(F.round("score", 9)), F.asc("value"))
     return scored.withColumn("_r", F.row_number().over(w)).where("_r = 1").select(*CELL, "value", "score")
 
 
@@ -171,19 +171,38 @@ def _chi2inv_column(p: pd.Series, k: pd.Series) -> pd.Series:
     return pd.Series([chi2inv(a, b) for a, b in zip(p, k, strict=True)])
 
 
-def interval_weighted_vote(claims: DataFrame, alpha: float = 0.05, iters: int = 10, exact: bool = True) -> DataFrame:
-    """Weights by the chi-square quantile of a source's claims over its losses: few claims weigh little."""
-    held = settle(supports(claims), "interval-supports")
+def interval_weighted_vote(claims: DataFrame, alpha: float = 0.05, iters: int = 10, exact: bool = True, numeric: tuple[str, ...] = ()) -> DataFrame:
+    """Weights by the chi-square quantile of a source's claims over its losses: few claims weigh little.
+
+    A claim loses 1 if it is not the answer.  For `numeric` attributes the answer is
+    the weighted mean, and a claim loses its squared distance to it over the
+    variance of its cell; their answers are numbers as text, without exponent.
+    """
+    held = settle(supports(claims).withColumn("x", F.when(F.col("attr").isin(*numeric), F.col("value").cast("double")) if numeric else F.lit(None).cast("double")), "interval-supports")
     size = held.groupBy("source_id").agg(F.count(F.lit(1)).cast("double").alias("n"))
     quantile = _chi2inv_column(F.lit(alpha / 2), F.col("n")) if exact else chi2inv_cube(-1.959963984540054, F.col("n"))
     size = settle(size.withColumn("q", quantile), "interval-sizes")
-    answer = best(held.groupBy(*CELL, "value").agg(F.count(F.lit(1)).cast("double").alias("score")))
-    scored = None
+    spread = held.where("x is not null").groupBy(*CELL).agg(F.var_pop("x").alias("_v"), F.avg("x").alias("_m"))
+
+    def means(rows: DataFrame, w: Column) -> DataFrame:
+        total = rows.where("x is not null").groupBy(*CELL).agg((F.sum(F.col("x") * w) / F.sum(w)).alias("_m"), F.sum(w).alias("score"))
+        return total.select(*CELL, F.col("_m").cast("decimal(38,6)").cast("string").alias("value"), "score")
+
+    def answers(rows: DataFrame, w: Column) -> DataFrame:
+        voted = best(rows.where("x is null").groupBy(*CELL, "value").agg(F.sum(w).alias("score")))
+        return voted.unionByName(means(rows, w)) if numeric else voted
+
+    answer = answers(held, F.lit(1.0))
     for _ in range(iters):
-        lost = held.join(answer.select(*CELL, F.col("value").alias("_a")), list(CELL)).groupBy("source_id").agg(F.sum((F.col("value") != F.col("_a")).cast("double")).alias("loss"))
+        judged = held.join(answer.select(*CELL, F.col("value").alias("_a")), list(CELL))
+        loss = (F.col("value") != F.col("_a")).cast("double")
+        if numeric:
+            gap = F.pow(F.col("x") - F.col("_a").cast("double"), F.lit(2.0))
+            judged = judged.join(spread.select(*CELL, "_v"), list(CELL), "left")
+            loss = F.when(F.col("x").isNull(), loss).when(F.col("_v") > 0, gap / F.col("_v")).otherwise(0.0)
+        lost = judged.groupBy("source_id").agg(F.sum(loss).alias("loss"))
         sources = settle(size.join(lost, "source_id").select("source_id", (F.col("q") / (F.col("loss") + 1e-6)).alias("w")), "interval-sources")
-        scored = _scores(held, sources, F.col("w"))
-        answer = best(scored)
+        answer = answers(held.join(sources, "source_id"), F.col("w"))
     return answer
 
 
@@ -243,10 +262,22 @@ def discriminative_source_model(claims: DataFrame, seeds: DataFrame, mode: str =
 
 
 def rewrite_program(a: str, b: str) -> str:
-    """A name for the way from a to b: runs of either, with equal texts as copies and others as constants."""
-    left, right = runs_python(a), runs_python(b)
+    """A name for the way from a to b: the runs' formats of a, and each run of b as made from a run of a.
+
+    A run is a copy ($0), a copy in upper, lower or title case (U$0, L$0, T$0), a copy
+    without its last k characters ($0<k), or a constant.  So values that change in one
+    way share a program, whatever their texts.
+    """
+    left = runs_python(a)
     texts = [t for _, t in left]
-    out = [f"${texts.index(t)}" if t in texts else f"'{t}'" if not t.isalnum() else f"<{s}:{t}>" for s, t in right]
+    out = []
+    for _, t in runs_python(b):
+        if t in texts:
+            out.append(f"${texts.index(t)}" if t.isalnum() else f"'{t}'")
+            continue
+        cased = next((f"{how}${i}" for i, x in enumerate(texts) if x.isalnum() for how, y in (("U", x.upper()), ("L", x.lower()), ("T", x.title())) if y == t), None)
+        cut = next((f"${i}<{len(x) - len(t)}" for i, x in enumerate(texts) if t.isalnum() and x.startswith(t)), None)
+        out.append(cased or cut or f"'{t}'")
     return "".join(s for s, _ in left) + "=>" + "".join(out)
 
 
@@ -255,36 +286,39 @@ def _program(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([rewrite_program(x, y) for x, y in zip(a, b, strict=True)])
 
 
-def rewrite_pairs(claims: DataFrame) -> DataFrame:
+def rewrite_pairs(claims: DataFrame, pairs: str = "top") -> DataFrame:
     """(attr, rare, frequent, program, n_entities): value pairs within cells, the rarer to the more supported.
 
-    Pairs are of each candidate with its cell's best only: linear in candidates.
+    'top' pairs each candidate with its cell's best, linear in candidates; 'all'
+    pairs it with every candidate before it.
     """
+    if pairs not in ("top", "all"):
+        raise ValueError("pairs must be 'top' or 'all'")
     cands = candidates(claims)
-    top = cands.where("slot = 0").select(*CELL, F.col("value").alias("frequent"))
-    pairs = cands.where("slot > 0").join(top, list(CELL)).groupBy("attr", F.col("value").alias("rare"), "frequent").agg(F.count_distinct("entity_id").alias("n_entities"))
-    return pairs.withColumn("program", _program("rare", "frequent"))
+    before = (cands.where("slot = 0") if pairs == "top" else cands).select(*CELL, F.col("value").alias("frequent"), F.col("slot").alias("_first"))
+    both = cands.where("slot > 0").join(before, list(CELL)).where("_first < slot").groupBy("attr", F.col("value").alias("rare"), "frequent").agg(F.count_distinct("entity_id").alias("n_entities"))
+    return both.withColumn("program", _program("rare", "frequent"))
 
 
-def rewrite_then_vote(claims: DataFrame, budget: int = 100, oracle: DataFrame | None = None, least: int = 2) -> tuple[DataFrame, int]:
+def rewrite_then_vote(claims: DataFrame, budget: int = 100, oracle: DataFrame | None = None, least: int = 2, pairs: str = "top") -> tuple[DataFrame, int]:
     """Rewrite values by accepted programs, then vote; and the number of questions asked.
 
     Programs come in the order of the entities they touch.  A verifier (truth,
     for simulation) is asked for `budget` of them and accepts one if most of its
     pairs lead to a true value; without one, a program of `least` entities is accepted.
     """
-    pairs = settle(rewrite_pairs(claims), "rewrite-pairs")
-    ranked = pairs.groupBy("attr", "program").agg(F.sum("n_entities").alias("n")).orderBy(F.desc("n"), "attr", "program").limit(budget)
+    found = settle(rewrite_pairs(claims, pairs), "rewrite-pairs")
+    ranked = found.groupBy("attr", "program").agg(F.sum("n_entities").alias("n")).orderBy(F.desc("n"), "attr", "program").limit(budget)
     asked = ranked.count()
     if oracle is None:
         accepted = ranked.where(F.col("n") >= least).select("attr", "program")
     else:
         true = oracle.select("attr", F.col("value").alias("frequent")).distinct().withColumn("ok", F.lit(1))
         wrong = oracle.select("attr", F.col("value").alias("rare")).distinct().withColumn("also", F.lit(1))
-        seen = pairs.join(ranked.select("attr", "program"), ["attr", "program"]).join(true, ["attr", "frequent"], "left").join(wrong, ["attr", "rare"], "left")
+        seen = found.join(ranked.select("attr", "program"), ["attr", "program"]).join(true, ["attr", "frequent"], "left").join(wrong, ["attr", "rare"], "left")
         share = F.avg((F.col("ok").isNotNull() & F.col("also").isNull()).cast("double"))
         accepted = seen.groupBy("attr", "program").agg(share.alias("share")).where("share > 0.5").select("attr", "program")
-    rewrites = pairs.join(accepted, ["attr", "program"]).groupBy("attr", F.col("rare").alias("value")).agg(F.max_by("frequent", F.struct("n_entities", "frequent")).alias("to"))
+    rewrites = found.join(accepted, ["attr", "program"]).groupBy("attr", F.col("rare").alias("value")).agg(F.max_by("frequent", F.struct("n_entities", "frequent")).alias("to"))
     new = claims.join(rewrites, ["attr", "value"], "left").withColumn("value", F.coalesce("to", "value")).drop("to")
     return majority_vote(new), asked
 

@@ -1,4 +1,10 @@
-"""Experiments: methods compared, ablations, and sweeps over stages, labels and augmentation."""
+"""Experiments: methods compared, ablations, and sweeps over stages, labels and augmentation.
+
+The runs of an experiment (one split of the entities each) lie in one table, the
+entity ids of the r-th starting at r * claims.RUN, and are fitted together:
+every run has its own models and its own source weights, and fifty runs cost the
+jobs of one.
+"""
 
 from __future__ import annotations
 
@@ -6,111 +12,181 @@ from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from ..operators import baselines, claims, measure, resolver
+from ..functions.noise import mix
+from ..operators import baselines, measure, resolver
+from ..operators.claims import RUN, run_of
 from ..operators.features import BLOCKS, GROUPS
 from ..sources.replicas import SETS, replicas, truth
 from .workspace import settle
 
 CELL = ["entity_id", "attr"]
+#: Rules of the stand-ins that have some.
+RULES = {"customer": ("not(t1.c_nationkey = t2.c_nationkey and t1.n_name != t2.n_name)", "not(t1.n_name = t2.n_name and t1.r_name != t2.r_name)")}
+#: The grids of the published experiments.
+STAGES, RATIOS, SHARES = (1, 2, 5, 10, 15), (0.0, 0.05, 0.1, 0.3, 0.5, 0.7, 1.0), (0.05, 0.1)
 
 
 class Workload:
-    """Claims, seeds and test truth of a replica set under one seed."""
-
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str, share: float = 0.05, seed: int = 0, limit: int | None = None, salt: int | None = None):
-        self.spark, self.name, self.share, self.seed = spark, name, share, seed
-        self.attrs = tuple(SETS[name][2])
-        self.wide = settle(replicas(spark, sf_dir, name, salt, limit, whole=limit is None), f"workload-{name}")
-        self.claims = self.wide.unpivot(["entity_id", "source_id"], list(self.attrs), "attr", "value").where("value is not null")
-        whole = settle(truth(spark, sf_dir, name, limit, whole=limit is None), f"truth-{name}")
-        parts = claims.seed_split(whole, share, 0.0, seed)
-        self.seeds = settle(whole.join(parts.where("part = 'train'").select("entity_id"), "entity_id").select(*CELL, "value"), f"seeds-{name}")
-        self.test = settle(whole.join(parts.where("part = 'test'").select("entity_id"), "entity_id").select(*CELL, "value"), f"test-{name}")
-
-    def precision(self, answers: DataFrame) -> float:
-        return measure.precision(answers, self.test).first()["precision"]
+    """Claims, seeds and test truth of a replica set, once a run; sources=False takes the sources away."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str, share: float = 0.05, runs: int = 1, limit: int | None = None, salt: int | None = None, sources: bool = True):
+        self.spark, self.name, self.share, self.runs = spark, name, share, runs
+        self.attrs, self.rules = tuple(SETS[name][2]), RULES.get(name, ())
+        often = lambda df: df.withColumn("entity_id", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).cast("long") * F.lit(RUN) + F.col("entity_id"))
+        wide = replicas(spark, sf_dir, name, salt, limit)
+        wide = wide if sources else wide.withColumn("source_id", F.lit(None).cast("int"))
+        self.wide = settle(often(wide), f"workload-{name}")
+        whole = settle(often(truth(spark, sf_dir, name, limit)), f"truth-{name}")
+        # The share's entities of least noise in each run, one at least.
+        entities = whole.select("entity_id").distinct().withColumn("run", run_of("entity_id"))
+        least, of = Window.partitionBy("run").orderBy(mix("entity_id", 0, 55, 1), "entity_id"), Window.partitionBy("run")
+        ranked = entities.withColumn("_r", F.row_number().over(least)).withColumn("_n", F.count(F.lit(1)).over(of))
+        chosen = settle(ranked.select("entity_id", (F.col("_r") <= F.greatest(F.lit(1), F.round(F.col("_n") * share))).alias("seed")), f"split-{name}")
+        self.seeds = settle(whole.join(chosen.where("seed").select("entity_id"), "entity_id").select(*CELL, "value"), f"seeds-{name}")
+        self.test = settle(whole.join(chosen.where("not seed").select("entity_id"), "entity_id").select(*CELL, "value"), f"test-{name}")
+
+    @property
+    def claims(self) -> DataFrame:
+        """Claims as the rivals take them: attributes and sources of one run are strangers to those of another."""
+        run = run_of("entity_id")
+        long = self.wide.unpivot(["entity_id", "source_id"], list(self.attrs), "attr", "value").where("value is not null")
+        return long if self.runs == 1 else long.withColumn("attr", F.concat_ws("#", "attr", run)).withColumn("source_id", F.col("source_id").cast("long") * self.runs + run)
+
+    def _apart(self, df: DataFrame) -> DataFrame:
+        return df if self.runs == 1 else df.withColumn("attr", F.concat_ws("#", "attr", run_of("entity_id")))
+
+    def precision(self, answers: DataFrame) -> list[tuple[int, float]]:
+        """(run, precision); answers of rivals or of the resolver."""
+        plain = answers.withColumn("attr", F.element_at(F.split("attr", "#"), 1))
+        judged = measure.judged(plain, self.test).withColumn("run", run_of("entity_id"))
+        return sorted((r["run"], r["p"]) for r in judged.groupBy("run").agg(F.avg("right").alias("p")).collect())
 
     def settings(self, **changes) -> resolver.Settings:
-        base = resolver.Settings(self.attrs, stages=1, seed=self.seed, max_slots=12, embed_dim=8)
+        base = resolver.Settings(self.attrs, stages=3, runs=self.runs, max_slots=12, embed_dim=8, rules=self.rules)
         return replace(base, **changes)
 
-    def resolve(self, **changes) -> tuple[resolver.Fitted, float]:
+    def resolve(self, **changes) -> tuple[resolver.Fitted, list[tuple[int, float]]]:
         fitted, scored = resolver.fit(self.wide, self.seeds, self.settings(**changes))
         return fitted, self.precision(resolver.resolve(scored))
 
 
-METHODS = ("source_aware", "source_free", "majority_vote", "seed_accuracy_bayes", "iterative_bayes", "interval_weighted_vote", "claim_graph_propagation", "discriminative_source_model", "rewrite_then_vote")
+#: Methods that need sources, and those that don't.
+WITH_SOURCES = ("source_aware", "seed_accuracy_bayes", "iterative_bayes", "interval_weighted_vote", "claim_graph_propagation", "discriminative_source_model")
+WITHOUT = ("source_free", "majority_vote", "rewrite_then_vote")
+METHODS = WITH_SOURCES + WITHOUT
 
 
-def answer(w: Workload, method: str, **changes) -> float:
-    if method == "source_aware":
-        return w.resolve(**changes)[1]
-    if method == "source_free":
-        return w.resolve(use_source=False, **changes)[1]
+def answer(w: Workload, method: str, **changes) -> list[tuple[int, float]]:
+    """(run, precision) of a method with its own defaults."""
+    if method in ("source_aware", "source_free"):
+        return w.resolve(use_source=method == "source_aware", **changes)[1]
+    c, seeds = w.claims, w._apart(w.seeds)
     run = {
-        "majority_vote": lambda: baselines.majority_vote(w.claims),
-        "seed_accuracy_bayes": lambda: baselines.seed_accuracy_bayes(w.claims, w.seeds),
-        "iterative_bayes": lambda: baselines.iterative_bayes(w.claims, max_iter=5),
-        "interval_weighted_vote": lambda: baselines.interval_weighted_vote(w.claims, iters=3),
-        "claim_graph_propagation": lambda: baselines.claim_graph_propagation(w.claims, w.seeds, 4),
-        "discriminative_source_model": lambda: baselines.discriminative_source_model(w.claims, w.seeds, iters=5),
-        "rewrite_then_vote": lambda: baselines.rewrite_then_vote(w.claims, 100, w.seeds)[0],
+        "majority_vote": lambda: baselines.majority_vote(c),
+        "seed_accuracy_bayes": lambda: baselines.seed_accuracy_bayes(c, seeds),
+        "iterative_bayes": lambda: baselines.iterative_bayes(c),
+        "interval_weighted_vote": lambda: baselines.interval_weighted_vote(c),
+        "claim_graph_propagation": lambda: baselines.claim_graph_propagation(c, seeds),
+        "discriminative_source_model": lambda: baselines.discriminative_source_model(c, seeds),
+        "rewrite_then_vote": lambda: baselines.rewrite_then_vote(c, 100 * w.runs, seeds)[0],
     }
+    if method not in run:
+        raise ValueError(f"no such method: {method}")
     return w.precision(run[method]())
 
 
+COLUMNS = "experiment string, workload string, method string, run int, train_share double, ratio double, stages int, precision double"
+
+
 def _frame(spark: SparkSession, rows: list[tuple]) -> DataFrame:
-    return spark.createDataFrame(rows, "experiment string, workload string, method string, seed int, train_share double, ratio double, stages int, precision double")
+    return spark.createDataFrame([(*r[:3], int(r[3]), *r[4:]) for r in rows], COLUMNS)
 
 
-def end_to_end(spark: SparkSession, sf_dir: str, name: str, methods: tuple[str, ...] = METHODS, runs: int = 2, share: float = 0.05, **kw) -> DataFrame:
-    """(workload, method, runs, median, mean, variance, std_error) over repeated splits."""
+def summary(runs: DataFrame) -> DataFrame:
+    """Median, mean, variance and standard error over the runs of each point."""
+    return measure.run_statistics(runs, by=("experiment", "workload", "method", "train_share", "ratio", "stages"))
+
+
+def end_to_end(spark: SparkSession, sf_dir: str, names: tuple[str, ...], methods: tuple[str, ...] = METHODS, runs: int = 5, share: float = 0.05, **kw) -> DataFrame:
+    """One row a workload, method and run."""
     rows = []
-    for seed in range(runs):
-        w = Workload(spark, sf_dir, name, share, seed, **kw)
-        rows += [("end_to_end", name, m, seed, share, 0.0, 1, answer(w, m)) for m in methods]
-    return measure.run_statistics(_frame(spark, rows), by=("workload", "method"))
+    for name in names:
+        w = Workload(spark, sf_dir, name, share, runs, **kw)
+        rows += [("end_to_end", name, m, r, share, 0.0, 3, p) for m in methods for r, p in answer(w, m)]
+    return _frame(spark, rows)
 
 
-def stages_curve(spark: SparkSession, sf_dir: str, name: str, stages: int = 3, shares: tuple[float, ...] = (0.05, 0.1), **kw) -> DataFrame:
-    """Precision after each stage of one fit."""
+def stages_curve(spark: SparkSession, sf_dir: str, name: str, stages: tuple[int, ...] = STAGES, shares: tuple[float, ...] = SHARES, ratio: float = 0.0, runs: int = 5, **kw) -> DataFrame:
+    """Precision after the stages asked for, of one fit of the longest."""
     rows = []
     for share in shares:
-        w = Workload(spark, sf_dir, name, share, **kw)
-        fitted, _ = w.resolve(stages=stages, use_source=False)
-        rows += [("stages", name, "source_free", 0, share, 0.0, i + 1, w.precision(resolver.resolve(h))) for i, h in enumerate(fitted.history)]
+        w = Workload(spark, sf_dir, name, share, runs, **kw)
+        fitted, _ = w.resolve(stages=max(stages), use_source=False, augment=ratio)
+        rows += [("stages", name, "source_free", r, share, ratio, k, p) for k in stages for r, p in w.precision(resolver.resolve(fitted.history[k - 1]))]
     return _frame(spark, rows)
 
 
-def augmentation_sweep(spark: SparkSession, sf_dir: str, name: str, ratios: tuple[float, ...] = (0.0, 0.1, 0.5), shares: tuple[float, ...] = (0.05,), **kw) -> DataFrame:
+def augmentation_sweep(spark: SparkSession, sf_dir: str, name: str, ratios: tuple[float, ...] = RATIOS, shares: tuple[float, ...] = SHARES, runs: int = 5, stages: int = 3, **kw) -> DataFrame:
+    """Precision against the ratio of synthetic to labelled entities."""
     rows = []
     for share in shares:
-        w = Workload(spark, sf_dir, name, share, **kw)
-        rows += [("augmentation", name, "source_free", 0, share, r, 1, w.resolve(augment=r, use_source=False)[1]) for r in ratios]
+        w = Workload(spark, sf_dir, name, share, runs, **kw)
+        rows += [("augmentation", name, "source_free", r, share, ratio, stages, p) for ratio in ratios for r, p in w.resolve(augment=ratio, use_source=False, stages=stages)[1]]
     return _frame(spark, rows)
 
 
-def label_size_sweep(spark: SparkSession, sf_dir: str, name: str, shares: tuple[float, ...] = (0.02, 0.05, 0.1), **kw) -> DataFrame:
-    return _frame(spark, [("labels", name, "source_aware", 0, s, 0.0, 1, Workload(spark, sf_dir, name, s, **kw).resolve()[1]) for s in shares])
+def label_size_sweep(spark: SparkSession, sf_dir: str, name: str, shares: tuple[float, ...] = (0.002, 0.01, 0.05, 0.1), methods: tuple[str, ...] = ("source_aware", "source_free"), runs: int = 5, **kw) -> DataFrame:
+    """Precision against the share of labelled entities."""
+    rows = []
+    for share in shares:
+        w = Workload(spark, sf_dir, name, share, runs, **kw)
+        rows += [("labels", name, m, r, share, 0.0, 3, p) for m in methods for r, p in answer(w, m)]
+    return _frame(spark, rows)
 
 
-def ablation(spark: SparkSession, sf_dir: str, name: str, drops: dict[str, tuple[str, ...]], share: float = 0.1, use_source: bool = True, **kw) -> DataFrame:
+def ablation(spark: SparkSession, sf_dir: str, name: str, drops: dict[str, tuple[str, ...]], share: float = 0.1, use_source: bool = False, runs: int = 5, **kw) -> DataFrame:
     """Precision of all blocks, and without each named set of blocks."""
-    w = Workload(spark, sf_dir, name, share, **kw)
-    rows = [("ablation", name, "all", 0, share, 0.0, 1, w.resolve(use_source=use_source)[1])]
-    rows += [("ablation", name, f"without_{k}", 0, share, 0.0, 1, w.resolve(use_source=use_source, models=tuple(b for b in BLOCKS if b not in v))[1]) for k, v in drops.items()]
+    w = Workload(spark, sf_dir, name, share, runs, **kw)
+    rows = [("ablation", name, "all", r, share, 0.0, 3, p) for r, p in w.resolve(use_source=use_source)[1]]
+    rows += [("ablation", name, f"without_{k}", r, share, 0.0, 3, p) for k, v in drops.items() for r, p in w.resolve(use_source=use_source, models=tuple(b for b in BLOCKS if b not in v))[1]]
     return _frame(spark, rows)
 
 
-def ablation_single(spark: SparkSession, sf_dir: str, name: str, blocks: tuple[str, ...] = ("format", "embed", "cooc", "vote", "source", "neighbour"), **kw) -> DataFrame:
-    return ablation(spark, sf_dir, name, {b: (b,) for b in blocks}, **kw)
+def ablation_single(spark: SparkSession, sf_dir: str, name: str, blocks: tuple[str, ...] | None = None, use_source: bool = False, **kw) -> DataFrame:
+    """Every block that the workload has: sources and rules only where there are some."""
+    have = [b for b in BLOCKS if (b != "source" or use_source) and (b != "rules" or name in RULES)]
+    return ablation(spark, sf_dir, name, {b: (b,) for b in blocks or have}, use_source=use_source, **kw)
 
 
 def ablation_group(spark: SparkSession, sf_dir: str, name: str, **kw) -> DataFrame:
     return ablation(spark, sf_dir, name, dict(GROUPS), **kw)
 
 
+def drops(ablated: DataFrame) -> DataFrame:
+    """(workload, method, full, ablated, drop): mean precision of all blocks less that without some."""
+    mean = ablated.groupBy("workload", "method").agg(F.avg("precision").alias("ablated"))
+    full = mean.where("method = 'all'").select("workload", F.col("ablated").alias("full"))
+    return mean.where("method <> 'all'").join(full, "workload").withColumn("drop", F.col("full") - F.col("ablated"))
+
+
+def averages(runs: DataFrame) -> DataFrame:
+    """(method, workloads, median, mean): medians and means of the workloads, averaged over them."""
+    per = runs.groupBy("workload", "method").agg(F.median("precision").alias("median"), F.avg("precision").alias("mean"))
+    return per.groupBy("method").agg(F.count(F.lit(1)).alias("workloads"), F.avg("median").alias("median"), F.avg("mean").alias("mean"))
+
+
+def gaps(runs: DataFrame) -> DataFrame:
+    """(workload, setting, ours, best_rival, points): with sources and without, beside the best rival of that setting."""
+    per = runs.groupBy("workload", "method").agg(F.median("precision").alias("precision"))
+    out = None
+    for ours, rivals in (("source_aware", WITH_SOURCES[1:]), ("source_free", WITHOUT[1:])):
+        one = measure.improvement(per.where(F.col("method").isin(ours, *rivals)), ours).withColumn("setting", F.lit(ours))
+        out = one if out is None else out.unionByName(one)
+    return out.select("workload", "setting", "ours", "best_rival", "points")
+
+
 def weight_report(spark: SparkSession, sf_dir: str, name: str, **kw) -> DataFrame:
     fitted, _ = Workload(spark, sf_dir, name, 0.1, **kw).resolve(stages=2)
     return spark.createDataFrame(resolver.weight_report(fitted), "stage int, attr string, block string, norm double").withColumn("norm", F.round("norm", 6))

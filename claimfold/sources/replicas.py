@@ -94,28 +94,26 @@ def supplier_base(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 #: name: (base, key, attributes, parameters).  The stand-ins for the five data sets, and a tiny one.
 SETS = {
-    "orders": (orders_base, "o_orderkey", ["o_orderstatus", "o_orderpriority", "o_orderdate", "o_totalprice", "o_custkey", "c_mktsegment"], Spec(37, 670, high=600, low=0, limit=2300)),
-    "part": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size", "p_retailprice", "colour", "noun", "brand_no", "size_band", "price_band"], Spec(55, 1000, high=450, low=50, trusted=0, limit=2066)),
-    "part_vote": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size", "p_retailprice", "colour", "noun", "brand_no"], Spec(55, 1000, high=600, low=100, salt=7, limit=1954)),
-    "part_small": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size"], Spec(11, 900, high=700, low=300, limit=600)),
-    "customer": (customer_base, "c_custkey", ["c_name", "c_mktsegment", "c_nationkey", "n_name", "r_name", "c_acctbal"], Spec(12, 580, high=700, low=250, limit=494)),
-    "supplier": (supplier_base, "s_suppkey", ["s_name", "s_nationkey", "s_acctbal"], Spec(11, 800, high=700, low=350, limit=100)),
+    "orders": (orders_base, "o_orderkey", ["o_orderstatus", "o_orderpriority", "o_orderdate", "o_totalprice", "o_custkey", "c_mktsegment"], Spec(37, 670, high=600, low=0)),
+    "part": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size", "p_retailprice", "colour", "noun", "brand_no", "size_band", "price_band"], Spec(55, 1000, high=450, low=50, trusted=0)),
+    "part_vote": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size", "p_retailprice", "colour", "noun", "brand_no"], Spec(55, 1000, high=600, low=100, salt=7)),
+    "part_small": (part_base, "p_partkey", ["p_name", "p_brand", "p_type", "p_size"], Spec(11, 900, high=700, low=300)),
+    "customer": (customer_base, "c_custkey", ["c_name", "c_mktsegment", "c_nationkey", "n_name", "r_name", "c_acctbal"], Spec(12, 580, high=700, low=250)),
+    "supplier": (supplier_base, "s_suppkey", ["s_name", "s_nationkey", "s_acctbal"], Spec(11, 800, high=700, low=350)),
 }
 
 
-def replicas(spark: SparkSession, sf_dir: str, name: str, salt: int | None = None, limit: int | None = None, whole: bool = False) -> DataFrame:
-    """The set over the keys below its limit, as the SQL has it, or below another; over the whole table with `whole`."""
+def replicas(spark: SparkSession, sf_dir: str, name: str, salt: int | None = None, limit: int | None = None) -> DataFrame:
+    """The set over the whole table; over the keys below a limit in tests."""
     base, key, attrs, spec = SETS[name]
-    most = None if whole else spec.limit if limit is None else limit
-    spec = replace(spec, salt=spec.salt if salt is None else salt, limit=most)
+    spec = replace(spec, salt=spec.salt if salt is None else salt, limit=limit)
     return make_replicas(base(spark, sf_dir), key, attrs, spec)
 
 
-def truth(spark: SparkSession, sf_dir: str, name: str, limit: int | None = None, whole: bool = False) -> DataFrame:
+def truth(spark: SparkSession, sf_dir: str, name: str, limit: int | None = None) -> DataFrame:
     """(entity_id, attr, value) of the clean table."""
-    base, key, attrs, spec = SETS[name]
+    base, key, attrs, _ = SETS[name]
     df = base(spark, sf_dir)
-    most = None if whole else spec.limit if limit is None else limit
-    rows = df if most is None else df.where(F.col(key) < most)
+    rows = df if limit is None else df.where(F.col(key) < limit)
     wide = rows.select(F.col(key).cast("bigint").alias("entity_id"), *[canonical(df, a).alias(a) for a in attrs])
     return wide.unpivot(["entity_id"], attrs, "attr", "value")

@@ -333,12 +333,12 @@ def test_replicas_have_truth(spark, name):
     assert 0.3 < share < 0.99
 
 
-@pytest.mark.parametrize("query", ["replicas_customer_whole", "rewrite_then_vote"])
-def test_queries_without_sql_see_whole_table(spark, query):
+@pytest.mark.parametrize("query", ["replicas_customer", "rewrite_then_vote"])
+def test_queries_see_whole_table(spark, query):
     from claimfold.catalog import QUERIES
 
     ids = QUERIES[query](spark, "/root/testdata/sf0.01").select("entity_id").distinct().count()
-    assert ids > 1490  # of 1,500; the sets that SQL has end at 494
+    assert ids > 1490  # of 1,500
 
 
 def test_inversions_of_whole_table_equal_brute_force(spark):
@@ -348,7 +348,7 @@ def test_inversions_of_whole_table_equal_brute_force(spark):
     o = spark.read.parquet(f"{d}/orders.parquet").select("o_orderkey", F.unix_micros(F.col("o_orderdate").cast("timestamp")).alias("t")).toPandas()
     k, t = o["o_orderkey"].to_numpy(), o["t"].to_numpy()
     want = {int(a): int((((t > b) & (k < a)) | ((t < b) & (k > a))).sum()) for a, b in zip(k, t, strict=True)}
-    assert len(want) == 15000 and {r["o_orderkey"]: r["n"] for r in QUERIES["violations_inversion_whole"](spark, d).collect()} == want
+    assert len(want) == 15000 and {r["o_orderkey"]: r["n"] for r in QUERIES["violations_inversion"](spark, d).collect()} == want
 
 
 def test_platt_query_takes_all_rows(spark):
@@ -377,9 +377,9 @@ def test_documents_of_one_opening_stay_apart(spark, tmp_path):
     rows = [(0, opening + "one", "en", "a", 64), (1, opening + "two", "de", "b", 64), (2, opening.upper() + " ONE", "en", "c", 65)]
     spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(str(tmp_path / "documents.parquet"))
     spark.createDataFrame([(0, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
-    votes = QUERIES["document_copies_whole_vote"](spark, str(tmp_path)).where("attr = 'lang'").collect()
+    votes = QUERIES["document_copies_vote"](spark, str(tmp_path)).where("attr = 'lang'").collect()
     assert sorted(r["value"] for r in votes) == ["de", "en"]
-    assert sorted((r["n"], r["labelled"], r["good"]) for r in QUERIES["labels_whole_truth"](spark, str(tmp_path)).collect()) == [(1, 0, 0), (2, 1, 1)]
+    assert sorted((r["n"], r["labelled"], r["good"]) for r in QUERIES["labels_partial_truth"](spark, str(tmp_path)).collect()) == [(1, 0, 0), (2, 1, 1)]
 
 
 def test_stream_equals_batch(spark, tmp_path):
