@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..operators import baselines, claims, infer, learn, resolver
 from ..plans import experiments
+from ..plans.workspace import settle
 from ..sources.replicas import SETS, replicas
 from ..sources.tables import table
 from ..streaming import votes
@@ -46,7 +47,7 @@ def static_features(spark, d):
     s = _settings("part_small")
     wide = resolver.number_records(replicas(spark, d, "part_small"), s, "static-records")
     cands, names = resolver._static(wide, s, resolver.source_list(wide, s))
-    return _named(cands, "static", names)
+    return _named(settle(cands, "static-candidates"), "static", names)
 
 
 @query

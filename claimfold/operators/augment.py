@@ -108,8 +108,8 @@ def augment_entities(claims: DataFrame, truth: DataFrame, ratio: float = 0.1, se
     copies = claims.join(drawn, "entity_id").join(labelled, list(CELL), "left").withColumn("_edit", ~F.coalesce(F.col("value") == F.col("_truth"), F.lit(False)))
     numbered = _targets(claims, truth, to)
     size = numbered.groupBy("attr").agg(F.count(F.lit(1)).alias("_size"))  # one row an attribute
-    source = "coalesce(source_id, 0)" if "source_id" in claims.columns else "0"
-    noise = mix("entity_id", f"{source} + ascii(value) * 61 + ascii(reverse(value)) * 7 + length(value) * 1009", f"{F_ATTR} + _copy * 7", seed + 1)
+    source = "cast(coalesce(source_id, 0) as bigint)" if "source_id" in claims.columns else "cast(0 as bigint)"
+    noise = mix("entity_id", f"({source} + ascii(value) * 61 + ascii(reverse(value)) * 7 + length(value) * 1009) % 1000003", f"{F_ATTR} + _copy * 7", seed + 1)
     aimed = copies.where("_edit").join(F.broadcast(size), "attr", "left").withColumn("_at", noise % F.col("_size"))
     edited = aimed.join(numbered, ["attr", "_at"], "left").withColumn("value", edit_to_format("value", "_target"))
     cols = [F.col("new_id").alias("entity_id"), *[F.col(c) for c in claims.columns if c != "entity_id"]]

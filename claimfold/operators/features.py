@@ -16,6 +16,11 @@ EXTRA = ("onehot", "vote_top")
 GROUPS = {"attribute": ("format", "running", "embed"), "record": ("cooc", "vote"), "database": ("source", "rules", "neighbour")}
 
 
+def once(value: Column, f) -> Column:
+    """f of a value that is evaluated once however often f names it."""
+    return F.get(F.transform(F.array(value), f), F.lit(0))
+
+
 # -- attribute level -----------------------------------------------------------
 
 
@@ -28,21 +33,26 @@ def format_map(value: Column, strict_space: bool = False) -> Column:
 
 
 def format_ngrams(value: Column, n: int = 2, strict_space: bool = False) -> Column:
-    """Counts of all 3 ** n strings of n symbols, in alphabetical order."""
-    m = format_map(value, strict_space)
-    grams = F.when(F.length(m) >= n, F.transform(F.sequence(F.lit(1), F.length(m) - n + 1), lambda i: F.substring(m, i, F.lit(n)))).otherwise(F.array().cast("array<string>"))
-    equal = lambda s: lambda g: g == s
-    return F.array(*[F.size(F.filter(grams, equal("".join(s)))) for s in itertools.product("ANS", repeat=n)])
+    """Counts of all 3 ** n strings of n symbols, in alphabetical order; a look-ahead counts those that overlap."""
+    counts = lambda m: F.array(*[F.regexp_count(m, F.lit(f"(?={''.join(g)})")) for g in itertools.product("ANS", repeat=n)])
+    return once(format_map(value, strict_space), counts)
 
 
 def hash_embedding(value: Column, dim: int = 32) -> Column:
-    """Character trigrams and tokens of a value, hashed with signs to `dim` numbers of length 1."""
+    """Character trigrams and tokens of a value, hashed with signs to `dim` numbers of length 1.
+
+    A piece becomes one character that tells its place and sign, and characters are
+    counted by string functions, which are compiled where functions over arrays are not.
+    """
+    if not 1 <= dim <= 64:
+        raise ValueError("dim must be from 1 to 64")
     padded = F.concat(F.lit("^"), F.lower(value), F.lit("$"))
     grams = F.concat(F.transform(F.sequence(F.lit(1), F.greatest(F.length(padded) - 2, F.lit(1))), lambda i: F.substring(padded, i, F.lit(3))), F.filter(F.split(F.lower(value), r"[^\p{L}\p{Nd}]+"), lambda t: t != ""))
-    hashed = F.transform(grams, lambda g: F.xxhash64(g))
-    raw = F.aggregate(hashed, F.array_repeat(F.lit(0.0), dim), lambda acc, h: F.transform(acc, lambda x, i: x + F.when(F.pmod(h, F.lit(dim)) == i, F.when(F.pmod(h, F.lit(dim * 2)) < dim, 1.0).otherwise(-1.0)).otherwise(0.0)))
-    norm = F.sqrt(F.aggregate(raw, F.lit(0.0), lambda s, x: s + x * x))
-    return F.transform(raw, lambda x: F.when(norm > 0, x / norm).otherwise(0.0))
+    codes = F.array_join(F.transform(grams, lambda g: F.char(F.lit(64) + F.pmod(F.xxhash64(g), F.lit(2 * dim)))), "")
+    count = lambda v, c: F.length(v) - F.length(F.replace(v, F.lit(chr(64 + c))))
+    raw = once(codes, lambda v: F.array(*[(count(v, i) - count(v, i + dim)).cast("double") for i in range(dim)]))
+    normed = once(raw, lambda v: F.struct(v.alias("v"), F.sqrt(F.aggregate(v, F.lit(0.0), lambda s, x: s + x * x)).alias("n")))
+    return once(normed, lambda r: F.transform(r["v"], lambda x: F.when(r["n"] > 0, x / r["n"]).otherwise(0.0)))
 
 
 def hash_words(value: Column, dim: int = 256) -> Column:

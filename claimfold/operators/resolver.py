@@ -34,7 +34,7 @@ from pyspark.sql.window import Window
 
 from ..functions.noise import mix
 from ..plans.rules import parse_rule, rules_on, violations, violations_against
-from ..plans.workspace import release, settle
+from ..plans.workspace import partitions, release, settle
 from . import augment as augmentation
 from .baselines import source_accuracy
 from .claims import CELL, RUN, run_of, seed_split
@@ -209,7 +209,7 @@ def _rule_counts(wide: DataFrame, s: Settings, golden: DataFrame | None = None)
 def _long(rows: DataFrame, s: Settings, used: list[str], of: dict[str, list[str]], keep: tuple[str, ...]) -> DataFrame:
     """One row a claim, after the one exchange on the entity: columns of `keep`, attr, value, rules (logs of one more than the counts)."""
     cells = [F.struct(F.lit(a).alias("attr"), F.col(a).alias("value"), F.array(*[F.log1p(F.col(r).cast("double")) if r in of[a] else F.lit(0.0) for r in used]).cast("array<double>").alias("rules")) for a in s.attrs]
-    return rows.repartition("entity_id").select(*keep, F.explode(F.array(*cells)).alias("c")).select(*keep, "c.*").where("value is not null")
+    return rows.repartition(partitions(rows), "entity_id").select(*keep, F.explode(F.array(*cells)).alias("c")).select(*keep, "c.*").where("value is not null")
 
 
 def _static(wide: DataFrame, s: Settings, sources: list[int] = ()) -> tuple[DataFrame, list[str]]:

@@ -25,6 +25,11 @@ def workspace(spark: SparkSession) -> str:
     return have.rstrip("/")
 
 
+def partitions(df: DataFrame) -> int:
+    """The session's shuffle partitions, for steps that make few bytes into much work: what is named isn't merged at run time."""
+    return int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+
 def settle(df: DataFrame, name: str) -> DataFrame:
     """Write df into the shared folder and read it back."""
     spark = df.sparkSession

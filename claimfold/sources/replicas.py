@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.noise import mix, roll
+from ..plans.workspace import partitions
 from .tables import canonical, table
 
 
@@ -43,7 +44,8 @@ def make_replicas(base: DataFrame, key: str, attrs: list[str], spec: Spec) -> Da
     n = clean.agg(F.count(F.lit(1))).first()[0]
     near = clean.select(F.explode(F.array(*[F.struct(F.pmod(F.col("k") - d, F.lit(max(n, 1))).alias("k"), F.lit(d).alias("d"), "v") for d in range(6)])).alias("x")).select("x.*")
     near = near.groupBy("k").agg(*[F.first(F.when(F.col("d") == d, F.col("v")), ignorenulls=True).alias(f"v{d}") for d in range(6)])
-    rows = near.withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(spec.n_sources - 1))))
+    # The base is small where the claims are many: it is spread before sources multiply it.
+    rows = near.repartition(partitions(near), "k").withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(spec.n_sources - 1))))
     rows = rows.where(roll("k", "s", 97, spec.salt) < spec.coverage)
     voice = F.col("s")
     for child, parent in spec.copies:
