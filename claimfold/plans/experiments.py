@@ -34,7 +34,7 @@ class Workload:
     def __init__(self, spark: SparkSession, sf_dir: str, name: str, share: float = 0.05, runs: int = 1, limit: int | None = None, salt: int | None = None, sources: bool = True):
         self.spark, self.name, self.share, self.runs = spark, name, share, runs
         self.attrs, self.rules = tuple(SETS[name][2]), RULES.get(name, ())
-        often = lambda df: df.withColumn("entity_id", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).cast("long") * F.lit(RUN) + F.col("entity_id"))
+        often = lambda df: df.withColumn("_run", F.explode(F.sequence(F.lit(0), F.lit(runs - 1)))).withColumn("entity_id", F.col("_run").cast("long") * F.lit(RUN) + F.col("entity_id")).drop("_run")
         wide = replicas(spark, sf_dir, name, salt, limit)
         wide = wide if sources else wide.withColumn("source_id", F.lit(None).cast("int"))
         self.wide = settle(often(wide), f"workload-{name}")
