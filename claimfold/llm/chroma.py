@@ -263,6 +263,8 @@ def search(df: DataFrame, id: Column, media: Column, query: Column, rendered: bo
     asked = classes.where("query").select(F.col("d1").alias("q"), "masks", F.explode(starts).alias("s")).select("q", "masks", "s.*")
     asked = asked.select("q", F.col("at").alias("qp"), F.explode(F.transform(turned, lambda m: F.col("value").bitwiseXOR(m))).alias("value"))
     held = classes.select(F.col("d1").alias("r"), F.explode(starts).alias("s")).select("r", F.col("s.at").alias("rp"), F.col("s.value").alias("value"))
+    # Of the places of all recordings only those whose integer is asked for go on: one exchange of the index.
+    held = settle(held.join(asked.select("value").distinct(), "value", "left_semi"), "chroma-held")
     votes = salted_join(asked, held).where("q <> r").groupBy("q", "r", (F.col("rp") - F.col("qp")).alias("offset")).count()
     offsets = votes.groupBy("q", "r").agg(F.max("count").alias("most"), F.collect_list(F.struct("count", "offset")).alias("o"))
     offsets = offsets.select("q", "r", F.transform(F.filter("o", lambda x: x["count"] * 2 >= F.col("most")), lambda x: x["offset"]).alias("offsets"))
