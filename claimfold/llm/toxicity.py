@@ -28,7 +28,7 @@ from .words import chunks
 SAMPLE_ROWS = 20_000
 FUZZY_LENGTH, STEM_LENGTH, WINDOW = 5, 4, 40
 QUOTES = "\"'“”„«»‘’‹›`"
-FEATURES = ("any", "exact", "stem", "misspelled", "quoted")
+FEATURES = ("any", "exact", "stem", "misspelled", "quoted", "strength")
 
 _word_char: np.ndarray | None = None
 
@@ -48,6 +48,8 @@ class Lexicon:
     terms: list[str]
     stems: list[str]
     excluded: frozenset[str] = frozenset()
+    #: Log-odds of a term or stem in toxic against clean training texts.
+    strength: dict[str, float] = field(default_factory=dict)
     table: np.ndarray = field(default=None, repr=False)
     accept: np.ndarray = field(default=None, repr=False)
     classes: np.ndarray = field(default=None, repr=False)
@@ -177,14 +179,19 @@ def hits(texts: list[str | None], lexicon: Lexicon) -> list[tuple[int, str, int,
 
 
 def features(texts: list[str | None], lexicon: Lexicon) -> np.ndarray:
-    """FEATURES of each text: whether it has a hit, and logarithms of one more than the counts of distinct spellings."""
+    """FEATURES of each text: whether it has a hit, logarithms of one more than the counts of distinct spellings, and the
+    greatest strength of a term or stem used."""
     seen: list[list[set]] = [[set(), set(), set(), set()] for _ in texts]
+    strong = [0.0] * len(texts)
     for doc, word, kind, quoted in hits(texts, lexicon):
         seen[doc][3 if quoted else kind - 1].add(word)
+        if not quoted:
+            known = [word] if kind == 1 else [word[:k] for k in range(STEM_LENGTH, len(word) + 1)] if kind == 2 else []
+            strong[doc] = max([strong[doc], *(lexicon.strength.get(x, 0.0) for x in known)])
     x = np.zeros((len(texts), len(FEATURES)))
     for i, sets in enumerate(seen):
         n = [math.log2(1 + len(s)) for s in sets]
-        x[i] = [float(any(n[:3])), *n]
+        x[i] = [float(any(n[:3])), *n, strong[i]]
     return x
 
 
@@ -283,8 +290,11 @@ def fit(docs: DataFrame, labels: DataFrame, train: Column, id: str = "doc_id", t
         tallies = sample.select("text", "toxic").mapInArrow(_word_tallies, "word string, stem boolean, clean long, context long, print long").groupBy("word", "stem").agg(F.sum("clean").alias("clean"), F.least(F.count_distinct("context"), F.count_distinct("print")).alias("toxic"))
         ratio = ((F.col("toxic") + 0.5) / (t + 1)) / ((F.col("clean") + 0.5) / (n + 1))
         chosen = tallies.where((F.col("toxic") >= least) & (ratio >= 20) & (F.length("word") >= 3)).orderBy("word", "stem")
-        terms, stems = choose_terms([tuple(r) for r in chosen.select("word", "stem", "clean", "toxic").collect()])
+        rows = [tuple(r) for r in chosen.select("word", "stem", "clean", "toxic").collect()]
+        terms, stems = choose_terms(rows)
         lexicon = Lexicon(terms, stems)
+        odds = {(w, stem): math.log((toxic + 0.5) / (t + 1)) - math.log((clean + 0.5) / (n + 1)) for w, stem, clean, toxic in rows}
+        lexicon.strength = {s: odds[s, True] for s in stems} | {w: odds[w, False] for w in terms}
 
         def misspelled(batches):
             for b in batches:
