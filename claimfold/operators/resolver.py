@@ -469,7 +469,7 @@ def _probabilities(x: np.ndarray, w, classifier: str) -> np.ndarray:
     return sigmoid_rows(z) if classifier == "logreg_ovr" else softmax_rows(z)
 
 
-def _slot_fit(pdf: pd.DataFrame, n_sources: int, s: Settings) -> dict:
+def _slot_fit(pdf: pd.DataFrame, n_sources: int, rho: int, s: Settings) -> dict:
     """The literal form: every vector is classified into the slots of its entity."""
     pdf = pdf.sort_values(["entity_id", "slot"]).reset_index(drop=True)
     x = np.array(pdf["x"].tolist(), dtype=float).reshape(len(pdf), -1)
@@ -477,7 +477,6 @@ def _slot_fit(pdf: pd.DataFrame, n_sources: int, s: Settings) -> dict:
     scale[scale < 1e-9] = 1.0
     x = np.hstack([(x - mean) / scale, _source_block(pdf["sources"].tolist(), n_sources)])
     y = pdf["truth_slot"].to_numpy()
-    rho = int(min(s.max_slots, max(pdf["n_slots"].max(), 1)))
     weight = pdf["weight"].to_numpy(float)
     known = (y >= 0) & (y < rho)
     valid = known & (pdf["part"] == "validation").to_numpy()
@@ -510,14 +509,14 @@ def _slot_fit(pdf: pd.DataFrame, n_sources: int, s: Settings) -> dict:
     return {"w": w if isinstance(w, (dict, list)) else w.tolist(), "mean": mean.tolist(), "scale": scale.tolist(), "l2": s.l2_grid[1], "a": a, "b": b}
 
 
-def _train(featured: DataFrame, labels: DataFrame, s: Settings, sources: list[int], stage: int) -> StageModel:
-    """labels: (entity_id, attr, truth, part, weight) for the cells to learn from."""
+def _train(featured: DataFrame, labels: DataFrame, s: Settings, sources: list[int], stage: int, rho: dict[str, int]) -> StageModel:
+    """labels: (entity_id, attr, truth, part, weight) for the cells to learn from; rho: the label dimension of each model."""
     n_sources = len(sources) + 1 if sources else 0
     rows = featured.join(labels, list(CELL)).withColumn("model_key", model_key(s))
     rows = rows.withColumn("truth_slot", F.max(F.when(F.col("value") == F.col("truth"), F.col("slot")).otherwise(-1)).over(Window.partitionBy(*CELL)))
 
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        got = _candidate_fit(pdf, n_sources, s) if s.layout == "candidate" else _slot_fit(pdf, n_sources, s)
+        got = _candidate_fit(pdf, n_sources, s) if s.layout == "candidate" else _slot_fit(pdf, n_sources, rho[key[0]], s)
         return pd.DataFrame({"model_key": [key[0]], "model": [json.dumps(got)]})
 
     model = StageModel(stage, 0.0)
@@ -653,6 +652,15 @@ class _Tables:
     sources: list[int]
     trust: DataFrame | None = None
     accuracy: DataFrame | None = None
+    rho: dict[str, int] = field(default_factory=dict)
+
+
+def _label_dimension(cands: DataFrame, s: Settings) -> dict[str, int]:
+    """The most candidates that a cell of an attribute (and run) has, `max_slots` at most; only the slot layouts ask."""
+    if s.layout == "candidate":
+        return {}
+    rows = cands.groupBy(model_key(s).alias("k")).agg(F.max("n_slots").alias("rho")).collect()  # one row an attribute and run
+    return {r["k"]: min(s.max_slots, r["rho"]) for r in rows}
 
 
 def _tables(wide: DataFrame, seeds: DataFrame | None, s: Settings, sources: list[int] | None, name: str) -> _Tables:
@@ -703,7 +711,7 @@ def _begin(wide: DataFrame, seeds: DataFrame, s: Settings) -> tuple[_Tables, Fit
     if s.trust and t.sources:
         out.trust, sums = _trust_table(t.wide, seeds, s)
         t.trust = settle(sums, "resolver-trusted")
-    t.accuracy = _accuracy(t, s)
+    t.accuracy, t.rho = _accuracy(t, s), _label_dimension(t.cands, s)
     return t, out
 
 
@@ -725,7 +733,7 @@ def fit(wide: DataFrame, seeds: DataFrame, s: Settings) -> tuple[Fitted, DataFra
     for stage in range(s.stages):
         featured, out.names = _featured(t, labels, s, stage)
         featured = settle(featured, f"resolver-stage{stage}")
-        model = _train(featured, _label_table(t.cands, t.seeds, predicted, s), s, t.sources, stage)
+        model = _train(featured, _label_table(t.cands, t.seeds, predicted, s), s, t.sources, stage, t.rho)
         out.stages.append(model)
         scored = settle(_score(featured, model, s, t.sources, t.accuracy), f"resolver-scored{stage}")
         release(featured)
@@ -752,7 +760,7 @@ def resolve_dynamic(wide: DataFrame, seeds: DataFrame, s: Settings) -> DataFrame
     table, _ = _featured(t, None, s, 0)
     table, weak, scored = settle(table, "dynamic-table"), None, None
     for k in range(s.stages):
-        model = _train(table, _label_table(t.cands, t.seeds, weak, s), s, t.sources, k)
+        model = _train(table, _label_table(t.cands, t.seeds, weak, s), s, t.sources, k, t.rho)
         scored = settle(_score(table, model, s, t.sources, t.accuracy), "dynamic-scored")
         if k + 1 < s.stages:
             weak = _answers(scored, s, k)
