@@ -415,7 +415,9 @@ def _calibration(p: np.ndarray, y: np.ndarray, group: np.ndarray, how: str | Non
         return 1.0, 0.0
     logit = np.log(np.clip(p, 1e-9, 1 - 1e-9) / np.clip(1 - p, 1e-9, 1))
     if how == "platt":
-        a, b = platt_fit(logit, y)
+        # Targets a little inside 0 and 1, as there are few cells: a clean split mustn't mean certainty.
+        ones, zeros = y.sum(), (1 - y).sum()
+        a, b = platt_fit(logit, np.where(y > 0, (ones + 1) / (ones + 2), 1 / (zeros + 2))) if ones and zeros else (1.0, 0.0)
         return (a, b) if a > 0 else (1.0, 0.0)
     losses = {t: -np.log(np.maximum(_in_cells(t * logit, group)[y > 0], 1e-12)).mean() for t in (0.5, 0.7, 0.85, 1.0, 1.2, 1.5, 2.0)}
     return min(losses, key=losses.get), 0.0
