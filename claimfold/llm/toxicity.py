@@ -180,14 +180,14 @@ def hits(texts: list[str | None], lexicon: Lexicon) -> list[tuple[int, str, int,
 
 def features(texts: list[str | None], lexicon: Lexicon) -> np.ndarray:
     """FEATURES of each text: whether it has a hit, logarithms of one more than the counts of distinct spellings, and the
-    greatest strength of a term or stem used."""
+    greatest strength of a term or stem used; a misspelled one counts as the weakest of all."""
     seen: list[list[set]] = [[set(), set(), set(), set()] for _ in texts]
-    strong = [0.0] * len(texts)
+    strong, weakest = [0.0] * len(texts), min(lexicon.strength.values(), default=0.0)
     for doc, word, kind, quoted in hits(texts, lexicon):
         seen[doc][3 if quoted else kind - 1].add(word)
         if not quoted:
             known = [word] if kind == 1 else [word[:k] for k in range(STEM_LENGTH, len(word) + 1)] if kind == 2 else []
-            strong[doc] = max([strong[doc], *(lexicon.strength.get(x, 0.0) for x in known)])
+            strong[doc] = max([strong[doc], weakest if kind == 3 else 0.0, *(lexicon.strength.get(x, 0.0) for x in known)])
     x = np.zeros((len(texts), len(FEATURES)))
     for i, sets in enumerate(seen):
         n = [math.log2(1 + len(s)) for s in sets]
