@@ -5,19 +5,21 @@ blocks of ANCHOR = (WINDOW + 1) / 2 words that do not overlap; each window then
 holds one whole block of its document, and a document that repeats the window
 holds the same words as one of its rolling ANCHOR-word windows.  So:
 
-1. Every block and every rolling probe of a text is sent, as packed 32-bit keys,
-   to the bucket of its hash.  The bucket answers which keys a block and a probe
-   of another document share: the anchors.  Keys are filters only.
-2. Documents extend their anchors to all windows around them, and send those
-   windows (96-bit hashes beside the bucket's bits) to be compared; the answer
-   names the places whose words start in a document of a smaller id.
+1. Every block and every rolling probe of a batch of texts is sent, as packed
+   32-bit keys, to the bucket of its hash: once a batch, whatever number of its
+   texts has it.  The bucket answers which keys a block and a probe of another
+   document share: the anchors.  Keys are filters only.
+2. Documents extend their anchors to all windows around them.  Of the documents
+   of a batch that share a window, that of the smallest id sends it (96-bit hashes
+   beside the bucket's bits) to be compared, the others have it as a repeat; the
+   answer names the places whose words start in a document of a smaller id.
    Neighbouring windows overlap, so their union is the maximal exact repeat.
 3. Texts drop the covered words.
 
 Documents of equal word sequences are found first by digest and need no windows.
-Texts move once (by a hash of the id; the exchange is used twice), keys as bytes.
+Texts move once (by a hash of the id; the exchange is used three times), keys as bytes.
 No task holds more than a batch of texts or a bucket of keys, both sized from the
-bytes of all texts; a passage in very many documents adds one key a document.
+bytes of all texts; a passage in very many documents adds one key and one window a batch.
 """
 
 from __future__ import annotations
@@ -72,61 +74,74 @@ def _runs(a: np.ndarray) -> np.ndarray:
     return np.concatenate([np.flatnonzero(np.concatenate([[True], a[1:] != a[:-1]]))[: len(a)], [len(a)]])
 
 
+def _live(w: Words, h: np.ndarray, ids: np.ndarray, known: np.ndarray, marked: set[tuple[int, int]]) -> np.ndarray:
+    """Which texts are compared: those with an id that aren't copies."""
+    if not marked:
+        return known
+    digest, _ = _sequence_digest(w, h)
+    return known & np.array([pair not in marked for pair in zip(ids.tolist(), digest.tolist(), strict=True)], dtype=bool)
+
+
 def _anchor_requests(n_buckets: int, anchor: int):
-    """Texts to (bucket, packed keys of blocks and probes)."""
+    """A batch of texts to (bucket, batch, its keys there, flags): a key once a batch, however many texts have it.
 
-    def run(batches):
-        for b in batches:
-            ids = b.column("id").to_numpy(zero_copy_only=False)
-            home = b.column("b").to_numpy(zero_copy_only=False)
-            buckets, payloads = [], []
-            for x, y in chunks(b.column("text")):
-                w = Words(b.column("text").slice(x, y - x))
-                first, owner = window_owner(w, anchor)
-                if not len(first):
-                    continue
-                key = rolling(w.hashes(), anchor)[first]
-                block = (first - w.first[owner]) % anchor == 0
-                bucket = (key >> np.uint64(32)).astype(np.int64) % n_buckets
-                place = bucket * w.n_docs + owner
-                low = (key & _U32) << np.uint64(1) | block.astype(np.uint64)
-                order = np.lexsort((low, place))
-                place, low = place[order], low[order]
-                last = np.ones(len(low), dtype=bool)  # one entry for a key of a text, a block if any is
-                last[:-1] = (place[1:] != place[:-1]) | (low[1:] >> np.uint64(1) != low[:-1] >> np.uint64(1))
-                place, low = place[last], low[last]
-                bucket, owner = place // w.n_docs, place % w.n_docs
-                cut = _runs(bucket)
-                for s, e in zip(cut[:-1], cut[1:], strict=True):
-                    doc = _runs(owner[s:e])
-                    who = x + owner[s:e][doc[:-1]]
-                    buckets.append(int(bucket[s]))
-                    payloads.append(_pack(_delta(ids[who]), home[who], np.diff(doc).astype(np.uint32), (low[s:e] >> np.uint64(1)).astype(np.uint32), np.packbits((low[s:e] & np.uint64(1)).astype(bool))))
-            yield pa.RecordBatch.from_arrays([pa.array(buckets, pa.int32()), pa.array(payloads, pa.binary())], names=["bucket", "payload"])
+    The flags tell whether the key is a block somewhere in the batch, and whether two of its texts have it.
+    """
+
+    def run(docs: pa.Table) -> pa.Table:
+        rows, marked = _ordered(docs)
+        ids, known = _ids(rows)
+        text, home = _texts(rows), docs.column("b")[0].as_py()
+        keys, blocks, owners = [np.zeros(0, np.uint64)], [np.zeros(0, bool)], [np.zeros(0, np.int64)]
+        for x, y in chunks(text):
+            w = Words(text.slice(x, y - x))
+            h = w.hashes()
+            first, owner = window_owner(w, anchor)
+            if not len(first):
+                continue
+            live = _live(w, h, ids[x:y], known[x:y], marked)[owner]
+            first, owner = first[live], owner[live]
+            keys.append(_bucketed(rolling(h, anchor)[first], n_buckets))
+            blocks.append((first - w.first[owner]) % anchor == 0)
+            owners.append(x + owner)
+        key, block, owner = np.concatenate(keys), np.concatenate(blocks), np.concatenate(owners)
+        order = np.argsort(key, kind="stable")  # a key's texts stay in their order
+        key, block, owner = key[order], block[order], owner[order]
+        cut = _runs(key)
+        key, several = key[cut[:-1]], owner[cut[:-1]] != owner[cut[1:] - 1]
+        block = np.logical_or.reduceat(block, cut[:-1]) if len(key) else block
+        bucket = (key >> np.uint64(32)).astype(np.int32)
+        cut = _runs(bucket)
+        pieces = list(zip(cut[:-1], cut[1:], strict=True))
+        return pa.table(
+            {
+                "bucket": pa.array(bucket[cut[:-1]], pa.int32()),
+                "b": pa.array([home] * len(pieces), pa.int32()),
+                "key": pa.array([(key[s:e] & _U32).astype(np.uint32).tobytes() for s, e in pieces], pa.binary()),
+                "flags": pa.array([np.packbits(np.concatenate([block[s:e], several[s:e]])).tobytes() for s, e in pieces], pa.binary()),
+            }
+        )
 
     return run
 
 
 def _anchor_answers(table: pa.Table) -> pa.Table:
-    """Which keys of a bucket are anchors, for each home of a text that has them."""
-    ids, home, keys, block = [], [], [], []
-    for payload in table.column("payload").to_pylist():
-        i, h, n, k, f = _unpack(payload, np.int64, np.int32, np.uint32, np.uint32, np.uint8)
-        ids.append(np.repeat(np.cumsum(i), n))
-        home.append(np.repeat(h, n))
-        keys.append(k)
-        block.append(np.unpackbits(f, count=len(k)).astype(bool))
-    ids, home, keys, block = map(np.concatenate, (ids, home, keys, block))
+    """Which keys of a bucket are anchors, for each home that has them: a block somewhere, and two texts that share it."""
+    keys = [np.frombuffer(k, np.uint32) for k in table.column("key").to_pylist()]
+    flags = [np.unpackbits(np.frombuffer(f, np.uint8), count=2 * len(k)).astype(bool) for k, f in zip(keys, table.column("flags").to_pylist(), strict=True)]
+    home = np.repeat(table.column("b").to_numpy(), [len(k) for k in keys])
+    block = np.concatenate([f[: len(k)] for k, f in zip(keys, flags, strict=True)])
+    several = np.concatenate([f[len(k) :] for k, f in zip(keys, flags, strict=True)])
+    keys = np.concatenate(keys)
     order = np.argsort(keys, kind="stable")
-    ids, home, keys, block = ids[order], home[order], keys[order], block[order]
+    keys, home = keys[order], home[order]
     cut = _runs(keys)
     size = np.diff(cut)
-    top = np.iinfo(np.int64).max
-    first_block = np.repeat(np.minimum.reduceat(np.where(block, ids, top), cut[:-1]), size)
-    last = np.repeat(np.maximum.reduceat(ids, cut[:-1]), size)
-    hit = (first_block < ids) | (block & (ids < last))
-    both = np.unique(home[hit].astype(np.uint64) << np.uint64(32) | keys[hit])
-    home, keys = (both >> np.uint64(32)).astype(np.int32), (both & _U32).astype(np.uint32)
+    anchor = np.logical_or.reduceat(block[order], cut[:-1]) & ((size > 1) | np.logical_or.reduceat(several[order], cut[:-1]))
+    hit = np.repeat(anchor, size)
+    keys, home = keys[hit], home[hit]
+    order = np.argsort(home, kind="stable")
+    keys, home = keys[order], home[order]
     cut = _runs(home)
     bucket = table.column("bucket")[0].as_py()
     return pa.table(
@@ -151,13 +166,27 @@ def _ordered(docs: pa.Table) -> tuple[pa.Table, np.ndarray, list[tuple[int, int,
     return rows, marked
 
 
+def _ids(rows: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """Ids, -1 for a null, and which are known."""
+    return rows.column("id").fill_null(-1).to_numpy(), rows.column("id").is_valid().to_numpy()
+
+
+def _bucketed(key: np.ndarray, n_buckets: int) -> np.ndarray:
+    """The bucket of a 64-bit key above its lower half."""
+    return ((key >> np.uint64(32)).astype(np.int64) % n_buckets).astype(np.uint64) << np.uint64(32) | (key & _U32)
+
+
 def _texts(rows: pa.Table) -> pa.Array:
     text = rows.column("text").combine_chunks()
     return text if not isinstance(text, pa.ChunkedArray) else (text.chunk(0) if text.num_chunks else pa.array([], pa.string()))
 
 
 def _window_requests(n_buckets: int, anchor: int, window: int):
-    """(batch of texts, its anchors) to (bucket, packed windows around anchors)."""
+    """(batch of texts, its anchors) to (bucket, packed windows around anchors).
+
+    Of the texts of a batch that share a window only those of the smallest id ask
+    the bucket; the places of the others are repeats, and go home as bucket -1 - batch.
+    """
 
     def run(docs: pa.Table, answers: pa.Table) -> pa.Table:
         none = pa.table({"bucket": pa.array([], pa.int32()), "payload": pa.array([], pa.binary())})
@@ -166,39 +195,45 @@ def _window_requests(n_buckets: int, anchor: int, window: int):
         keys = [np.uint64(bucket) << np.uint64(32) | _unpack(p, np.uint32)[0].astype(np.uint64) for bucket, p in zip(answers.column("bucket").to_pylist(), answers.column("payload").to_pylist(), strict=True)]
         anchors = np.sort(np.concatenate(keys))
         rows, marked = _ordered(docs)
-        ids = np.array([-1 if i is None else i for i in rows.column("id").to_pylist()], dtype=np.int64)
-        known = ~np.asarray(rows.column("id").is_null())
+        ids, known = _ids(rows)
         home, text = docs.column("b")[0].as_py(), _texts(rows)
-        buckets, payloads = [], []
+        found = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.uint32))]
         for x, y in chunks(text):
             w = Words(text.slice(x, y - x))
             h = w.hashes()
-            digest, _ = _sequence_digest(w, h)
-            live = known[x:y] & np.array([(i, d) not in marked for i, d in zip(ids[x:y].tolist(), digest.tolist(), strict=True)], dtype=bool)
             first, owner = window_owner(w, anchor)
             if not len(first):
                 continue
-            key = rolling(h, anchor)[first]
-            key = ((key >> np.uint64(32)).astype(np.int64) % n_buckets).astype(np.uint64) << np.uint64(32) | (key & _U32)
+            key = _bucketed(rolling(h, anchor)[first], n_buckets)
             at = np.minimum(np.searchsorted(anchors, key), len(anchors) - 1)
             hits = np.zeros(len(w.start) + 1, dtype=np.int64)
-            hits[1:][first[(anchors[at] == key) & live[owner]]] = 1
+            hits[1:][first[(anchors[at] == key) & _live(w, h, ids[x:y], known[x:y], marked)[owner]]] = 1
             hits = np.cumsum(hits)
             start, owner = window_owner(w, window)
             near = hits[start + window - anchor + 1] > hits[start]
             start, owner = start[near], owner[near]
-            if not len(start):
-                continue
-            long, check = rolling(h, window)[start], (rolling(h, window, seed=31)[start] & _U32).astype(np.uint32)
-            bucket = (mix64(long + np.uint64(0x632BE59BD9B4E019)) >> np.uint64(16)).astype(np.int64) % n_buckets
-            order = np.argsort(bucket, kind="stable")
-            start, owner, long, check, bucket = (v[order] for v in (start, owner, long, check, bucket))
-            cut = _runs(bucket)
-            for s, e in zip(cut[:-1], cut[1:], strict=True):
-                doc = _runs(owner[s:e])
-                who = owner[s:e][doc[:-1]]
-                buckets.append(int(bucket[s]))
-                payloads.append(_pack(np.array([home], np.int32), _delta(ids[x + who]), (x + who).astype(np.int32), np.diff(doc).astype(np.uint32), (start[s:e] - w.first[owner[s:e]]).astype(np.uint32), long[s:e], check[s:e]))
+            found.append((x + owner, start - w.first[owner], rolling(h, window)[start], (rolling(h, window, seed=31)[start] & _U32).astype(np.uint32)))
+        local, place, long, check = (np.concatenate([f[k] for f in found]) for k in range(4))
+        order = np.lexsort((check, long))  # a window's texts stay in the order of their ids
+        local, place, long, check = local[order], place[order], long[order], check[order]
+        cut = np.append(np.flatnonzero(np.append([True], (long[1:] != long[:-1]) | (check[1:] != check[:-1])))[: len(long)], len(long))
+        who = ids[local]
+        here = who > np.repeat(who[cut[:-1]], np.diff(cut))  # a smaller id of this batch has it
+        buckets, payloads = [], []
+        if here.any():
+            at = np.flatnonzero(here)[np.lexsort((place[here], local[here]))]
+            buckets.append(-1 - home)
+            payloads.append(_pack(local[at].astype(np.int32), place[at].astype(np.uint32)))
+        bucket = (mix64(long + np.uint64(0x632BE59BD9B4E019)) >> np.uint64(16)).astype(np.int64) % n_buckets
+        at = np.flatnonzero(~here)
+        at = at[np.lexsort((place[at], local[at], bucket[at]))]
+        local, place, long, check, bucket = (v[at] for v in (local, place, long, check, bucket))
+        cut = _runs(bucket)
+        for s, e in zip(cut[:-1], cut[1:], strict=True):
+            doc = _runs(local[s:e])
+            who = local[s:e][doc[:-1]]
+            buckets.append(int(bucket[s]))
+            payloads.append(_pack(np.array([home], np.int32), _delta(ids[who]), who.astype(np.int32), np.diff(doc).astype(np.uint32), place[s:e].astype(np.uint32), long[s:e], check[s:e]))
         return pa.table({"bucket": pa.array(buckets, pa.int32()), "payload": pa.array(payloads, pa.binary())})
 
     return run
@@ -206,6 +241,9 @@ def _window_requests(n_buckets: int, anchor: int, window: int):
 
 def _window_answers(table: pa.Table) -> pa.Table:
     """Places of a bucket's windows that start in a document of a smaller id, for each home."""
+    bucket = table.column("bucket")[0].as_py()
+    if bucket < 0:  # already decided within a batch
+        return pa.table({"b": pa.array([-1 - bucket] * table.num_rows, pa.int32()), "payload": table.column("payload")})
     parts = []
     for payload in table.column("payload").to_pylist():
         home, i, local, n, place, long, check = _unpack(payload, np.int32, np.int64, np.int32, np.uint32, np.uint32, np.uint64, np.uint32)
@@ -309,12 +347,11 @@ def remove_repeats(docs: DataFrame, id: str = "doc_id", text: str = "text", wind
     copies = slim.withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(SALTS)).cast("int")).join(groups, ["n", "d1", "d2", "salt"]).where("id > lead")
     copies = settle(copies.select("b", "id", F.col("d1").alias("copy_of")).distinct(), "substring-copies")
 
-    asked = base.where("id is not null").select("id", "b", "text").mapInArrow(_anchor_requests(buckets, anchor), "bucket int, payload binary")
-    anchors = asked.groupBy("bucket").applyInArrow(_anchor_answers, "b int, bucket int, payload binary")
-
     fields = {f.name: f.dataType for f in base.schema.fields}
     marks = copies.select("id", F.lit(None).cast("string").alias("text"), "b", *[F.lit(None).cast(fields[x]).alias(x) for x in extra], "copy_of")
     inbox = base.withColumn("copy_of", F.lit(None).cast("long")).union(marks).groupBy("b")
+    asked = inbox.applyInArrow(_anchor_requests(buckets, anchor), "bucket int, b int, key binary, flags binary")
+    anchors = asked.groupBy("bucket").applyInArrow(_anchor_answers, "b int, bucket int, payload binary")
     windows = inbox.cogroup(anchors.groupBy("b")).applyInArrow(_window_requests(buckets, anchor, window), "bucket int, payload binary")
     places = windows.groupBy("bucket").applyInArrow(_window_answers, "b int, payload binary")
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept_text", T.StringType()), *[T.StructField(x, fields[x]) for x in extra]])
