@@ -18,6 +18,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+#: Rows that a task of an order rule gets, of as many whole blocks as fit.
+GROUP_ROWS = 500_000
+
 _OPS = ("!=", "<=", ">=", "=", "<", ">")
 _TERM = re.compile(r"\s*(?:(t\d+)\.(\w+)|('(?:[^']|'')*')|(-?\d+(?:\.\d+)?))\s*")
 _FLIP = {"=": "=", "!=": "!=", "<": ">", ">": "<", "<=": ">=", ">=": "<="}
@@ -222,29 +225,27 @@ def _fd(df: DataFrame, rule: Rule, id: str, keys: list[str], column: str, one: l
     return counted.select(id, F.coalesce(n, F.lit(0)).cast("long").alias("n"))
 
 
-def _count_below(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-    """For each point, how many have a smaller x and a smaller y (a Fenwick tree over ranks of y)."""
+def _count_below(x: np.ndarray, y: np.ndarray, block: np.ndarray | None = None) -> np.ndarray:
+    """For each point, how many of its block have a smaller x and a smaller y.
+
+    In the order of (block, x, falling y) these are the earlier points of a smaller
+    rank, where ranks fall with the block; they are counted level by level of the
+    places' bits: each right half looks at the left half beside it.
+    """
     n = len(x)
-    rank = np.unique(y, return_inverse=True)[1] + 1
-    tree, out = [0] * (int(rank.max(initial=0)) + 1), np.zeros(n, dtype=np.int64)
-    order = np.argsort(x, kind="stable")
-    i = 0
-    while i < n:
-        j = i
-        while j < n and x[order[j]] == x[order[i]]:
-            j += 1
-        for k in order[i:j]:
-            r, s = int(rank[k]) - 1, 0
-            while r > 0:
-                s += tree[r]
-                r -= r & -r
-            out[k] = s
-        for k in order[i:j]:
-            r = int(rank[k])
-            while r < len(tree):
-                tree[r] += 1
-                r += r & -r
-        i = j
+    block = np.zeros(n, dtype=np.int64) if block is None else block
+    order = np.lexsort((-y, x, block))
+    place = np.empty(n, dtype=np.int64)
+    place[order] = np.arange(n)
+    by_rank = place[np.lexsort((-place, y, -block))]  # of equal ranks the later place first: it isn't smaller
+    below, out = np.zeros(n, dtype=np.int64), np.empty(n, dtype=np.int64)
+    for level in range(max(n - 1, 0).bit_length()):
+        pair = by_rank >> (level + 1)
+        at = by_rank[np.argsort(pair, kind="stable")]
+        left = 1 - (at >> level & 1)
+        seen = np.cumsum(left) - ((at >> (level + 1)) << level)  # the pairs before have whole left halves
+        below[at] += np.where(left == 1, 0, seen)
+    out[order] = below
     return out
 
 
@@ -258,22 +259,31 @@ def _number(df: DataFrame, c: str) -> Column:
 
 
 def _dominance(df: DataFrame, rule: Rule, id: str, keys: list[str], columns: list[str], ops: list[str]) -> DataFrame:
-    """Two order comparisons within blocks of equal keys, each block by a Fenwick tree."""
+    """Two order comparisons within blocks of equal keys; a task counts many blocks at once."""
     rows = df.select(F.col(id).cast("long").alias("_id"), *[F.col(k).alias(f"_k{i}") for i, k in enumerate(keys)], _number(df, columns[0]).alias("_x"), _number(df, columns[1]).alias("_y"))
     whole = rows.na.drop()
     sx, sy = (1 if ops[0] == "<" else -1), (1 if ops[1] == "<" else -1)
 
+    names = [f"_k{i}" for i in range(len(keys))]
+
     def count(t: pa.Table) -> pa.Table:
         x, y = t.column("_x").to_numpy() * sx, t.column("_y").to_numpy() * sy
-        return pa.table({"_id": t.column("_id"), "n": pa.array(_count_below(x, y) + _count_below(-x, -y))})
-
-    counted = whole.groupBy(*[f"_k{i}" for i in range(len(keys))]).applyInArrow(count, "_id long, n long")
+        block = np.zeros(len(x), dtype=np.int64)
+        for k in names:
+            code = t.column(k).combine_chunks().dictionary_encode()
+            code = code.combine_chunks() if isinstance(code, pa.ChunkedArray) else code
+            block = np.unique(block * (len(code.dictionary) + 1) + code.indices.to_numpy(), return_inverse=True)[1]
+        return pa.table({"_id": t.column("_id"), "n": pa.array(_count_below(x, y, block) + _count_below(-x, -y, block))})
+
+    groups = max(1, -(-whole.count() // GROUP_ROWS))
+    dealt = whole.withColumn("_group", F.pmod(F.xxhash64(*names), F.lit(groups)))
+    counted = dealt.groupBy("_group").applyInArrow(count, "_id long, n long")
     out = rows.select("_id").join(counted, "_id", "left")
     return out.select(F.col("_id").alias(id), F.coalesce("n", F.lit(0)).alias("n"))
 
 
 def _inversion(df: DataFrame, rule: Rule, id: str, keys: list[str], columns: list[str], ops: list[str], blocks: int = 64) -> DataFrame:
-    """Two order comparisons over the whole table: pairs within a range of x by a tree, pairs of ranges by counts.
+    """Two order comparisons over the whole table: pairs within a range of x point by point, pairs of ranges by counts.
 
     x is cut into ranges at quantiles, and so is y.  Records of other x ranges
     and other y ranges are counted from a small table; those of another x range
@@ -293,9 +303,8 @@ def _inversion(df: DataFrame, rule: Rule, id: str, keys: list[str], columns: lis
             x, y = t.column("_x").to_numpy(), t.column("_y").to_numpy()
             n = _count_below(x, y) + _count_below(-x, -y)
             if only_other:  # leave out what the other grouping counts
-                for v in np.unique(t.column(only_other).to_numpy()):
-                    at = np.flatnonzero(t.column(only_other).to_numpy() == v)
-                    n[at] -= _count_below(x[at], y[at]) + _count_below(-x[at], -y[at])
+                block = t.column(only_other).to_numpy().astype(np.int64)
+                n -= _count_below(x, y, block) + _count_below(-x, -y, block)
             return pa.table({"_id": t.column("_id"), "n": pa.array(n)})
 
         return run

@@ -341,6 +341,16 @@ def test_queries_see_whole_table(spark, query):
     assert ids > 1490  # of 1,500
 
 
+@pytest.mark.parametrize("n", [0, 1, 2, 3, 64, 157])
+def test_points_below_equal_brute_force(n):
+    rng = np.random.default_rng(n)
+    x, y, block = rng.integers(0, 9, n) - 4.0, rng.integers(0, 9, n) - 4.0, rng.integers(0, 3, n)
+    for b in (None, block):
+        same = np.ones((n, n), dtype=bool) if b is None else b[:, None] == b[None, :]
+        want = (same & (x[None, :] < x[:, None]) & (y[None, :] < y[:, None])).sum(axis=1)
+        assert rules._count_below(x, y, b).tolist() == want.tolist()
+
+
 def test_inversions_of_whole_table_equal_brute_force(spark):
     from claimfold.catalog import QUERIES
 
