@@ -15,8 +15,8 @@ batch sends the distinct (context, byte) pairs it has, with its training counts,
 to the bucket of the last three context bytes; the bucket adds up the counts and
 answers the code length of every pair asked for.  Only orders 0 to 2 go to all
 tasks: 256 ** 3 counts at most, whatever the corpus.  Word counts for the
-unigram base travel the same way.  What moves grows with the corpus; a word or
-pair that every text has is one entry a batch.
+unigram base travel the same way.  What moves grows with the corpus, and so does
+the number of buckets; a word or pair that every text has is one entry a batch.
 
 `Trie` is the model in plain Python: the adaptive mode, and what tests compare with.
 """
@@ -40,6 +40,8 @@ ORDER = 4
 PAD, END = 0xFF, 0xFE
 SYMBOLS = 255
 BATCH_BYTES, PLACES = 3 << 20, 23
+#: A bucket gets the pairs of about so much text.
+BUCKET_BYTES = 32 << 20
 END_TOKEN = mix64(np.array([0x1D8AF066], dtype=np.uint64))[0]
 
 
@@ -364,8 +366,9 @@ def score_documents(docs: DataFrame, held_out: Column, id: str = "doc_id", text:
     and has its end alone.  escape is the estimator: "a", "c" or "d".
     """
     sc = docs.sparkSession.sparkContext
-    batches = max(1, -(-text_bytes_total(docs, text) // BATCH_BYTES))
-    buckets = 4 * spread(docs)
+    total = text_bytes_total(docs, text)
+    batches = max(1, -(-total // BATCH_BYTES))
+    buckets = max(4 * spread(docs), -(-total // BUCKET_BYTES))
     base = docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text"), F.coalesce(held_out, F.lit(False)).alias("held_out"), F.pmod(F.xxhash64(F.col(id).cast("long")), F.lit(batches)).cast("int").alias("b"))
     counts = base.where("not held_out").select("text").mapInArrow(_low_orders, "key int, n long").groupBy("key").agg(F.sum("n").alias("n")).toArrow()
     low = sc.broadcast((counts.column("key").to_numpy(), counts.column("n").to_numpy()))

@@ -5,6 +5,8 @@ import random
 import re
 import zlib
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -121,6 +123,23 @@ def test_substring(docs, rows, nothing, monkeypatch):
         substring.remove_repeats(docs, window=12)
 
 
+def test_substring_hot_passage(spark, monkeypatch):
+    """A passage in every text asks its bucket once a batch: for its keys, and for its windows."""
+    passage = " ".join(f"p{k}" for k in range(30))
+    rows = [(i, f"a{i} b{i} {passage} c{i}") for i in range(200)]
+    one = pa.table({"id": [r[0] for r in rows], "text": [r[1] for r in rows], "b": pa.array([0] * 200, pa.int32()), "copy_of": pa.array([None] * 200, pa.int64())})
+    asked = substring._anchor_requests(1, 7)(one)
+    assert sum(len(k) // 4 for k in asked.column("key").to_pylist()) == 30 - 6 + 200 * 3
+    windows = substring._window_requests(1, 7, 13)(one, substring._anchor_answers(asked)).to_pylist()
+    home = [substring._unpack(r["payload"], np.int32, np.uint32) for r in windows if r["bucket"] == -1]
+    sent = [substring._unpack(r["payload"], np.int32, np.int64, np.int32, np.uint32, np.uint32)[4] for r in windows if r["bucket"] >= 0]
+    assert sum(len(place) for _, place in home) == 199 * (30 - 12)
+    assert sum(map(len, sent)) <= 18 + 200 * 3
+    monkeypatch.setattr(substring, "BATCH_BYTES", 3000)
+    got = substring.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted(map(tuple, got), key=str) == removed(rows)
+
+
 def measures(text):
     t = text or ""
     w = WORD.findall(t)
@@ -188,6 +207,7 @@ def test_targets_stop_at_three_times(spark):
 
 def test_ppm(docs, rows, nothing, monkeypatch):
     monkeypatch.setattr(ppm, "BATCH_BYTES", 4000)
+    monkeypatch.setattr(ppm, "BUCKET_BYTES", 500)
     held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2
     is_held = lambda i: i is not None and zlib.crc32(str(i).encode()) % 7 == 2
     for escape in ("a", "c", "d"):
