@@ -1,5 +1,6 @@
 """What showed on larger tables only: keys that collide, and plans that grow too fast."""
 
+import itertools
 import random
 
 import duckdb
@@ -37,3 +38,29 @@ def test_order_rules_keep_a_row_for_each_record(spark, text):
     want = sorted((a[0], sum(bad(a, b) for b in rows)) for a in rows)
     df = spark.createDataFrame(rows, "id long, k int, x int, y int")
     assert sorted(map(tuple, rules.violations(df, rules.parse_rule(text), "id").collect())) == want
+
+
+def test_three_tuples_over_equal_records(spark):
+    """Many equal records, nulls among them, against all sets of three; and no row a set."""
+    rng = random.Random(3)
+    rows = [(i, rng.choice([None, 0, 1, 2]), rng.choice([None, 0, 1])) for i in range(36)]
+    eq = lambda a, b: a is not None and a == b
+    bad = lambda a, b, c: eq(a[1], b[1]) and eq(b[2], c[2]) and c[1] is not None and a[1] > c[1]
+    want = {r[0]: 0 for r in rows}
+    for s in itertools.combinations(rows, 3):
+        if any(bad(*o) for o in itertools.permutations(s)):
+            for r in s:
+                want[r[0]] += 1
+    rule = rules.parse_rule("not(t1.k = t2.k and t2.b = t3.b and t1.k > t3.k)")
+    df = spark.createDataFrame(rows, "id long, k int, b int")
+    assert {r["id"]: r["n"] for r in rules.violations(df, rule, "id").collect()} == want
+    many = spark.range(200_000).selectExpr("id", "id % 5 as k", "id % 3 as b")
+    assert rules.violations(many, rule, "id").where("n > 1000000000").count() == 200_000
+
+
+def test_two_tuples_of_equal_records(spark):
+    """A comparison of two columns within a key: equal records pair with one another."""
+    rows = [(1, 0, 1, 2), (2, 0, 1, 2), (3, 0, 3, 4), (4, 1, 1, 2), (5, None, 1, 2)]
+    df = spark.createDataFrame(rows, "id long, k int, x int, y int")
+    got = {r["id"]: r["n"] for r in rules.violations(df, rules.parse_rule("not(t1.k = t2.k and t1.x < t2.y)"), "id").collect()}
+    assert got == {1: 2, 2: 2, 3: 2, 4: 0, 5: 0}
