@@ -64,3 +64,10 @@ def test_two_tuples_of_equal_records(spark):
     df = spark.createDataFrame(rows, "id long, k int, x int, y int")
     got = {r["id"]: r["n"] for r in rules.violations(df, rules.parse_rule("not(t1.k = t2.k and t1.x < t2.y)"), "id").collect()}
     assert got == {1: 2, 2: 2, 3: 2, 4: 0, 5: 0}
+
+
+def test_predicted_cooccurrence_joins_once(spark, tmp_path):
+    spark.range(40).selectExpr("id as p_partkey", "concat('red ', id % 7) as p_name", "concat('Brand#', id % 3) as p_brand", "concat('T', id % 4) as p_type", "cast(id % 5 as int) as p_size", "cast(id as double) as p_retailprice").write.parquet(f"{tmp_path}/part.parquet")
+    same_as_sql(spark, "cooccurrence_predicted", str(tmp_path), ["part"])
+    plan = QUERIES["cooccurrence_predicted"](spark, str(tmp_path))._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join ") == 1
