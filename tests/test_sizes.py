@@ -8,6 +8,7 @@ import pytest
 
 from claimfold.catalog import QUERIES, SQL
 from claimfold.plans import rules
+from claimfold.sources.replicas import replicas
 
 
 def same_as_sql(spark, name, d, tables):
@@ -71,3 +72,25 @@ def test_predicted_cooccurrence_joins_once(spark, tmp_path):
     same_as_sql(spark, "cooccurrence_predicted", str(tmp_path), ["part"])
     plan = QUERIES["cooccurrence_predicted"](spark, str(tmp_path))._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("Join ") == 1
+
+
+def test_rule_within_entities_moves_no_record(spark):
+    """Small blocks are counted where replicas lie: as with two aggregates, and the only exchanges are those of the clean table."""
+    d = "/root/testdata/sf0.001"
+    rule = rules.parse_rule("not(t1.entity_id = t2.entity_id and t1.o_orderstatus = 'F' and t2.o_orderstatus = 'F' and t1.o_custkey != t2.o_custkey)")
+    wide = replicas(spark, d, "orders").withColumn("rid", F.col("entity_id") * 4096 + F.col("source_id"))
+    got = QUERIES["violations_conditional"](spark, d)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, rules.violations(wide, rule, "rid").collect()))
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    above = plan[: plan.index("Generate explode(sequence(0, 36")] if "Generate explode(sequence(0, 36" in plan else plan.split("Generate")[0]
+    assert "Window" in above and "Exchange" not in above
+
+
+@pytest.mark.parametrize("n", [1, 3, 7, 40])
+def test_replicas_of_few_keys_and_spans(spark, n, monkeypatch):
+    from claimfold.sources import replicas as module
+
+    monkeypatch.setattr(module, "SPAN", 8)
+    base = spark.range(n).selectExpr("id as k", "named_struct('a', cast(id as string)) as v")
+    got = {r["k"]: [r[f"v{d}"]["a"] for d in range(6)] for r in module._neighbours(base, n).collect()}
+    assert got == {k: [str((k + d) % n) for d in range(6)] for k in range(n)}
