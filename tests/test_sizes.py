@@ -5,9 +5,11 @@ import random
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from claimfold.catalog import QUERIES, SQL
-from claimfold.plans import rules
+from claimfold.operators import resolver
+from claimfold.plans import experiments, rules
 from claimfold.sources.replicas import replicas
 
 
@@ -94,3 +96,27 @@ def test_replicas_of_few_keys_and_spans(spark, n, monkeypatch):
     base = spark.range(n).selectExpr("id as k", "named_struct('a', cast(id as string)) as v")
     got = {r["k"]: [r[f"v{d}"]["a"] for d in range(6)] for r in module._neighbours(base, n).collect()}
     assert got == {k: [str((k + d) % n) for d in range(6)] for k in range(n)}
+
+
+def test_fits_share_static_features(spark, monkeypatch):
+    """Static features are made once for all fits of a workload, over one run; each fit has its own blocks and answers as alone."""
+    made = []
+    static = resolver._static
+    monkeypatch.setattr(resolver, "_static", lambda *a: made.append(1) or static(*a))
+    w = experiments.Workload(spark, "/root/testdata/sf0.001", "customer", 0.3, runs=2, limit=30)
+    for changes in ({"models": ("format", "vote", "cooc", "rules")}, {"use_source": False}):
+        s = w.settings(stages=1, **changes)
+        fitted, scored = resolver.fit(w.wide, w.seeds, s, w.prepared)
+        assert len(made) == 1
+        # Run by run as if it were alone: rules count the partners of their own run.
+        for run in range(1, 2):
+            of = lambda df, r=run: df.where(F.floor(F.col("entity_id") / resolver.RUN) == r)
+            names = resolver._static(of(w._one, 0).limit(0).withColumn("record_id", F.lit(0)), s, resolver.source_list(w._one, s))[1]
+            made.pop()
+            assert fitted.names[: len(names)] == names
+            alone, one = resolver.fit(of(w.wide), of(w.seeds), s)
+            made.pop()
+            assert alone.names == fitted.names and alone.sources == fitted.sources
+            key = ["entity_id", "attr", "value"]
+            both = of(scored).join(one.select(*key, F.col("p").alias("q")), key, "full").agg(F.max(F.abs(F.col("p") - F.col("q"))).alias("d"), F.count_if(F.col("p").isNull() | F.col("q").isNull()).alias("n")).first()
+            assert both["n"] == 0 and both["d"] < 1e-3
