@@ -4,11 +4,12 @@ import itertools
 import random
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from claimfold.catalog import QUERIES, SQL
-from claimfold.operators import resolver
+from claimfold.operators import learn, resolver
 from claimfold.plans import experiments, rules
 from claimfold.sources.replicas import replicas
 
@@ -120,3 +121,19 @@ def test_fits_share_static_features(spark, monkeypatch):
             key = ["entity_id", "attr", "value"]
             both = of(scored).join(one.select(*key, F.col("p").alias("q")), key, "full").agg(F.max(F.abs(F.col("p") - F.col("q"))).alias("d"), F.count_if(F.col("p").isNull() | F.col("q").isNull()).alias("n")).first()
             assert both["n"] == 0 and both["d"] < 1e-3
+
+
+def test_softmax_has_one_answer_from_any_start(monkeypatch):
+    """A start near the answer needs fewer steps to the same weights."""
+    rng = np.random.default_rng(4)
+    group = np.repeat(np.arange(400), 3)
+    x = rng.normal(size=(1200, 6))
+    y = np.zeros(1200)
+    y[np.arange(400) * 3 + (x @ rng.normal(size=6) + rng.gumbel(size=1200)).reshape(400, 3).argmax(axis=1)] = 1
+    near = learn.conditional_softmax(x, y, group, np.ones(1200), 0.01)
+    steps, solve = [], np.linalg.solve
+    monkeypatch.setattr(np.linalg, "solve", lambda *a: steps.append(1) or solve(*a))
+    cold = learn.conditional_softmax(x, y, group, np.ones(1200), 0.012)
+    n = len(steps)
+    warm = learn.conditional_softmax(x, y, group, np.ones(1200), 0.012, start=near)
+    assert np.allclose(cold, warm, atol=1e-4) and len(steps) - n < n
