@@ -137,3 +137,21 @@ def test_softmax_has_one_answer_from_any_start(monkeypatch):
     n = len(steps)
     warm = learn.conditional_softmax(x, y, group, np.ones(1200), 0.012, start=near)
     assert np.allclose(cold, warm, atol=1e-4) and len(steps) - n < n
+
+
+def test_adam_steps_are_those_of_the_formula():
+    """The steps without new tables against the textbook form."""
+    rng = np.random.default_rng(5)
+    x, weight = rng.normal(size=(53, 4)), rng.random(53)
+    y = rng.integers(0, 3, 53)
+    order, z = np.random.default_rng(0), np.hstack([x, np.ones((53, 1))])
+    w, m, v, t = np.zeros((5, 3)), 0, 0, 0
+    for _ in range(20):
+        at = order.permutation(53)
+        for lo in range(0, 53, 10):
+            i = at[lo : lo + 10]
+            t += 1
+            g = z[i].T @ ((learn.softmax_rows(z[i] @ w) - np.eye(3)[y[i]]) * weight[i, None]) / len(i) + 1e-3 * w
+            m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
+            w = w - 0.01 * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
+    assert np.allclose(learn.adam_softmax(x, y, 3, weight, epochs=20), w, atol=1e-12)
